@@ -107,6 +107,21 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return j.where(100 * both >= percent * (F.size("ga") + F.size("gb") - both)).select(F.col("comp_a").alias("u"), F.col("comp_b").alias("v"))
 
 
+def _linkable(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Members that can link at all: a document whose share of shingles that no other candidate has is over 1 - percent / 100 cannot.
+
+    Exact: a partner is a candidate too, so the intersection is at most the shared shingles, and the union at least the whole set. Shingles
+    are counted with map-side combine; one that a single document has names that document, so nothing is joined back.
+    """
+    grams = sets.select("id", F.explode("grams").alias("gram")).groupBy("gram").agg(F.count("*").alias("df"), F.min("id").alias("id"))
+    own = grams.where("df = 1").groupBy(F.col("id").alias("_id")).agg(F.count("*").alias("own"))
+    able = members.join(own, F.col("rep") == F.col("_id"), "left").where(100 * (F.col("n") - F.coalesce("own", F.lit(0))) >= percent * F.col("n"))
+    alive = able.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key")
+    kept = materialize(able.join(alive, "key").select("key", "rep", "n", "comp"), "members")
+    discard(members)
+    return kept
+
+
 def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, percent: int = 80, bands: int = 32, rows: int = 4) -> DataFrame:
     """One row per document: id, n_shingles, component_id (least id reachable), kept (id = component_id).
 
@@ -125,6 +140,7 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     wanted = members.select(F.col("rep").alias("id")).distinct()
     sets = materialize(plain.join(wanted, "id", "left_semi").mapInPandas(_sets(shingle), "id long, grams array<long>"), "sets")
     sets_once = sets.groupBy("id").agg(F.max("grams").alias("grams")) if not sets.groupBy("id").count().where("count > 1").isEmpty() else sets
+    members = _linkable(members, sets_once, percent)
     labels = None  # (node, root): representatives that hang under another
     pivots_a_round = 1
     while not members.isEmpty():
