@@ -1,0 +1 @@
+"""pathflow: problem solving by graph traversal, as Catalyst plans."""
