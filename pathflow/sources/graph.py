@@ -106,7 +106,7 @@ class PropertyGraph:
 
     def reverse(self) -> PropertyGraph:
         def turned(x: EdgeLabel) -> EdgeLabel:
-            return EdgeLabel(x.name, lambda: x.rows().withColumnsRenamed({"src": "dst", "dst": "src"}), x.keys, False, x.weight)
+            return EdgeLabel(x.name, lambda: x.rows().select("eid", F.col("dst").alias("src"), F.col("src").alias("dst"), *x.keys), x.keys, False, x.weight)
 
         return PropertyGraph(dict(self.classes), {n: turned(x) for n, x in self.labels.items()})
 
