@@ -19,8 +19,8 @@ from ..sources.scratch import shared_dir
 SCHEMA = "event_id BIGINT, ts TIMESTAMP_NTZ, user_id BIGINT, event_type STRING, value DOUBLE, props STRING"
 
 
-def read_stream(spark: SparkSession, folder: str, glob: str = "*.parquet") -> DataFrame:
-    raw = spark.readStream.schema(SCHEMA).option("pathGlobFilter", glob).parquet(folder)
+def read_stream(spark: SparkSession, folder: str, glob: str = "*.parquet", files_a_batch: int = 1000) -> DataFrame:
+    raw = spark.readStream.schema(SCHEMA).option("pathGlobFilter", glob).option("maxFilesPerTrigger", files_a_batch).parquet(folder)
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
