@@ -5,11 +5,12 @@ permutation and a value `level + uniform`; a slot keeps its least value. As soon
 below the next level no further draw can win, so levels end early; sets of n >> m elements need one or two.
 
 Banding: 32 bands of 4 rows; a pair at Jaccard 0.8 misses every band with probability (1 - 0.8^4)^32 < 1e-7.
-Only one document of each distinct shingle set takes part. Buckets are resolved without emitting all pairs: in each
-round a bucket compares its least unretired members (1, then 4, 16, 64, ... of them: the pivots) with its
-other members *in other components*, verified links merge components, the pivots retire, and a bucket dies
-once its members are in one component. Every pair of a bucket is thus linked, connected or compared; large
-groups of copies die after the first round, with as many comparisons as members.
+Only one document of each distinct shingle set takes part, and of buckets with the same members only one.
+Buckets are resolved without emitting all pairs: first every member is compared with its bucket's least one, and verified links merge
+components. What is then left of a bucket (members in several components) goes through blocks: members are dealt to blocks of
+about 512, each pair of blocks is one small task that holds nothing else, compares members of different components by an inverted index
+of their full sets, and gives back a spanning forest of the links. Every pair of a bucket is thus connected or compared; groups of
+copies die after the first step with as many comparisons as members.
 """
 
 from __future__ import annotations
@@ -20,7 +21,6 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import WordHashes, discard, materialize, text_words
@@ -100,11 +100,83 @@ def _sets(shingle: int):
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """pairs (a, b, comp_a, comp_b) whose full sets reach the similarity."""
+    """Edges (u, v) of the pairs (a, b) whose full sets reach the similarity."""
     left, right = sets.select(F.col("id").alias("a"), F.col("grams").alias("ga")), sets.select(F.col("id").alias("b"), F.col("grams").alias("gb"))
     both = F.size(F.array_intersect("ga", "gb"))
     j = pairs.join(left, "a").join(right, "b")
-    return j.where(100 * both >= percent * (F.size("ga") + F.size("gb") - both)).select(F.col("comp_a").alias("u"), F.col("comp_b").alias("v"))
+    return j.where(100 * both >= percent * (F.size("ga") + F.size("gb") - both)).select(F.col("a").alias("u"), F.col("b").alias("v"))
+
+
+def _distinct_buckets(members: DataFrame) -> DataFrame:
+    """Keys of buckets with two members or more; one key for each member set (told by its size and two xor-ed hashes)."""
+    print_of = members.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi"), F.count("*").alias("m"), F.bit_xor(F.xxhash64("rep")).alias("x"), F.bit_xor(F.xxhash64("rep", F.lit(7))).alias("y"))
+    return print_of.where("lo < hi").groupBy("lo", "hi", "m", "x", "y").agg(F.min("key").alias("key")).select("key")
+
+
+def links_in_block(comps: np.ndarray, grams: list[np.ndarray], blocks: np.ndarray, percent: int) -> list[tuple[int, int]]:
+    """A spanning forest, over components, of the links between members of different components.
+
+    `blocks`: the members' block; with two blocks only pairs across them count, as each block also meets itself.
+    """
+    sizes = np.array([len(g) for g in grams])
+    owner = np.repeat(np.arange(len(grams)), sizes)
+    _, column = np.unique(np.concatenate(grams), return_inverse=True)
+    order = np.argsort(column, kind="stable")
+    begin = np.concatenate(([0], np.cumsum(np.bincount(column))))
+    posting, first = owner[order], np.concatenate(([0], np.cumsum(sizes)))
+    names, counts = np.unique(comps, return_counts=True)
+    root = {c: c for c in names.tolist()}
+
+    def find(c):
+        while root[c] != c:
+            root[c] = c = root[root[c]]
+        return c
+
+    out, across = [], len(np.unique(blocks)) > 1
+    # the largest component's members need not ask: the others ask them
+    for i in np.flatnonzero(comps != names[counts.argmax()]).tolist():
+        columns = column[first[i] : first[i + 1]]
+        length = begin[columns + 1] - begin[columns]
+        at = np.repeat(begin[columns] - (np.cumsum(length) - length), length) + np.arange(length.sum())
+        both = np.bincount(posting[at], minlength=len(grams))
+        hit = (100 * both >= percent * (sizes[i] + sizes - both)) & (comps != comps[i])
+        if across:
+            hit &= blocks != blocks[i]
+        for c in np.unique(comps[hit]).tolist():
+            u, v = find(int(comps[i])), find(c)
+            if u != v:
+                root[max(u, v)] = min(u, v)
+                out.append((int(comps[i]), c))
+    return out
+
+
+def _block_links(rest: DataFrame, sets: DataFrame, percent: int, block: int = 512) -> DataFrame:
+    """Edges (u, v) between components from all pairs inside the buckets of `rest` (key, rep, comp, m), by pairs of blocks."""
+    count = F.greatest(F.ceil(F.col("m") / block), F.lit(1)).cast("int")
+    dealt = rest.withColumn("blocks", count).withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
+    filled = dealt.join(sets.withColumnRenamed("id", "rep"), "rep")
+    met = filled.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = met.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "comp", "grams")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        at, held = None, []
+
+        def flush() -> pd.DataFrame:
+            comps, blocks, grams = (list(x) for x in zip(*held, strict=True))
+            links = links_in_block(np.array(comps), grams, np.array(blocks), percent) if len(set(comps)) > 1 else []
+            return pd.DataFrame(links, columns=["u", "v"], dtype=np.int64)
+
+        for pdf in batches:
+            for key, lo, hi, own, comp, grams in zip(pdf["key"], pdf["lo"], pdf["hi"], pdf["own"], pdf["comp"], pdf["grams"], strict=True):
+                if (key, lo, hi) != at:
+                    if held:
+                        yield flush()
+                    at, held = (key, lo, hi), []
+                held.append((comp, own, grams))
+        if held:
+            yield flush()
+
+    return rows.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi").mapInPandas(run, "u long, v long")
 
 
 def _linkable(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -116,7 +188,7 @@ def _linkable(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     grams = sets.select("id", F.explode("grams").alias("gram")).groupBy("gram").agg(F.count("*").alias("df"), F.min("id").alias("id"))
     own = grams.where("df = 1").groupBy(F.col("id").alias("_id")).agg(F.count("*").alias("own"))
     able = members.join(own, F.col("rep") == F.col("_id"), "left").where(100 * (F.col("n") - F.coalesce("own", F.lit(0))) >= percent * F.col("n"))
-    alive = able.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key")
+    alive = _distinct_buckets(able)
     kept = materialize(able.join(alive, "key").select("key", "rep", "n", "comp"), "members")
     discard(members)
     return kept
@@ -135,35 +207,28 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     # one document for each distinct set; copies are combined before the shuffle
     reps = linked.groupBy("set_a", "set_b").agg(F.min("id").alias("rep"))
     heads = linked.join(reps, ["set_a", "set_b"]).where("id = rep").select("rep", "n", F.explode("keys").alias("key"))
-    shared = heads.groupBy("key").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("key")
+    shared = _distinct_buckets(heads)
     members = materialize(heads.join(shared, "key").distinct().withColumn("comp", F.col("rep")), "members")
     wanted = members.select(F.col("rep").alias("id")).distinct()
     sets = materialize(plain.join(wanted, "id", "left_semi").mapInPandas(_sets(shingle), "id long, grams array<long>"), "sets")
     sets_once = sets.groupBy("id").agg(F.max("grams").alias("grams")) if not sets.groupBy("id").count().where("count > 1").isEmpty() else sets
     members = _linkable(members, sets_once, percent)
-    labels = None  # (node, root): representatives that hang under another
-    pivots_a_round = 1
-    while not members.isEmpty():
-        if pivots_a_round == 1:
-            pivots = members.groupBy("key").agg(F.min(F.struct("rep", "n", "comp")).alias("p")).select("key", F.col("p.*"))
-        else:
-            w = W.partitionBy("key").orderBy("rep")
-            pivots = members.withColumn("r", F.row_number().over(w)).where(F.col("r") <= pivots_a_round).drop("r")
-        pivots = pivots.select("key", F.col("rep").alias("p_rep"), F.col("n").alias("p_n"), F.col("comp").alias("p_comp"))
-        near = (F.least("n", "p_n") * 100 >= F.greatest("n", "p_n") * percent) & (F.col("rep") > F.col("p_rep")) & (F.col("comp") != F.col("p_comp"))
-        pairs = members.join(pivots, "key").where(near).select(F.col("rep").alias("a"), F.col("p_rep").alias("b"), F.col("comp").alias("comp_a"), F.col("p_comp").alias("comp_b")).distinct()
-        merged = connected_components(_verified(pairs, sets_once, percent))
-        rest = members.join(pivots.groupBy("key").agg(F.max("p_rep").alias("last")), "key").where("rep > last").drop("last")
-        if merged is not None:
-            step = merged.select("node", "root")
-            rest = relabel(rest, "comp", step)
-            older, labels = labels, step if labels is None else materialize(relabel(labels, "root", step).unionByName(step), "labels")
-            discard(older)
-        alive = rest.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("key")
-        rest = materialize(rest.join(alive, "key").select("key", "rep", "n", "comp"), "members")
-        discard(members)
-        members, pivots_a_round = rest, pivots_a_round * 4
-    discard(members, sets)
+    pivots = members.groupBy("key").agg(F.min(F.struct("rep", "n", "comp")).alias("p")).select("key", F.col("p.rep").alias("p_rep"), F.col("p.n").alias("p_n"))
+    near = (F.least("n", "p_n") * 100 >= F.greatest("n", "p_n") * percent) & (F.col("rep") > F.col("p_rep"))
+    pairs = members.join(pivots, "key").where(near).select(F.col("rep").alias("a"), F.col("p_rep").alias("b")).distinct()
+    labels = connected_components(_verified(pairs, sets_once, percent))
+    # the least member has met all others; what is left of a bucket matters while it spans components
+    rest = members.join(pivots.select("key", "p_rep"), "key").where("rep > p_rep").drop("p_rep")
+    if labels is not None:
+        rest = relabel(rest, "comp", labels)
+    open_keys = rest.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m")).where("lo < hi")
+    rest = materialize(rest.join(open_keys.select("key", "m"), "key").select("key", "rep", "comp", "m"), "rest")
+    merged = connected_components(_block_links(rest, sets_once, percent))
+    if merged is not None:
+        older, step = labels, merged.select("node", "root")
+        labels = merged if older is None else materialize(relabel(older.select("node", "root"), "root", step).unionByName(step), "labels")
+        discard(older)
+    discard(members, rest, sets)
     reps = reps.withColumn("comp", F.col("rep"))
     if labels is not None:
         reps = relabel(reps, "comp", labels)
