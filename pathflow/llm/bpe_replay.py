@@ -23,6 +23,8 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import sliced
+
 #: Broadcast bound: a rank file has this many entries at most.
 MAX_RANKS = 1_000_000
 
@@ -163,14 +165,6 @@ def replay_for(key: tuple, ranks: dict[bytes, int], pattern: str) -> MergeReplay
     return _REPLAY[key]
 
 
-def _sliced(pdf: pd.DataFrame, characters: int = 4_000_000) -> Iterator[pd.DataFrame]:
-    """Slices of a batch with a bounded number of characters (one text at least)."""
-    sizes = pdf["text"].str.len().fillna(0).to_numpy()
-    part = (np.cumsum(sizes) // characters).astype(int)
-    for _, p in pdf.groupby(part, sort=True):
-        yield p
-
-
 def _run(spark: SparkSession, ranks_path: str, pattern: str, make):
     ranks = load_ranks(ranks_path)
     shared = spark.sparkContext.broadcast(ranks)
@@ -179,7 +173,7 @@ def _run(spark: SparkSession, ranks_path: str, pattern: str, make):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         replay = replay_for(key, shared.value, pattern)
         for batch in batches:
-            for pdf in _sliced(batch):
+            for pdf in sliced(batch, 4_000_000):
                 packed = replay.encode_batch(["" if t is None else t for t in pdf["text"]])
                 yield make(pdf, packed, replay)
 

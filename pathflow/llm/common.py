@@ -4,7 +4,10 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
 
+import numpy as np
+import pandas as pd
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -70,6 +73,13 @@ def text_words(text: str | None) -> list[bytes]:
     return [] if text is None else text.encode("utf-8", "surrogatepass").lower().split()
 
 
+def sliced(pdf: pd.DataFrame, characters: int) -> Iterator[pd.DataFrame]:
+    """Slices of a batch with a bounded number of characters of its column `text` (one text at least)."""
+    part = (np.cumsum(pdf["text"].str.len().fillna(0).to_numpy()) // characters).astype(int)
+    for _, p in pdf.groupby(part, sort=True):
+        yield p
+
+
 class WordHashes(dict):
     """word -> signed 64-bit hash, kept for the words seen lately."""
 

@@ -15,6 +15,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from .common import sliced
+
 PROFILE, DEPTH = 400, 400
 _LETTERS: np.ndarray | None = None
 BLANK = 32
@@ -52,11 +54,19 @@ def ranked(codes: np.ndarray, depth: int) -> np.ndarray:
 
 
 def _count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    for pdf in batches:
-        for lang, texts in pdf.groupby("lang")["text"]:
-            parts = [ngrams(t) for t in texts]
-            grams, counts = np.unique(np.concatenate(parts) if parts else np.empty(0, np.int64), return_counts=True)
-            yield pd.DataFrame({"lang": lang, "gram": grams, "n": counts})
+    """Counts of a whole task, merged slice by slice: memory follows the kinds of n-grams, not the texts."""
+    held: dict[str, tuple[np.ndarray, np.ndarray]] = {}
+    for batch in batches:
+        for pdf in sliced(batch, 500_000):
+            for lang, texts in pdf.groupby("lang")["text"]:
+                grams, counts = np.unique(np.concatenate([ngrams(t) for t in texts]), return_counts=True)
+                if lang in held:
+                    old, times = held[lang]
+                    grams, place = np.unique(np.concatenate((old, grams)), return_inverse=True)
+                    counts = np.bincount(place, np.concatenate((times, counts)), len(grams)).astype(np.int64)
+                held[lang] = grams, counts
+    for lang, (grams, counts) in held.items():
+        yield pd.DataFrame({"lang": lang, "gram": grams, "n": counts})
 
 
 def language_profiles(train: DataFrame, text_col: str = "text", lang_col: str = "lang", profile: int = PROFILE) -> dict[str, np.ndarray]:
