@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.regions import BOX
 from ..operators import baseline, measures
 from ..operators.region_tree import RegionTree, build_region_tree, many_regions, region_query, region_tests, region_trace
+from ..operators.region_walks import flow
 from ..operators.value_tree import ValueTree
 from ..plans.lower import run
 from ..plans.traversal import HERE
@@ -80,7 +81,8 @@ def region_overlay(g: Graphs) -> DataFrame:
 @query(
     f"""WITH {TREE.format(*R)}, q AS (SELECT d AS round, count(*) AS quads FROM marked WHERE d > 0 AND meets GROUP BY 1),
 p AS (SELECT d + 1 AS round, count(*) AS pois FROM hung WHERE x BETWEEN 25 AND 90 AND y BETWEEN {R[0]} AND {R[1]} GROUP BY 1)
-SELECT CAST(round AS INTEGER) AS round, coalesce(quads, 0) AS quads, coalesce(pois, 0) AS pois FROM q FULL JOIN p USING (round)"""
+SELECT CAST(round AS INTEGER) AS round, coalesce(quads, 0) AS quads, coalesce(pois, 0) AS pois FROM q FULL JOIN p USING (round)""",
+    name="region_trace",
 )
 def region_trace_rounds(g: Graphs) -> DataFrame:
     return region_trace(part_tree(g), RECT)
@@ -168,6 +170,15 @@ def region_walk_in_graph(g: Graphs) -> DataFrame:
     return keyed(out, "poi", None)
 
 
+@query(
+    f"""WITH {TREE.format(*R)}, up AS (SELECT h.poi, count(*) AS w FROM hung h JOIN marked m ON m.fits AND m.d <= h.d AND m.cx = h.cx >> (h.d - m.d) AND m.cy = h.cy >> (h.d - m.d) GROUP BY 1)
+SELECT h.poi, CAST(1 + coalesce(w, 0) AS BIGINT) AS weight FROM hung h LEFT JOIN up ON up.poi = h.poi WHERE h.x BETWEEN 25 AND 90 AND h.y BETWEEN {R[0]} AND {R[1]}"""
+)
+def region_flow_walk(g: Graphs) -> DataFrame:
+    """The literal flow graph, composed of its five functions in the step algebra."""
+    return keyed(run(part_tree(g).as_graph(), g.spark, flow(RECT), [(20 << 56) + 1]), "poi", "weight")
+
+
 # -- value trees and searches
 
 

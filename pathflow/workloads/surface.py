@@ -279,6 +279,36 @@ def udaf_weighted(g: Graphs) -> DataFrame:
     return j.groupBy(F.col("c_nationkey").alias("nation")).agg(F.round(F.sum(F.col("c_acctbal") * F.col("weight")) / F.sum("weight"), 6).alias("mean"))
 
 
+@query(f"WITH {PEOPLE} SELECT c_nationkey AS nation, round(sum(c_acctbal * shared) / sum(shared), 6) AS mean FROM people JOIN customer ON c_custkey = customer GROUP BY 1")
+def udaf_weighted_pandas(g: Graphs) -> DataFrame:
+    """The same mean as an Arrow aggregate function, for parity; groups are nations of one person's neighbourhood."""
+    from ..operators.recommend import similar_people
+
+    @F.pandas_udf("double")
+    def mean(value: pd.Series, weight: pd.Series) -> float:
+        return float((value * weight).sum() / weight.sum())
+
+    people = run(g.commerce(), g.spark, similar_people(), ids(CUSTOMER, 7))
+    c = g.commerce().vertices("customer")
+    j = people.join(c, people.pos == c.vid)
+    return j.groupBy(F.col("c_nationkey").alias("nation")).agg(mean("c_acctbal", "weight").alias("mean")).withColumn("mean", F.round("mean", 6))
+
+
+@query("SELECT p_partkey AS part, CAST(1 AS INTEGER) AS place, split_part(p_name, ' ', 1) AS word FROM part WHERE p_partkey < 100 UNION ALL SELECT p_partkey, 2, split_part(p_name, ' ', 2) FROM part WHERE p_partkey < 100")
+def udtf_words(g: Graphs) -> DataFrame:
+    """A Python table function in a lateral join, for parity with explode."""
+
+    @F.udtf(returnType="place int, word string")
+    class Words:
+        def eval(self, text: str):
+            yield from enumerate((text or "").split(" "), 1)
+
+    g.spark.udtf.register("pf_words", Words)
+    name = f"names_{uuid.uuid4().hex}"
+    g.table("part").where("p_partkey < 100").createOrReplaceTempView(name)
+    return g.spark.sql(f"SELECT p_partkey AS part, place, word FROM {name}, LATERAL pf_words(p_name)")
+
+
 @query(f"WITH {LIKES}, l AS (SELECT src, list(dst ORDER BY dst) AS ds FROM likes WHERE src < 20 GROUP BY 1) SELECT src AS customer, CAST(i AS INTEGER) AS place, ds[i] AS part FROM (SELECT src, ds, unnest(range(1, len(ds) + 1)) AS i FROM l)")
 def udtf_paths(g: Graphs) -> DataFrame:
     """Expand bounded adjacency lists with their place."""

@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..operators import baseline, measures, recommend
+from ..operators import baseline, measures, recommend, reduce
+from ..plans.explain import exchanges
 from ..plans.lower import materialize_edge, run, touched
 from ..plans.rewrite import cost, optimize
 from ..plans.text import parse_walk
@@ -528,11 +529,31 @@ def walk_design_cost(g: Graphs) -> DataFrame:
     rows = []
     for name, walk in recommend.LIBRARY.items():
         better, fired = optimize(walk, g.commerce())
-        code = PART if name == "content" else CUSTOMER
-        plan = run(g.commerce(), g.spark, walk, ids(code, 3))._jdf.queryExecution().sparkPlan().toString()
+        start = ids(PART if name == "content" else CUSTOMER, 3)
         c = cost(better)
-        rows.append((name, c["hops"], c["lookups"], c["set_ops"], plan.count("Join"), ",".join(sorted(set(fired)))))
-    return g.spark.createDataFrame(rows, "walk string, hops int, lookups int, set_ops int, joins int, rules string")
+        rows.append((name, c["hops"], c["lookups"], c["set_ops"], exchanges(g.commerce(), g.spark, walk, start), ",".join(sorted(set(fired)))))
+    return g.spark.createDataFrame(rows, "walk string, hops int, lookups int, set_ops int, exchanges int, rules string")
+
+
+@query(f"WITH {PEOPLE} SELECT c_mktsegment AS value, {total('shared')} AS times FROM people JOIN customer ON c_custkey = customer GROUP BY 1")
+def group_count_segments(g: Graphs) -> DataFrame:
+    """Segments of similar people, each person as often as likes are shared."""
+    people = run(g.commerce(), g.spark, recommend.similar_people(), ids(CUSTOMER, ME))
+    return reduce.group_count(g.commerce(), people, "c_mktsegment")
+
+
+@query(f"WITH {PEOPLE} SELECT {total('shared')} AS traversers, count(*) AS places FROM people")
+def count_traversers(g: Graphs) -> DataFrame:
+    return reduce.count(run(g.commerce(), g.spark, recommend.similar_people(), ids(CUSTOMER, ME)))
+
+
+@query("SELECT 'nation' AS vclass, n_name AS name FROM nation UNION ALL SELECT 'region', r_name FROM region")
+def generic_vertex_view(g: Graphs) -> DataFrame:
+    """The dynamic view: one VARIANT bag of properties for every class."""
+    graph = g.commerce()
+    graph.classes = {k: graph.classes[k] for k in ("nation", "region")}
+    v = graph.generic_vertices()
+    return v.select("vclass", F.coalesce(F.try_variant_get("props", "$.n_name", "string"), F.try_variant_get("props", "$.r_name", "string")).alias("name"))
 
 
 # -- measures

@@ -110,3 +110,10 @@ def test_dictionary_and_bisection(spark):
     assert {r.w: r.key for r in d.collect()} == {"a": 0, "b": 1, "c": 2, "z": 3}
     assert [r.value for r in baseline.bisect_lookup(spark, d, "w", "z").collect()] == ["z"]
     assert baseline.bisect_lookup(spark, d, "w", "q").count() == 0
+
+
+def test_flow_graph_of_the_toy(spark):
+    from pathflow.operators.region_walks import flow
+
+    found = run(region(spark).as_graph(), spark, flow(RECT), [(20 << 56) + 1]).collect()
+    assert {r.pos & ((1 << 56) - 1): r.weight for r in found} == {13: 1, 14: 2, 18: 1}

@@ -194,3 +194,20 @@ def test_validate_and_subgraph(spark):
     assert {(r.check, r.n) for r in bad.validate().collect() if r.n} == {("dangling_dst", 1)}
     assert g.subgraph("friend", lambda e: e.dst > 2).edges("friend").count() == 2
     assert {(r.src, r.dst) for r in g.reverse().edges("kin").collect()} == {(5, 1), (3, 2)}
+
+
+def test_layout_is_two_clustered_copies(spark, tmp_path):
+    g = friends(spark)
+    g.write_layout(f"file://{tmp_path}/layout", 2)
+    for side in ("src", "dst"):
+        back = spark.read.parquet(f"file://{tmp_path}/layout/by_{side}")
+        assert {(r.label, r.src, r.dst) for r in back.collect()} == {("friend", 1, 2), ("friend", 1, 3), ("friend", 1, 4), ("kin", 1, 5), ("kin", 2, 3)}
+    plan = back.where("label = 'kin' AND src = 1")._jdf.queryExecution().executedPlan().toString()
+    assert "PartitionFilters: [isnotnull(label" in plan and "EqualTo(src,1)" in plan
+
+
+def test_explain_names_rules(spark):
+    from pathflow.plans.explain import explain
+
+    text = explain(taste(spark), spark, HERE.out_edges().keep_label("likes").head(), [7])
+    assert "fuse_labels" in text and "ends in V" in text and "Join" in text
