@@ -41,6 +41,7 @@ class MergeReplay:
     def __init__(self, ranks: dict[bytes, int], pattern: str, limit: int = 300_000):
         self.ranks, self.pattern, self.limit = ranks, regex.compile(pattern), limit
         self.vocabulary = {i: t for t, i in ranks.items()}
+        self.packed = {t: i.to_bytes(4, "little") for t, i in ranks.items()}
         self.pieces: dict[str, bytes] = {}
         self.first: dict[str, bytes] = {}  # segments at a text's start
         self.later: dict[str, bytes] = {}  # segments after a blank, without it
@@ -57,15 +58,14 @@ class MergeReplay:
 
     def encode_pieces(self, pieces: list[str]) -> dict[str, bytes]:
         """Packed little-endian 32-bit ids of distinct pieces."""
-        get, out = self.ranks.get, {}
+        get, packed, out = self.ranks.get, self.packed, {}
         words: list[list] = []  # tokens of a piece; a merged one's right half becomes None
         names: list[str] = []
         index: dict[int, list[tuple[int, int]]] = {}
         for piece in pieces:
             raw = piece.encode("utf-8", "surrogatepass")
-            whole = get(raw)
-            if whole is not None:
-                out[piece] = whole.to_bytes(4, "little")
+            if raw in packed:
+                out[piece] = packed[raw]
                 continue
             w = len(words)
             words.append([raw[i : i + 1] for i in range(len(raw))])
@@ -79,46 +79,46 @@ class MergeReplay:
                         index[r] = [(w, i)]
         heap = list(index)
         heapq.heapify(heap)
-        vocabulary = self.vocabulary
+        vocabulary, pop, push = self.vocabulary, heapq.heappop, heapq.heappush
         while heap:
-            rank = heapq.heappop(heap)
+            rank = pop(heap)
             token = vocabulary[rank]
             size = len(token)
             for w, i in index.pop(rank):
                 word = words[w]
                 left = word[i]
-                if left is None or len(left) >= size:
+                if left is None:
                     continue
                 j = i + len(left)
                 # the place is stale unless its two tokens still make this one
-                if j >= len(word) or (right := word[j]) is None or len(left) + len(right) != size or left + right != token:
+                if j >= len(word) or (right := word[j]) is None or left + right != token:
                     continue
                 word[i], word[j] = token, None
                 lower = False
                 end = i + size
                 if end < len(word) and (r := get(token + word[end])) is not None:
-                    lower |= r <= rank
+                    lower = r <= rank
                     if r in index:
                         index[r].append((w, i))
                     else:
                         index[r] = [(w, i)]
-                        heapq.heappush(heap, r)
+                        push(heap, r)
                 if i:
                     p = i - 1
-                    while word[p] is None:
+                    while (before := word[p]) is None:
                         p -= 1
-                    if (r := get(word[p] + token)) is not None:
-                        lower |= r <= rank
+                    if (r := get(before + token)) is not None:
+                        lower = lower or r <= rank
                         if r in index:
                             index[r].append((w, p))
                         else:
                             index[r] = [(w, p)]
-                            heapq.heappush(heap, r)
+                            push(heap, r)
                 if lower:
                     done = self._finish([t for t in word if t is not None])
                     words[w] = [x for t in done for x in (t, *[None] * (len(t) - 1))]
         for name, word in zip(names, words, strict=True):
-            out[name] = np.array([get(t) for t in word if t is not None], "<u4").tobytes()
+            out[name] = b"".join([packed[t] for t in word if t is not None])
         return out
 
     def _learn(self, segments: dict[str, bytes], new: list[str], blank: str) -> None:
