@@ -194,13 +194,27 @@ class Language:
     log: list[float]
 
 
+def _cutoff(counts: DataFrame, most: int) -> int:
+    """The least count that at most `most` tokens reach. Counts are binned (exact below 4096, 64 bins an octave above), so the driver gets a few
+    thousand rows whatever the corpus."""
+    c = F.col("c")
+    bins = counts.groupBy(F.when(c < 4096, c).otherwise(4096 + F.floor((F.log2(c.cast("double")) - 12) * 64)).alias("bin")).agg(F.min("c").alias("least"), F.count("*").alias("n"))
+    cut, taken = 1 << 62, 0
+    for r in sorted(bins.collect(), key=lambda r: -r["bin"]):
+        taken += r["n"]
+        if taken > most:
+            break
+        cut = r["least"]
+    return cut
+
+
 def train(docs: DataFrame, text_col: str = "text", frequent: int = 32_768, states: int = 8, passes: int = 2, sample: int = 768, steps: int = 8) -> Language:
     """Learns from all rows of `docs`. Null texts are empty ones: an end token alone. No rows: a uniform model."""
     spark = docs.sparkSession
     text = docs.select(F.col(text_col).alias("text"))
     counts = materialize(text.mapInPandas(_count_tokens, "code long, n long").groupBy("code").agg(F.sum("n").alias("c")), "tokens")
     whole = counts.agg(F.sum("c").alias("tokens"), F.count("*").alias("kinds")).first()
-    top = counts.orderBy(F.desc("c"), "code").limit(frequent).toPandas().sort_values("code")
+    top = counts.where(F.col("c") >= _cutoff(counts, frequent)).toPandas().sort_values("code")
     symbols = Symbols(top["code"].to_numpy(np.int64), top["c"].to_numpy(np.int64))
     per_class = F.shiftrightunsigned("code", 56).cast("int")
     class_tokens, class_kinds = np.zeros(CLASSES, np.int64), np.zeros(CLASSES, np.int64)
