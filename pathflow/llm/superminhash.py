@@ -85,16 +85,40 @@ def _sketches(shingle: int, m: int, bands: int):
                 else:
                     out.append((0, None, None, None))
             n, a, b, keys = zip(*out, strict=True) if out else ((), (), (), ())
-            yield pd.DataFrame({"id": pdf["id"], "n": n, "set_a": pd.array(a, "Int64"), "set_b": pd.array(b, "Int64"), "keys": keys})
+            yield pd.DataFrame({"id": pdf["id"], "n": n, "set_a": pd.array(a, "Int64"), "set_b": pd.array(b, "Int64"), "keys": pd.Series(keys, dtype=object)})
 
     return run
 
 
-def _sets(shingle: int):
+#: Bits of the broadcast id mask, at most (8 MB); and bits kept for each id.
+MASK_BITS, BITS_AN_ID = 1 << 26, 16
+
+
+def _id_mask(ids: DataFrame) -> tuple[int, bytes] | None:
+    """(modulus, bits): set where `id % modulus` is a candidate's. None where the candidates would fill the bounded mask too densely.
+
+    Texts of other documents then need not cross the network; what slips through costs a set that nothing asks for.
+    """
+    n = ids.count()
+    if n * BITS_AN_ID // 2 > MASK_BITS:
+        return None
+    modulus = max(1 << 16, min(MASK_BITS, n * BITS_AN_ID)) | 1
+    place = F.pmod("id", F.lit(modulus)) + 1
+    rows = ids.groupBy(F.bitmap_bucket_number(place).alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(place)).alias("bits")).collect()
+    out = bytearray((modulus // 32768 + 1) * 4096)
+    for r in rows:
+        out[(r["bucket"] - 1) * 4096 : r["bucket"] * 4096] = r["bits"]
+    return modulus, bytes(out)
+
+
+def _sets(shingle: int, mask: tuple[int, bytes] | None):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         hashes = WordHashes()
+        bits = mask and np.unpackbits(np.frombuffer(mask[1], np.uint8), bitorder="little").astype(bool)
         for pdf in batches:
-            yield pd.DataFrame({"id": pdf["id"], "grams": [shingle_set(text_words(t), shingle, hashes).view(np.int64) for t in pdf["text"]]})
+            if mask:
+                pdf = pdf[bits[pdf["id"].to_numpy() % mask[0]]]
+            yield pd.DataFrame({"id": pdf["id"].to_numpy(), "grams": pd.Series([shingle_set(text_words(t), shingle, hashes).view(np.int64) for t in pdf["text"]], dtype=object)})
 
     return run
 
@@ -202,7 +226,9 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     one document. Extra columns are ignored.
     """
     plain = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    sketch = materialize(plain.mapInPandas(_sketches(shingle, bands * rows, bands), "id long, n long, set_a long, set_b long, keys array<long>"), "sketch")
+    # ids travel as text: pandas would turn a column with nulls into floats
+    sketched = plain.withColumn("id", F.col("id").cast("string")).mapInPandas(_sketches(shingle, bands * rows, bands), "id string, n long, set_a long, set_b long, keys array<long>")
+    sketch = materialize(sketched.withColumn("id", F.col("id").cast("long")), "sketch")
     linked = sketch.where("n > 0 AND id IS NOT NULL")
     # one document for each distinct set; copies are combined before the shuffle
     reps = linked.groupBy("set_a", "set_b").agg(F.min("id").alias("rep"))
@@ -210,7 +236,9 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     shared = _distinct_buckets(heads)
     members = materialize(heads.join(shared, "key").distinct().withColumn("comp", F.col("rep")), "members")
     wanted = members.select(F.col("rep").alias("id")).distinct()
-    sets = materialize(plain.join(wanted, "id", "left_semi").mapInPandas(_sets(shingle), "id long, grams array<long>"), "sets")
+    mask = _id_mask(wanted)
+    texts = plain.where("id IS NOT NULL") if mask else plain.join(wanted, "id", "left_semi")
+    sets = materialize(texts.mapInPandas(_sets(shingle, mask), "id long, grams array<long>"), "sets")
     sets_once = sets.groupBy("id").agg(F.max("grams").alias("grams")) if not sets.groupBy("id").count().where("count > 1").isEmpty() else sets
     members = _linkable(members, sets_once, percent)
     pivots = members.groupBy("key").agg(F.min(F.struct("rep", "n", "comp")).alias("p")).select("key", F.col("p.rep").alias("p_rep"), F.col("p.n").alias("p_n"))
