@@ -9,11 +9,11 @@ from __future__ import annotations
 from collections.abc import Iterable
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..plans.lower import run
 from ..plans.traversal import HERE, Walk
+from ..sources.dictionary import global_rank
 from ..sources.graph import PropertyGraph
 
 
@@ -126,7 +126,8 @@ def hybrid(walks: list[tuple[DataFrame, float]], how: str = "sum") -> DataFrame:
             top = df.agg(F.max("weight").alias("top"))  # one row
             one = df.crossJoin(F.broadcast(top)).select("pos", (F.lit(float(coefficient)) * F.col("weight") / F.col("top")).alias("score"))
         elif how == "rank":
-            one = df.withColumn("r", F.row_number().over(W.orderBy(F.desc("weight"), "pos"))).select("pos", (F.lit(float(coefficient)) / (60 + F.col("r"))).alias("score"))
+            ranked = global_rank(df.select("pos", "weight"), [F.desc("weight"), F.asc("pos")], "r")
+            one = ranked.select("pos", (F.lit(float(coefficient)) / (61 + F.col("r"))).alias("score"))
         else:
             raise ValueError(how)
         parts = one if parts is None else parts.unionByName(one)

@@ -9,16 +9,21 @@ from pyspark.sql import functions as F
 from .scratch import stored
 
 
-def dictionary(values: DataFrame, column: str, tag: str = "dictionary") -> DataFrame:
-    """(column, key): key is the 0-based rank of the distinct non-null value.
+def global_rank(rows: DataFrame, order: list, name: str, tag: str = "rank") -> DataFrame:
+    """`rows` with the 0-based rank by the sort expressions `order`, which must tell all rows apart.
 
     Range partitions are numbered on their own; their counts (one row per partition) give the offsets.
     """
-    distinct = values.select(column).where(F.col(column).isNotNull()).distinct()
-    ranged = stored(distinct.repartitionByRange(column).withColumn("_part", F.spark_partition_id()), tag)
+    ranged = stored(rows.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()), tag)
     counts = ranged.groupBy("_part").count()
     before = W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)
     starts = counts.select(F.col("_part").alias("_p"), F.coalesce(F.sum("count").over(before), F.lit(0)).alias("_start"))
-    rank = F.row_number().over(W.partitionBy("_part").orderBy(column)) - 1
-    joined = ranged.withColumn("_rank", rank).join(starts, F.col("_part") == F.col("_p"))
-    return joined.select(column, (F.col("_rank") + F.col("_start")).cast("long").alias("key"))
+    numbered = ranged.withColumn("_rank", F.row_number().over(W.partitionBy("_part").orderBy(*order)) - 1)
+    joined = numbered.join(starts, F.col("_part") == F.col("_p"))
+    return joined.withColumn(name, (F.col("_rank") + F.col("_start")).cast("long")).drop("_part", "_p", "_rank", "_start")
+
+
+def dictionary(values: DataFrame, column: str, tag: str = "dictionary") -> DataFrame:
+    """(column, key): key is the 0-based rank of the distinct non-null value."""
+    distinct = values.select(column).where(F.col(column).isNotNull()).distinct()
+    return global_rank(distinct, [F.col(column)], "key", tag)
