@@ -19,9 +19,9 @@ LEAST_SCORE = 0.15
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Learns the profiles from the documents themselves; a kept row whose lang is null gets the predicted one."""
-    found = langid_rank.identify(docs, langid_rank.language_profiles(docs))
-    kept = found.where((F.col("lang_pred") != "und") & (F.col("score") >= LEAST_SCORE))
-    return kept.withColumn("lang", F.coalesce("lang", "lang_pred")).select(*docs.columns)
+    found = langid_rank.identify(docs, langid_rank.language_profiles(docs), names=("_pred", "_score", "_gap"))
+    kept = found.where((F.col("_pred") != "und") & (F.col("_score") >= LEAST_SCORE))
+    return kept.withColumn("lang", F.coalesce("lang", "_pred")).select(*docs.columns)
 
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

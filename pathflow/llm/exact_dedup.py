@@ -26,37 +26,30 @@ def exact_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     return classes.select(F.unhex(F.sha2(F.col("norm").cast("binary"), 256)).alias("sha"), "keep_id", "group_size")
 
 
+ADDED = ("keep_id", "group_size", "kept", "text_sha256")
+
+
+def _joined(docs: DataFrame, names: list[str], id_col: str, text_col: str, keep: str) -> DataFrame:
+    """row (struct of `names`), id, sha, keep_id, group_size of every row."""
+    norm = ascii_lower(F.coalesce(F.col(text_col), F.lit("")))
+    left = docs.select(F.struct(*[F.col(c) for c in names]).alias("row"), F.col(id_col).alias("id"), F.unhex(F.sha2(norm.cast("binary"), 256)).alias("sha"))
+    return left.join(exact_classes(docs, id_col, text_col, keep), "sha")
+
+
 def mark_exact(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min", columns: list[str] | None = None) -> DataFrame:
-    """Rows of `docs` (all columns, or `columns`) with keep_id, group_size, kept, text_sha256.
+    """Rows of `docs` (all columns, or `columns`) with keep_id, group_size, kept, text_sha256; columns of these names are replaced.
 
     Empty table: no rows. Rows that repeat both id and text are one document and share `kept`.
     """
-    names = docs.columns if columns is None else columns
-    norm = ascii_lower(F.coalesce(F.col(text_col), F.lit("")))
-    left = docs.select(
-        F.struct(*[F.col(c) for c in names]).alias("row"),
-        F.col(id_col).alias("id"),
-        F.unhex(F.sha2(norm.cast("binary"), 256)).alias("sha"),
-    )
-    joined = left.join(exact_classes(docs, id_col, text_col, keep), "sha")
-    return joined.select(
-        *[F.col("row")[c].alias(c) for c in names],
-        "keep_id",
-        "group_size",
-        F.col("id").eqNullSafe(F.col("keep_id")).alias("kept"),
-        F.lower(F.hex("sha")).alias("text_sha256"),
-    )
+    names = [c for c in (docs.columns if columns is None else columns) if c not in ADDED]
+    joined = _joined(docs, names, id_col, text_col, keep)
+    kept = F.col("id").eqNullSafe(F.col("keep_id"))
+    return joined.select(*[F.col("row")[c].alias(c) for c in names], "keep_id", "group_size", kept.alias("kept"), F.lower(F.hex("sha")).alias("text_sha256"))
 
 
 def drop_exact(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "max") -> DataFrame:
-    """The rows that stay, with the columns of `docs`.
-
-    The decision is made on (id, text hash) alone; texts go through one shuffle, for comparing bytes.
-    A row is found again by its id and hash, so rows that repeat an id and a text leave one row.
-    """
-    marked = mark_exact(docs, id_col, text_col, keep)
-    stay = marked.where("kept").select(*docs.columns, "text_sha256")
-    twice = docs.groupBy(id_col).count().where("count > 1")
-    if not twice.isEmpty():
-        stay = stay.dropDuplicates([id_col, "text_sha256"])
-    return stay.select(*docs.columns)
+    """The rows that stay, with the columns of `docs`. Rows that repeat an id and a text leave one row."""
+    stay = _joined(docs, docs.columns, id_col, text_col, keep).where(F.col("id").eqNullSafe(F.col("keep_id"))).select("row", "id", "sha")
+    if not docs.groupBy(id_col).count().where("count > 1").isEmpty():
+        stay = stay.dropDuplicates(["id", "sha"])
+    return stay.select("row.*")

@@ -48,14 +48,14 @@ def _at_node(values: dict[int, int], shards: int, kind: str = "long") -> Column:
 
 
 def kd_shards(rows: DataFrame, dims: list[str], size: str, tie: Column, shards: int) -> tuple[Node, DataFrame]:
-    """The fitted tree, and `rows` with the column `shard`, as a table in the shared folder.
+    """The fitted tree, and `rows` with the column `shard` (replaced if there is one) instead of `dims`, as a table in the shared folder.
 
     Leaves take total * 1 / shards of the size each, as near as one row allows: a node of k leaves is cut at the weight
     floor(k/2)/k of its own. Null values stand at the low end. An empty table gives a tree of one leaf.
     """
     ends = rows.agg(F.count("*").alias("n"), *[F.min(d).alias(f"lo_{d}") for d in dims], *[F.max(d).alias(f"hi_{d}") for d in dims]).first()
     hashed = F.shiftrightunsigned(tie, 64 - TIE_BITS)
-    keyed = rows.withColumn("_node", F.lit(0))
+    keyed = rows.drop("shard").withColumn("_node", F.lit(0))
     for i, d in enumerate(dims):
         lo, span = ends[f"lo_{d}"], (ends[f"hi_{d}"] or 0) - (ends[f"lo_{d}"] or 0)
         scaled = F.floor((F.col(d) - lo) / span * (2**VALUE_BITS - 1)) if span else F.lit(0)

@@ -105,9 +105,12 @@ class RankOrder:
         return self.langs[order[0]], float(1 - best / (self.length * len(own))), float(gap)
 
 
-def identify(docs: DataFrame, profiles: dict[str, np.ndarray], text_col: str = "text", keep: list[str] | None = None, depth: int = DEPTH) -> DataFrame:
-    """`keep` columns with lang_pred ('und' for null texts and texts without a letter), score in 0 to 1, gap in 0 to 1."""
-    keep = docs.columns if keep is None else keep
+def identify(docs: DataFrame, profiles: dict[str, np.ndarray], text_col: str = "text", keep: list[str] | None = None, depth: int = DEPTH, names: tuple[str, str, str] = ("lang_pred", "score", "gap")) -> DataFrame:
+    """`keep` columns with lang_pred ('und' for null texts and texts without a letter), score in 0 to 1, gap in 0 to 1.
+
+    `names` are the added columns' names; columns of these names are replaced.
+    """
+    keep = [c for c in (docs.columns if keep is None else keep) if c not in names]
     model = docs.sparkSession.sparkContext.broadcast(profiles)
     rows = docs.select(*[F.col(c).alias(f"c{i}") for i, c in enumerate(keep)], F.col(text_col).alias("text"))
     kinds = rows.select(*rows.columns[:-1])
@@ -122,4 +125,4 @@ def identify(docs: DataFrame, profiles: dict[str, np.ndarray], text_col: str = "
 
     schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in kinds.schema)
     out = rows.mapInPandas(run, f"{schema}, lang_pred string, score double, gap double")
-    return out.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(keep)], "lang_pred", "score", "gap")
+    return out.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(keep)], *[F.col(c).alias(n) for c, n in zip(("lang_pred", "score", "gap"), names, strict=True)])

@@ -11,12 +11,12 @@ from pathflow.llm import exact_dedup, kd_shards, langid_rank, mix_hist, quality_
 from pathflow.llm.components import connected_components
 from pathflow.llm.superminhash import band_keys, signature
 
-SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, id string, size long, comp string, h long"
+SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, id string, size long, comp string, h long, kept string, row string, score string, copies string, shard int"
 
 
 def docs(spark, rows):
     """rows of (doc_id, text[, lang, source]); the extra columns clash with names that operators use inside."""
-    full = [(r[0], r[1], r[2] if len(r) > 2 else "en", r[3] if len(r) > 3 else "s", 0, "x", 1, "c", 2) for r in rows]
+    full = [(r[0], r[1], r[2] if len(r) > 2 else "en", r[3] if len(r) > 3 else "s", 0, "x", 1, "c", 2, "k", "r", "s", "n", 5) for r in rows]
     return spark.createDataFrame(full, SCHEMA)
 
 
