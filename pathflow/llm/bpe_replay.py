@@ -38,7 +38,7 @@ def load_ranks(path: str) -> dict[bytes, int]:
 
 
 class MergeReplay:
-    def __init__(self, ranks: dict[bytes, int], pattern: str, limit: int = 300_000):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, limit: int = 250_000):
         self.ranks, self.pattern, self.limit = ranks, regex.compile(pattern), limit
         self.vocabulary = {i: t for t, i in ranks.items()}
         self.packed = {t: i.to_bytes(4, "little") for t, i in ranks.items()}
@@ -173,7 +173,7 @@ def _run(spark: SparkSession, ranks_path: str, pattern: str, make):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         replay = replay_for(key, shared.value, pattern)
         for batch in batches:
-            for pdf in sliced(batch, 4_000_000):
+            for pdf in sliced(batch, 1_500_000):
                 packed = replay.encode_batch(["" if t is None else t for t in pdf["text"]])
                 yield make(pdf, packed, replay)
 
