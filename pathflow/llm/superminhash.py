@@ -230,9 +230,11 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     sketched = plain.withColumn("id", F.col("id").cast("string")).mapInPandas(_sketches(shingle, bands * rows, bands), "id string, n long, set_a long, set_b long, keys array<long>")
     sketch = materialize(sketched.withColumn("id", F.col("id").cast("long")), "sketch")
     linked = sketch.where("n > 0 AND id IS NOT NULL")
-    # one document for each distinct set; copies are combined before the shuffle
-    reps = linked.groupBy("set_a", "set_b").agg(F.min("id").alias("rep"))
-    heads = linked.join(reps, ["set_a", "set_b"]).where("id = rep").select("rep", "n", F.explode("keys").alias("key"))
+    # one document for each distinct set; copies are combined before the shuffle. As a table it is computed once, and the last join
+    # reads both sides from plain exchanges, which the adaptive planner can split where one set has very many copies
+    reps = materialize(linked.groupBy("set_a", "set_b").agg(F.min("id").alias("rep")), "reps")
+    # the id is among the join keys, so that copies of one text do not meet in one task
+    heads = linked.join(reps.withColumnRenamed("rep", "id"), ["id", "set_a", "set_b"]).select(F.col("id").alias("rep"), "n", F.explode("keys").alias("key"))
     shared = _distinct_buckets(heads)
     members = materialize(heads.join(shared, "key").distinct().withColumn("comp", F.col("rep")), "members")
     wanted = members.select(F.col("rep").alias("id")).distinct()
