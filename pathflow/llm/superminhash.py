@@ -243,7 +243,8 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     sets = materialize(texts.mapInPandas(_sets(shingle, mask), "id long, grams array<long>"), "sets")
     sets_once = sets.groupBy("id").agg(F.max("grams").alias("grams")) if not sets.groupBy("id").count().where("count > 1").isEmpty() else sets
     members = _linkable(members, sets_once, percent)
-    pivots = members.groupBy("key").agg(F.min(F.struct("rep", "n", "comp")).alias("p")).select("key", F.col("p.rep").alias("p_rep"), F.col("p.n").alias("p_n"))
+    # a table, as are `rest` and its open keys: a join right above an aggregate by the same key could not be split at a hot bucket
+    pivots = materialize(members.groupBy("key").agg(F.min(F.struct("rep", "n", "comp")).alias("p")).select("key", F.col("p.rep").alias("p_rep"), F.col("p.n").alias("p_n")), "pivots")
     near = (F.least("n", "p_n") * 100 >= F.greatest("n", "p_n") * percent) & (F.col("rep") > F.col("p_rep"))
     pairs = members.join(pivots, "key").where(near).select(F.col("rep").alias("a"), F.col("p_rep").alias("b")).distinct()
     labels = connected_components(_verified(pairs, sets_once, percent))
@@ -251,8 +252,11 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     rest = members.join(pivots.select("key", "p_rep"), "key").where("rep > p_rep").drop("p_rep")
     if labels is not None:
         rest = relabel(rest, "comp", labels)
-    open_keys = rest.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m")).where("lo < hi")
-    rest = materialize(rest.join(open_keys.select("key", "m"), "key").select("key", "rep", "comp", "m"), "rest")
+    left_over = materialize(rest.select("key", "rep", "comp"), "rest")
+    bounds = left_over.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m"))
+    open_keys = materialize(bounds.where("lo < hi").select("key", "m"), "open")
+    rest = materialize(left_over.join(open_keys, "key").select("key", "rep", "comp", "m"), "rest")
+    discard(pivots, left_over, open_keys)
     merged = connected_components(_block_links(rest, sets_once, percent))
     if merged is not None:
         older, step = labels, merged.select("node", "root")
