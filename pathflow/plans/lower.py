@@ -279,6 +279,21 @@ def run(graph: PropertyGraph, spark: SparkSession, walk: Walk, ids=None, frame:
     return end.df.drop("far")
 
 
+def run_in_batches(graph: PropertyGraph, spark: SparkSession, walk: Walk, frame: DataFrame, paths: int) -> DataFrame:
+    """The walk from every position of the frame, with origins: in as many batches of origins, by hash, as keep to about `paths` paths each.
+
+    All origins belong to one batch. The paths are counted first, by the walk without origins and ranks; each batch's result is stored before the next begins.
+    """
+    counted = run(graph, spark, Walk(tuple(s for s in walk.steps if s.op in ("edges", "end"))), frame=frame).agg(F.sum("weight")).first()[0] or 0
+    n = -(-counted // paths) or 1
+    out = None
+    for i in range(n):
+        some = frame.where(F.pmod(F.xxhash64("pos"), F.lit(n)) == i)
+        one = stored(run(graph, spark, walk, frame=some, per_origin=True), "batch")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def touched(graph: PropertyGraph, spark: SparkSession, walk: Walk, ids) -> DataFrame:
     """Counters of one run: step, op, positions, weight. One small aggregate per step, in one lazy union."""
     low = Lowering(graph, spark, tracing=True)

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..operators import baseline, measures, recommend, reduce
 from ..plans.explain import exchanges
-from ..plans.lower import materialize_edge, run, touched
+from ..plans.lower import materialize_edge, run, run_in_batches, touched
 from ..plans.rewrite import cost, optimize
 from ..plans.text import parse_walk
 from ..plans.traversal import HERE, compose
@@ -17,6 +17,9 @@ from .registry import query
 
 ME, NAME = 7, "Customer#000000007"
 
+#: Paths that the walks of one batch of origins take, about.
+BATCH_PATHS = 100_000_000
+
 
 def ids(code: int, *keys: int) -> list[int]:
     return [(code << 56) + k for k in keys]
@@ -192,6 +195,10 @@ def nation_of_me(g: Graphs) -> DataFrame:
     return c.join(F.broadcast(mine), F.col("c_nationkey") == F.col("n")).select((F.col("c_custkey") + (CUSTOMER << 56)).alias("pos"))
 
 
+def all_customers(g: Graphs) -> DataFrame:
+    return g.commerce().vertices("customer").select(F.col("vid").alias("pos"))
+
+
 @query(
     f"""WITH {LIKES}, c AS (SELECT c_custkey AS k FROM customer WHERE c_nationkey = (SELECT c_nationkey FROM customer WHERE c_custkey = 7))
 SELECT a.src AS a, b.src AS b, count(*) AS shared FROM likes a JOIN likes b ON a.dst = b.dst AND a.src <> b.src WHERE a.src IN (SELECT k FROM c) AND b.src IN (SELECT k FROM c) GROUP BY 1, 2"""
@@ -202,6 +209,13 @@ def virtual_copurchase(g: Graphs) -> DataFrame:
     return pairs.join(some, "pos", "left_semi").select(key("origin").alias("a"), key("pos").alias("b"), F.col("weight").alias("shared"))
 
 
+@query(f"WITH {LIKES} SELECT a.src AS a, b.src AS b, count(*) AS shared FROM likes a JOIN likes b ON a.dst = b.dst AND a.src <> b.src GROUP BY 1, 2")
+def virtual_copurchase_all(g: Graphs) -> DataFrame:
+    """Customer pairs of all nations, both ways."""
+    pairs = run(g.commerce(), g.spark, recommend.similar_people(), frame=all_customers(g), per_origin=True)
+    return pairs.select(key("origin").alias("a"), key("pos").alias("b"), F.col("weight").alias("shared"))
+
+
 @query(f"WITH {FRIEND} SELECT c.dst AS person, count(*) AS times FROM friend a JOIN friend b ON b.src = a.dst JOIN friend c ON c.src = b.dst WHERE a.src = 7 GROUP BY 1")
 def virtual_edge_reuse(g: Graphs) -> DataFrame:
     """Three friend steps, of which the first two are a stored virtual edge."""
@@ -299,6 +313,17 @@ def cf_top10_each(g: Graphs) -> DataFrame:
     return out.select(key("origin").alias("customer"), key("pos").alias("part"), "weight", "rank")
 
 
+@query(
+    f"""WITH {LIKES}, p AS (SELECT a.src AS customer, b.src AS other, count(*) AS shared FROM likes a JOIN likes b ON b.dst = a.dst AND b.src <> a.src GROUP BY 1, 2),
+r AS (SELECT customer, dst AS part, {total("shared")} AS weight FROM p JOIN likes ON src = other GROUP BY 1, 2)
+SELECT customer, part, weight, CAST(row_number() OVER (PARTITION BY customer ORDER BY weight DESC, part) AS INTEGER) AS rank FROM r QUALIFY rank <= 10"""
+)
+def cf_top10_all(g: Graphs) -> DataFrame:
+    """The top 10 of every customer, batch by batch of origins."""
+    out = run_in_batches(g.commerce(), g.spark, recommend.collaborative().rank(10), all_customers(g), BATCH_PATHS)
+    return out.select(key("origin").alias("customer"), key("pos").alias("part"), "weight", "rank")
+
+
 DEGREES = f"WITH {FEATURE}, f AS (SELECT dst, count(*) AS d FROM feature GROUP BY 1), r AS (SELECT src, count(*) AS d FROM feature GROUP BY 1)"
 SCORED = "FROM feature a JOIN f ON f.dst = a.dst JOIN feature b ON b.dst = a.dst AND b.src <> a.src JOIN r ON r.src = b.src WHERE a.src = 3"
 _OPTIONS = {

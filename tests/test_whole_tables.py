@@ -2,8 +2,12 @@
 
 from pyspark.sql import functions as F
 
+from pathflow.operators import recommend
+from pathflow.plans.lower import run, run_in_batches
 from pathflow.workloads.queries import QUERIES
 
+from .toys import graph
+
 SF = "/root/testdata/sf0.001"
 
 
@@ -16,3 +20,21 @@ def test_every_event_takes_the_static_hop(spark):
     liked = {r[0] for r in table(spark, "orders").join(lines, F.col("o_orderkey") == F.col("l_orderkey")).select("o_custkey").distinct().collect()}
     due = {r.event_id for r in table(spark, "events").collect() if r.user_id in liked}
     assert {r[0] for r in QUERIES["stream_static_hop_all"](spark, SF).select("event_id").distinct().collect()} == due
+
+
+def test_every_customer_with_company_has_a_top_10(spark):
+    pairs = QUERIES["virtual_copurchase_all"](spark, SF)
+    people = {r[0] for r in pairs.select("a").distinct().collect()}
+    nations = {r.c_custkey: r.c_nationkey for r in table(spark, "customer").collect()}
+    assert len({nations[p] for p in people}) > 1 and max(people) > 50
+    assert {r[0] for r in QUERIES["cf_top10_all"](spark, SF).select("customer").distinct().collect()} == people
+
+
+def test_batches_of_origins_lose_none(spark):
+    g = graph(spark, {"likes": [(p, r) for p in range(1, 21) for r in (100 + p, 101 + p)]})
+    start = spark.createDataFrame([(p,) for p in range(1, 21)], "pos long")
+    walk = recommend.collaborative().rank(2)
+    whole = run(g, spark, walk, frame=start, per_origin=True)
+    batches = run_in_batches(g, spark, walk, start, 10)
+    assert {tuple(r) for r in batches.collect()} == {tuple(r) for r in whole.collect()} and len(batches.inputFiles()) > 1
+    assert run_in_batches(g, spark, walk, start.limit(0), 10).count() == 0
