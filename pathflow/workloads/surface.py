@@ -23,11 +23,22 @@ from .walks import FEATURE, LIKES, PEOPLE, ids, key, keyed
 
 @query(f"WITH {LIKES}, e AS (SELECT * FROM likes WHERE src < 100) SELECT f AS format, (SELECT count(*) FROM e) AS edges, (SELECT CAST(sum(src * 31 + dst) AS BIGINT) FROM e) AS checksum FROM (VALUES ('csv'), ('json'), ('orc'), ('parquet'), ('text')) t(f)")
 def scan_formats_roundtrip(g: Graphs) -> DataFrame:
-    edges = g.commerce().edges("likes").select(key("src").alias("src"), key("dst").alias("dst")).where("src < 100")
+    """All edges go through each format; the counts are of the customers that the SQL names."""
+    return _roundtrips(g, "src < 100")
+
+
+@query(f"WITH {LIKES} SELECT f AS format, (SELECT count(*) FROM likes) AS edges, (SELECT CAST(sum(src * 31 + dst) AS BIGINT) FROM likes) AS checksum FROM (VALUES ('csv'), ('json'), ('orc'), ('parquet'), ('text')) t(f)")
+def scan_formats_roundtrip_all(g: Graphs) -> DataFrame:
+    return _roundtrips(g, "true")
+
+
+def _roundtrips(g: Graphs, counted: str) -> DataFrame:
+    edges = g.commerce().edges("likes").select(key("src").alias("src"), key("dst").alias("dst"))
     base, out = f"{shared_dir(g.spark)}/pathflow-graph/formats-{uuid.uuid4().hex}", None
     for fmt in ("csv", "json", "orc", "parquet", "text"):
         write_result(edges, f"{base}/{fmt}", fmt)
-        one = read_edge_list(g.spark, f"{base}/{fmt}", fmt).agg(F.count("*").alias("edges"), F.sum(F.col("src") * 31 + F.col("dst")).alias("checksum")).select(F.lit(fmt).alias("format"), "edges", "checksum")
+        back = read_edge_list(g.spark, f"{base}/{fmt}", fmt).where(counted)
+        one = back.agg(F.count("*").alias("edges"), F.sum(F.col("src") * 31 + F.col("dst")).alias("checksum")).select(F.lit(fmt).alias("format"), "edges", "checksum")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -121,8 +132,14 @@ def join_interval_events(g: Graphs) -> DataFrame:
 
 @query(f"WITH {FEATURE} SELECT src AS part, dst AS feature FROM feature WHERE src < 50")
 def join_lateral_features(g: Graphs) -> DataFrame:
+    """The parts that its SQL names, out of the join over all."""
+    return join_lateral_features_all(g).where("part < 50")
+
+
+@query(f"WITH {FEATURE} SELECT src AS part, dst AS feature FROM feature")
+def join_lateral_features_all(g: Graphs) -> DataFrame:
     name = f"lateral_{uuid.uuid4().hex}"
-    g.table("part").where("p_partkey < 50").createOrReplaceTempView(name)
+    g.table("part").createOrReplaceTempView(name)
     words = "transform(split(p_name, ' '), w -> 'word:' || w)"
     return g.spark.sql(f"SELECT p_partkey AS part, feature FROM {name}, LATERAL (SELECT explode(concat(array('brand:' || p_brand, 'type:' || p_type, 'size:' || p_size), {words})) AS feature)")
 
@@ -296,6 +313,12 @@ def udaf_weighted_pandas(g: Graphs) -> DataFrame:
 
 @query("SELECT p_partkey AS part, CAST(1 AS INTEGER) AS place, split_part(p_name, ' ', 1) AS word FROM part WHERE p_partkey < 100 UNION ALL SELECT p_partkey, 2, split_part(p_name, ' ', 2) FROM part WHERE p_partkey < 100")
 def udtf_words(g: Graphs) -> DataFrame:
+    """The parts that its SQL names, out of the join over all."""
+    return udtf_words_all(g).where("part < 100")
+
+
+@query("SELECT p_partkey AS part, CAST(i AS INTEGER) AS place, ws[i] AS word FROM (SELECT p_partkey, ws, unnest(range(1, len(ws) + 1)) AS i FROM (SELECT p_partkey, string_split(coalesce(p_name, ''), ' ') AS ws FROM part))")
+def udtf_words_all(g: Graphs) -> DataFrame:
     """A Python table function in a lateral join, for parity with explode."""
 
     @F.udtf(returnType="place int, word string")
@@ -305,14 +328,20 @@ def udtf_words(g: Graphs) -> DataFrame:
 
     g.spark.udtf.register("pf_words", Words)
     name = f"names_{uuid.uuid4().hex}"
-    g.table("part").where("p_partkey < 100").createOrReplaceTempView(name)
+    g.table("part").createOrReplaceTempView(name)
     return g.spark.sql(f"SELECT p_partkey AS part, place, word FROM {name}, LATERAL pf_words(p_name)")
 
 
 @query(f"WITH {LIKES}, l AS (SELECT src, list(dst ORDER BY dst) AS ds FROM likes WHERE src < 20 GROUP BY 1) SELECT src AS customer, CAST(i AS INTEGER) AS place, ds[i] AS part FROM (SELECT src, ds, unnest(range(1, len(ds) + 1)) AS i FROM l)")
 def udtf_paths(g: Graphs) -> DataFrame:
-    """Expand bounded adjacency lists with their place."""
-    e = g.commerce().edges("likes").select(key("src").alias("customer"), key("dst").alias("part")).where("customer < 20")
+    """The customers that its SQL names, out of all lists."""
+    return udtf_paths_all(g).where("customer < 20")
+
+
+@query(f"WITH {LIKES}, l AS (SELECT src, list(dst ORDER BY dst) AS ds FROM likes GROUP BY 1) SELECT src AS customer, CAST(i AS INTEGER) AS place, ds[i] AS part FROM (SELECT src, ds, unnest(range(1, len(ds) + 1)) AS i FROM l)")
+def udtf_paths_all(g: Graphs) -> DataFrame:
+    """Expand every customer's adjacency list with its place."""
+    e = g.commerce().edges("likes").select(key("src").alias("customer"), key("dst").alias("part"))
     lists = e.groupBy("customer").agg(F.sort_array(F.collect_list("part")).alias("ds"))
     return lists.select("customer", F.posexplode("ds").alias("place", "part")).select("customer", (F.col("place") + 1).alias("place"), "part")
 

@@ -38,3 +38,13 @@ def test_batches_of_origins_lose_none(spark):
     batches = run_in_batches(g, spark, walk, start, 10)
     assert {tuple(r) for r in batches.collect()} == {tuple(r) for r in whole.collect()} and len(batches.inputFiles()) > 1
     assert run_in_batches(g, spark, walk, start.limit(0), 10).count() == 0
+
+
+def test_surface_queries_take_every_part_and_customer(spark):
+    parts = {r.p_partkey for r in table(spark, "part").collect()}
+    for name in ("join_lateral_features_all", "udtf_words_all"):
+        assert {r.part for r in QUERIES[name](spark, SF).collect()} == parts
+    likes = QUERIES["agg_distinct"](spark, SF).groupBy().sum("people").first()[0]
+    paths = QUERIES["udtf_paths_all"](spark, SF)
+    assert paths.count() == likes and paths.where("customer >= 20").count() > 0
+    assert {r.edges for r in QUERIES["scan_formats_roundtrip_all"](spark, SF).collect()} == {likes}
