@@ -159,3 +159,19 @@ def signature_quotient(edges: DataFrame) -> DataFrame:
     a = members.select(F.col("src").alias("a"), F.col("sig").alias("sa"))
     b = members.select(F.col("src").alias("b"), F.col("sig").alias("sb"))
     return shares.join(a, "sa").join(b, "sb").where("a <> b").select("a", "b", "weight")
+
+
+def signature_totals(edges: DataFrame) -> DataFrame:
+    """(a, neighbours, shares): how many others share a feature with each resource, and how often in sum, as `signature_quotient` would expand to.
+
+    Shares between signatures are weighed by the members of the far one, so pairs of resources are never made; a resource's pairing with itself is
+    taken off, and resources without neighbours have no row.
+    """
+    sig = edges.groupBy("src").agg(F.sort_array(F.collect_set("dst")).alias("features"))
+    kinds = sig.groupBy("features").agg(F.count("*").alias("members")).withColumn("sig", F.xxhash64("features"))
+    each = kinds.select("sig", "members", F.explode("features").alias("dst"))
+    left, right = each.select("dst", F.col("sig").alias("sa")), each.select("dst", F.col("sig").alias("sb"), "members")
+    shares = left.join(right, "dst").groupBy("sa", "sb").agg(F.count("*").alias("n"), F.first("members").alias("members"))
+    totals = shares.groupBy("sa").agg(F.sum("members").alias("met"), F.sum(F.col("n") * F.col("members")).alias("shared"))
+    a = sig.select(F.col("src").alias("a"), F.xxhash64("features").alias("sa"), F.size("features").alias("own"))
+    return a.join(totals, "sa").select("a", (F.col("met") - 1).alias("neighbours"), (F.col("shared") - F.col("own")).alias("shares")).where("neighbours > 0")

@@ -686,6 +686,12 @@ def content_signature_quotient(g: Graphs) -> DataFrame:
     return pairs.groupBy(key("a").alias("part")).agg(F.count("*").alias("neighbours"), F.sum("weight").alias("shares"))
 
 
+@query(f"WITH {FEATURE} SELECT part, count(*) AS neighbours, CAST(sum(n) AS BIGINT) AS shares FROM (SELECT a.src AS part, b.src AS o, count(*) AS n FROM feature a JOIN feature b ON b.dst = a.dst AND b.src <> a.src GROUP BY 1, 2) GROUP BY 1")
+def content_signature_quotient_all(g: Graphs) -> DataFrame:
+    """Neighbours and content shares of every part, by signatures and their member counts."""
+    return recommend.signature_totals(g.commerce().edges("feature")).select(key("a").alias("part"), "neighbours", "shares")
+
+
 @query(f"WITH {LIKES} SELECT src AS customer, count(*) AS weight FROM likes WHERE src IN (7, 8, 9) GROUP BY 1")
 def roundtrip_degree(g: Graphs) -> DataFrame:
     """Out-edges then tail: a degree lookup, not a join of edges (rewritten)."""

@@ -48,3 +48,10 @@ def test_surface_queries_take_every_part_and_customer(spark):
     paths = QUERIES["udtf_paths_all"](spark, SF)
     assert paths.count() == likes and paths.where("customer >= 20").count() > 0
     assert {r.edges for r in QUERIES["scan_formats_roundtrip_all"](spark, SF).collect()} == {likes}
+
+
+def test_signature_totals_are_those_of_all_pairs(spark):
+    g = graph(spark, {"feature": [(1, 10), (1, 11), (2, 10), (2, 11), (3, 11), (3, 12), (4, 13), (30, 10), (31, 12)]})
+    e = g.edges("feature")
+    pairs = recommend.shared_pairs(e).groupBy("a").agg(F.count("*").alias("neighbours"), F.sum("weight").alias("shares"))
+    assert {tuple(r) for r in recommend.signature_totals(e).collect()} == {tuple(r) for r in pairs.collect()} == {(1, 3, 4), (2, 3, 4), (3, 3, 3), (30, 2, 2), (31, 1, 1)}
