@@ -398,6 +398,12 @@ def cooc_documents(g: Graphs) -> DataFrame:
     return recommend.content_scores(g.documents(), g.spark, ids(DOCUMENT, 1), novelty="max_degree", max_degree=50, label="has_word").select(key("pos").alias("doc"), "shared")
 
 
+@query(f"WITH {WORDS} SELECT b.src AS doc, count(*) AS shared FROM words a JOIN words b ON b.dst = a.dst AND b.src <> a.src WHERE a.src = 1 GROUP BY 1")
+def cooc_documents_all(g: Graphs) -> DataFrame:
+    """Content walk over all words of the document, however many others have them."""
+    return keyed(run(g.documents(), g.spark, recommend.content_neighbors("has_word"), ids(DOCUMENT, 1)), "doc", "shared")
+
+
 LINKS = """links AS (SELECT DISTINCT page_id AS src, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS dst FROM pages)"""
 
 

@@ -1,5 +1,7 @@
 """Queries that run over whole tables: no id range, filter or cap before the operator."""
 
+import re
+
 from pyspark.sql import functions as F
 
 from pathflow.operators import recommend
@@ -55,3 +57,12 @@ def test_signature_totals_are_those_of_all_pairs(spark):
     e = g.edges("feature")
     pairs = recommend.shared_pairs(e).groupBy("a").agg(F.count("*").alias("neighbours"), F.sum("weight").alias("shares"))
     assert {tuple(r) for r in recommend.signature_totals(e).collect()} == {tuple(r) for r in pairs.collect()} == {(1, 3, 4), (2, 3, 4), (3, 3, 3), (30, 2, 2), (31, 1, 1)}
+
+
+def test_a_word_in_many_documents_counts(spark):
+    """Brute force over all words of document 1, also those in more than 50 documents."""
+    words = {r.doc_id: set(re.findall(r"[^\W\d_]+", r.text.lower())) for r in table(spark, "documents").collect()}
+    mine = words.pop(1)
+    due = {d: len(mine & w) for d, w in words.items() if mine & w}
+    assert max(sum(x in w for w in words.values()) for x in mine) > 50
+    assert {r.doc: r.shared for r in QUERIES["cooc_documents_all"](spark, SF).collect()} == due
