@@ -112,9 +112,15 @@ class Lowering:
         return replace(f, df=out, kind="E", literal=None, fresh=f.fresh and tree)
 
     def _sample_out(self, f: Frontier, s: Step) -> Frontier:
+        return self._sampled(f, s, "out", "src")
+
+    def _sample_in(self, f: Frontier, s: Step) -> Frontier:
+        return self._sampled(f, s, "in", "dst")
+
+    def _sampled(self, f: Frontier, s: Step, direction: str, near: str) -> Frontier:
         label, k, seed = s.args
-        e = self._edges(f, Step("edges", ("out", (label,))))
-        order = W.partitionBy(*f.keys, "src").orderBy(F.xxhash64("eid", F.lit(seed)), "eid")
+        e = self._edges(f, Step("edges", (direction, (label,))))
+        order = W.partitionBy(*f.keys, near).orderBy(F.xxhash64("eid", *f.keys, F.lit(seed)), "eid")
         return replace(e, df=e.df.withColumn("_n", F.row_number().over(order)).where(F.col("_n") <= k).drop("_n"))
 
     def _end(self, f: Frontier, s: Step) -> Frontier:

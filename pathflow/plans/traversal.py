@@ -136,6 +136,10 @@ class Walk:
         """k pseudo-random outgoing edges of each position; then heads."""
         return self._then("sample_out", label, k, seed).head()
 
+    def sample_in(self, label: str, k: int, seed: int = 0) -> Walk:
+        """k pseudo-random incoming edges of each position; then tails. Runs that keep origins choose for each origin on its own."""
+        return self._then("sample_in", label, k, seed).tail()
+
     def simple_path(self) -> Walk:
         return self._then("simple_path")
 
@@ -169,7 +173,7 @@ def kind_after(walk: Walk, kind: str = "V") -> str:
     for s in walk.steps:
         if s.op == "edges":
             kind = _need(s, kind, "V", "E")
-        elif s.op == "sample_out":
+        elif s.op in ("sample_out", "sample_in"):
             kind = _need(s, kind, "V", "E")
         elif s.op == "end":
             kind = _need(s, kind, "E", "V")

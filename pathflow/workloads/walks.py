@@ -514,10 +514,10 @@ def sampled_cf_recall(g: Graphs) -> DataFrame:
 
 @query(None)
 def random_walk_visits(g: Graphs) -> DataFrame:
-    """Every customer takes one pseudo-random liked part, then one of its likers' parts: fixed-length seeded walks."""
-    start = g.commerce().vertices("customer").select(F.col("vid").alias("pos"))
-    walk = HERE.sample_out("likes", 1, 11).into("likes").sample(0.05, 12).sample_out("likes", 1, 13)
-    return keyed(run(g.commerce(), g.spark, walk, frame=start), "part", "visits")
+    """Every customer takes one pseudo-random liked part, then one of its likers, then one of that one's parts: fixed-length seeded walks, each with its own choices."""
+    walk = HERE.sample_out("likes", 1, 11).sample_in("likes", 1, 12).sample_out("likes", 1, 13)
+    ends = run(g.commerce(), g.spark, walk, frame=all_customers(g), per_origin=True)
+    return ends.groupBy(key("pos").alias("part")).agg(F.sum("weight").alias("visits"))
 
 
 @query(f"WITH {LIKES} SELECT dst AS part, count(*) AS times FROM likes WHERE src = 7 GROUP BY 1")

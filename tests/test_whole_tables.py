@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from pathflow.operators import recommend
 from pathflow.plans.lower import run, run_in_batches
+from pathflow.plans.traversal import HERE
 from pathflow.workloads.queries import QUERIES
 
 from .toys import graph
@@ -66,3 +67,16 @@ def test_a_word_in_many_documents_counts(spark):
     due = {d: len(mine & w) for d, w in words.items() if mine & w}
     assert max(sum(x in w for w in words.values()) for x in mine) > 50
     assert {r.doc: r.shared for r in QUERIES["cooc_documents_all"](spark, SF).collect()} == due
+
+
+def test_each_walker_takes_one_edge_in(spark):
+    g = graph(spark, {"likes": [(p, 100) for p in range(1, 41)]})
+    start = spark.createDataFrame([(p,) for p in range(1, 41)], "pos long")
+    ends = run(g, spark, HERE.sample_out("likes", 1, 1).sample_in("likes", 1, 2), frame=start, per_origin=True).collect()
+    assert sorted(r.origin for r in ends) == list(range(1, 41)) and len({r.pos for r in ends}) > 10
+
+
+def test_visits_add_up_to_the_walkers(spark):
+    lines = table(spark, "lineitem").select("l_orderkey")
+    walkers = table(spark, "orders").join(lines, F.col("o_orderkey") == F.col("l_orderkey")).select("o_custkey").distinct().count()
+    assert QUERIES["random_walk_visits"](spark, SF).groupBy().sum("visits").first()[0] == walkers
