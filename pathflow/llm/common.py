@@ -4,10 +4,11 @@ from __future__ import annotations
 
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -23,9 +24,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: `spark.checkpoint.dir`; an own one only where it is unset."""
+    """The folder that driver and executors share: `spark.checkpoint.dir`. Where it is unset, a run on one machine gets an own folder; a
+    cluster raises, as a folder of one machine would lose rows there."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = "file://" + tempfile.mkdtemp(prefix="pathflow-")
         spark.sparkContext.setCheckpointDir(base)
     return base.rstrip("/")
@@ -58,6 +63,16 @@ def discard(*frames: DataFrame | None) -> None:
             p.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(p, True)
 
 
+def fresh(taken: list[str], *names: str) -> list[str]:
+    """Names like `names` that are not in `taken`, whatever its case."""
+    have, out = {c.lower() for c in taken}, []
+    for name in names:
+        while name.lower() in have:
+            name += "_"
+        out.append(name)
+    return out
+
+
 def ascii_lower(text: Column) -> Column:
     """Lower-case A-Z and nothing else."""
     return F.translate(text, UPPER, LOWER)
@@ -73,25 +88,64 @@ def text_words(text: str | None) -> list[bytes]:
     return [] if text is None else text.encode("utf-8", "surrogatepass").lower().split()
 
 
-def sliced(pdf: pd.DataFrame, characters: int) -> Iterator[pd.DataFrame]:
-    """Slices of a batch with a bounded number of characters of its column `text` (one text at least)."""
-    part = (np.cumsum(pdf["text"].str.len().fillna(0).to_numpy()) // characters).astype(int)
-    for _, p in pdf.groupby(part, sort=True):
-        yield p
+#: Bytes of text that a worker turns into Python values at once.
+SLICE = 2 << 20
+
+
+def slices(batch: pa.RecordBatch, limit: int = SLICE) -> Iterator[pa.RecordBatch]:
+    """Slices of an Arrow batch with a bounded number of UTF-8 bytes in its column `text` (one row at least); nothing is copied."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column("text")), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    at = 0
+    while at < batch.num_rows:
+        stop = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + limit, "right")))
+        yield batch.slice(at, stop - at)
+        at = stop
+
+
+def over_slices(work: Callable[[pa.RecordBatch], pa.RecordBatch], limit: int = SLICE):
+    """A function for `mapInArrow` that applies `work` slice by slice, so that a worker's memory follows the longest text, not the batch."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield from map(work, slices(batch, limit))
+
+    return run
+
+
+def list_array(values: list[np.ndarray], kind: pa.DataType) -> pa.ListArray:
+    """Arrays of numbers as one Arrow list column."""
+    offsets = np.concatenate(([0], np.cumsum([len(v) for v in values], dtype=np.int64))).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(values) if values else [], kind))
 
 
 class WordHashes(dict):
-    """word -> signed 64-bit hash, kept for the words seen lately."""
+    """word -> signed 64-bit hash, kept for words seen lately: `limit` words of up to `longest` bytes each, about 25 MB in all."""
 
-    limit = 400_000
+    limit, longest = 150_000, 64
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) >= self.limit:
-            self.clear()
-        value = self[word] = self.hashed(word)
+        value = self.hashed(word)
+        if len(word) <= self.longest:
+            if len(self) >= self.limit:
+                self.clear()
+            self[word] = value
         return value
 
     @staticmethod
     def hashed(word: bytes) -> int:
         x = xxhash.xxh3_64_intdigest(word)
         return x - (1 << 64) if x >> 63 else x
+
+
+def cutoff(counts: DataFrame, most: int) -> int:
+    """The least value of `c` that at most `most` rows reach. Counts are binned (exact below 4096, 64 bins an octave above), so the driver gets
+    a few thousand rows whatever the corpus."""
+    c = F.col("c")
+    bins = counts.groupBy(F.when(c < 4096, c).otherwise(4096 + F.floor((F.log2(c.cast("double")) - 12) * 64)).alias("bin")).agg(F.min("c").alias("least"), F.count("*").alias("n"))
+    cut, taken = 1 << 62, 0
+    for r in sorted(bins.collect(), key=lambda r: -r["bin"]):
+        taken += r["n"]
+        if taken > most:
+            break
+        cut = r["least"]
+    return cut

@@ -17,14 +17,16 @@ from __future__ import annotations
 import math
 import operator
 from collections import Counter
-from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import list_array, over_slices
+
 BOUND = 8192
 #: Kinds of ASCII characters that are counted one by one.
 SIGNS = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~\n\t"
@@ -65,15 +67,13 @@ def features(text: str | None) -> np.ndarray:
 
 
 def feature_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, features array<float>; one row per row of `docs`."""
+    """id, features array<float>; one row per row of `docs`, repeats and null ids included. An empty table gives no rows. A long text is one slice."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            yield pd.DataFrame({"id": pdf["id"], "features": [features(t) for t in pdf["text"]]})
+    def work(part: pa.RecordBatch) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([part.column("id"), list_array([features(t) for t in part.column("text").to_pylist()], pa.float32())], ["id", "features"])
 
-    rows = docs.select(F.col(id_col).cast("string").alias("id"), F.col(text_col).alias("text"))
-    out = rows.mapInPandas(run, "id string, features array<float>")
-    return out.select(F.col("id").cast(docs.schema[id_col].dataType).alias(id_col), "features")
+    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    return rows.mapInArrow(over_slices(work), f"id {docs.schema[id_col].dataType.simpleString()}, features array<float>").withColumnRenamed("id", id_col)
 
 
 @dataclass

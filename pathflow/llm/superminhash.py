@@ -8,7 +8,7 @@ Banding: 32 bands of 4 rows; a pair at Jaccard 0.8 misses every band with probab
 Only one document of each distinct shingle set takes part, and of buckets with the same members only one.
 Buckets are resolved without emitting all pairs: first every member is compared with its bucket's least one, and verified links merge
 components. What is then left of a bucket (members in several components) goes through blocks: members are dealt to blocks of
-about 512, each pair of blocks is one small task that holds nothing else, compares members of different components by an inverted index
+about 512 members or half a million shingles, each pair of blocks is one small task that holds nothing else, compares members of different components by an inverted index
 of their full sets, and gives back a spanning forest of the links. Every pair of a bucket is thus connected or compared; groups of
 copies die after the first step with as many comparisons as members.
 """
@@ -19,11 +19,11 @@ import hashlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, discard, materialize, text_words
+from .common import WordHashes, discard, list_array, materialize, over_slices, text_words
 from .components import connected_components, relabel
 
 GOLDEN = np.uint64(0x9E3779B97F4A7C15)
@@ -49,19 +49,25 @@ def shingle_set(words: list[bytes], k: int, hashes: WordHashes) -> np.ndarray:
     return np.unique(x)
 
 
-def signature(elements: np.ndarray, m: int = 128) -> np.ndarray:
-    """SuperMinHash of a set of 64-bit elements: m values `level << 32 | uniform`."""
+def signature(elements: np.ndarray, m: int = 128, block: int = 16_384) -> np.ndarray:
+    """SuperMinHash of a set of 64-bit elements: m values `level << 32 | uniform`.
+
+    An element's draws depend on the element alone, so blocks of elements fold into the same slots one after another: memory is that of one
+    block, and later blocks stop earlier.
+    """
     best = np.full(m, np.iinfo(np.uint64).max, np.uint64)
-    rows = np.arange(len(elements))
-    perm = np.tile(np.arange(m, dtype=np.uint8 if m <= 256 else np.uint16), (len(elements), 1))
-    for level in range(m):
-        x = mix64(elements + np.uint64((level + 1) * int(GOLDEN) & (2**64 - 1)))
-        k = level + ((x >> np.uint64(40)) % np.uint64(m - level)).astype(np.int64)
-        slot = perm[rows, k]
-        perm[rows, k] = perm[:, level]
-        np.minimum.at(best, slot, (x & np.uint64(0xFFFFFFFF)) | np.uint64(level << 32))
-        if best.max() < np.uint64((level + 1) << 32):
-            break
+    for at in range(0, len(elements), block):
+        part = elements[at : at + block]
+        rows = np.arange(len(part))
+        perm = np.tile(np.arange(m, dtype=np.uint8 if m <= 256 else np.uint16), (len(part), 1))
+        for level in range(m):
+            if best.max() < np.uint64(level << 32):
+                break
+            x = mix64(part + np.uint64((level + 1) * int(GOLDEN) & (2**64 - 1)))
+            k = level + ((x >> np.uint64(40)) % np.uint64(m - level)).astype(np.int64)
+            slot = perm[rows, k]
+            perm[rows, k] = perm[:, level]
+            np.minimum.at(best, slot, (x & np.uint64(0xFFFFFFFF)) | np.uint64(level << 32))
     return best
 
 
@@ -73,19 +79,20 @@ def band_keys(sig: np.ndarray, bands: int) -> np.ndarray:
 
 
 def _sketches(shingle: int, m: int, bands: int):
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
-        for pdf in batches:
-            out = []
-            for text in pdf["text"]:
+
+        def work(part: pa.RecordBatch) -> pa.RecordBatch:
+            n, prints, keys = [], [], []
+            for text in part.column("text").to_pylist():
                 s = shingle_set(text_words(text), shingle, hashes)
-                if len(s):
-                    a, b = np.frombuffer(hashlib.blake2b(s.tobytes(), digest_size=16).digest(), np.int64)
-                    out.append((len(s), a, b, band_keys(signature(s, m), bands)))
-                else:
-                    out.append((0, None, None, None))
-            n, a, b, keys = zip(*out, strict=True) if out else ((), (), (), ())
-            yield pd.DataFrame({"id": pdf["id"], "n": n, "set_a": pd.array(a, "Int64"), "set_b": pd.array(b, "Int64"), "keys": pd.Series(keys, dtype=object)})
+                n.append(len(s))
+                prints.append(np.frombuffer(hashlib.blake2b(s.tobytes(), digest_size=16).digest(), np.int64))
+                keys.append(band_keys(signature(s, m), bands) if len(s) else np.empty(0, np.int64))
+            a, b = (pa.array([int(x[i]) if c else None for x, c in zip(prints, n, strict=True)], pa.int64()) for i in range(2))
+            return pa.RecordBatch.from_arrays([part.column("id"), pa.array(n, pa.int64()), a, b, list_array(keys, pa.int64())], ["id", "n", "set_a", "set_b", "keys"])
+
+        yield from over_slices(work)(batches)
 
     return run
 
@@ -112,13 +119,18 @@ def _id_mask(ids: DataFrame) -> tuple[int, bytes] | None:
 
 
 def _sets(shingle: int, mask: tuple[int, bytes] | None):
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
         bits = mask and np.unpackbits(np.frombuffer(mask[1], np.uint8), bitorder="little").astype(bool)
-        for pdf in batches:
+
+        def work(part: pa.RecordBatch) -> pa.RecordBatch:
+            grams = [shingle_set(text_words(t), shingle, hashes).view(np.int64) for t in part.column("text").to_pylist()]
+            return pa.RecordBatch.from_arrays([part.column("id"), list_array(grams, pa.int64())], ["id", "grams"])
+
+        for batch in batches:
             if mask:
-                pdf = pdf[bits[pdf["id"].to_numpy() % mask[0]]]
-            yield pd.DataFrame({"id": pdf["id"].to_numpy(), "grams": pd.Series([shingle_set(text_words(t), shingle, hashes).view(np.int64) for t in pdf["text"]], dtype=object)})
+                batch = batch.filter(pa.array(bits[batch.column("id").to_numpy() % mask[0]]))
+            yield from over_slices(work)([batch])
 
     return run
 
@@ -174,33 +186,39 @@ def links_in_block(comps: np.ndarray, grams: list[np.ndarray], blocks: np.ndarra
     return out
 
 
-def _block_links(rest: DataFrame, sets: DataFrame, percent: int, block: int = 512) -> DataFrame:
-    """Edges (u, v) between components from all pairs inside the buckets of `rest` (key, rep, comp, m), by pairs of blocks."""
-    count = F.greatest(F.ceil(F.col("m") / block), F.lit(1)).cast("int")
+def _block_links(rest: DataFrame, sets: DataFrame, percent: int, block: int = 512, shingles: int = 1 << 19) -> DataFrame:
+    """Edges (u, v) between components from all pairs inside the buckets of `rest` (key, rep, comp, m, w), by pairs of blocks.
+
+    A bucket of m members with w shingles in all is dealt to as many blocks as keep one to about `block` members and `shingles` shingles.
+    """
+    count = F.greatest(F.ceil(F.col("m") / block), F.ceil(F.col("w") / shingles), F.lit(1)).cast("int")
     dealt = rest.withColumn("blocks", count).withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
     filled = dealt.join(sets.withColumnRenamed("id", "rep"), "rep")
     met = filled.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     rows = met.select("key", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "comp", "grams")
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, held = None, []
 
-        def flush() -> pd.DataFrame:
+        def flush() -> pa.RecordBatch:
             comps, blocks, grams = (list(x) for x in zip(*held, strict=True))
             links = links_in_block(np.array(comps), grams, np.array(blocks), percent) if len(set(comps)) > 1 else []
-            return pd.DataFrame(links, columns=["u", "v"], dtype=np.int64)
-
-        for pdf in batches:
-            for key, lo, hi, own, comp, grams in zip(pdf["key"], pdf["lo"], pdf["hi"], pdf["own"], pdf["comp"], pdf["grams"], strict=True):
-                if (key, lo, hi) != at:
+            return pa.RecordBatch.from_arrays([pa.array([x[i] for x in links], pa.int64()) for i in range(2)], ["u", "v"])
+
+        for batch in batches:
+            grams = batch.column("grams")
+            ends, values = grams.offsets.to_numpy(), grams.values.to_numpy()
+            places = zip(*[batch.column(c).to_pylist() for c in ("key", "lo", "hi")], strict=True)
+            for i, (place, comp, own) in enumerate(zip(places, batch.column("comp").to_pylist(), batch.column("own").to_pylist(), strict=True)):
+                if place != at:
                     if held:
                         yield flush()
-                    at, held = (key, lo, hi), []
-                held.append((comp, own, grams))
+                    at, held = place, []
+                held.append((comp, own, values[ends[i] : ends[i + 1]]))
         if held:
             yield flush()
 
-    return rows.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi").mapInPandas(run, "u long, v long")
+    return rows.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi").mapInArrow(run, "u long, v long")
 
 
 def _linkable(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -223,12 +241,11 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
 
     Documents link if 100 * |intersection| >= percent * |union| of their shingle sets. Null or wordless texts are
     linked with nothing. Rows with a null id get a null component and are not kept; rows that repeat an id are
-    one document. Extra columns are ignored.
+    one document, judged by the text with the most shingles of theirs that comes last. An empty table gives no rows. A very long text costs its words and
+    8 bytes a shingle, nothing else grows with it. Extra columns are ignored, whatever their names.
     """
     plain = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    # ids travel as text: pandas would turn a column with nulls into floats
-    sketched = plain.withColumn("id", F.col("id").cast("string")).mapInPandas(_sketches(shingle, bands * rows, bands), "id string, n long, set_a long, set_b long, keys array<long>")
-    sketch = materialize(sketched.withColumn("id", F.col("id").cast("long")), "sketch")
+    sketch = materialize(plain.mapInArrow(_sketches(shingle, bands * rows, bands), "id long, n long, set_a long, set_b long, keys array<long>"), "sketch")
     linked = sketch.where("n > 0 AND id IS NOT NULL")
     # one document for each distinct set; copies are combined before the shuffle. As a table it is computed once, and the last join
     # reads both sides from plain exchanges, which the adaptive planner can split where one set has very many copies
@@ -240,7 +257,7 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     wanted = members.select(F.col("rep").alias("id")).distinct()
     mask = _id_mask(wanted)
     texts = plain.where("id IS NOT NULL") if mask else plain.join(wanted, "id", "left_semi")
-    sets = materialize(texts.mapInPandas(_sets(shingle, mask), "id long, grams array<long>"), "sets")
+    sets = materialize(texts.mapInArrow(_sets(shingle, mask), "id long, grams array<long>"), "sets")
     sets_once = sets.groupBy("id").agg(F.max("grams").alias("grams")) if not sets.groupBy("id").count().where("count > 1").isEmpty() else sets
     members = _linkable(members, sets_once, percent)
     # a table, as are `rest` and its open keys: a join right above an aggregate by the same key could not be split at a hot bucket
@@ -252,10 +269,10 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
     rest = members.join(pivots.select("key", "p_rep"), "key").where("rep > p_rep").drop("p_rep")
     if labels is not None:
         rest = relabel(rest, "comp", labels)
-    left_over = materialize(rest.select("key", "rep", "comp"), "rest")
-    bounds = left_over.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m"))
-    open_keys = materialize(bounds.where("lo < hi").select("key", "m"), "open")
-    rest = materialize(left_over.join(open_keys, "key").select("key", "rep", "comp", "m"), "rest")
+    left_over = materialize(rest.select("key", "rep", "comp", "n"), "rest")
+    bounds = left_over.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m"), F.sum("n").alias("w"))
+    open_keys = materialize(bounds.where("lo < hi").select("key", "m", "w"), "open")
+    rest = materialize(left_over.join(open_keys, "key").select("key", "rep", "comp", "m", "w"), "rest")
     discard(pivots, left_over, open_keys)
     merged = connected_components(_block_links(rest, sets_once, percent))
     if merged is not None:
