@@ -105,25 +105,29 @@ def render(role: Column, text: Column) -> Column:
     return F.concat(F.lit(START), head, F.lit("\n"), escape(F.coalesce(text, F.lit(""))), F.lit(END))
 
 
-def format_turns(turns: DataFrame, conv: str = "conv_id", turn: str = "turn", role: str = "role", text: str = "text") -> DataFrame:
-    """One row per conversation: conv, formatted, loss_spans (start, end in code points of `formatted`, assistant texts).
+def format_turns(turns: DataFrame, conv: str = "conv_id", turn: str = "turn", role: str = "role", text: str = "text", learn: str = "assistant") -> DataFrame:
+    """One row per conversation: conv, formatted, loss_spans (array of begin, end: where the texts of role `learn` stand in the UTF-8 bytes of `formatted`).
 
-    Turns are rendered where they are read and ordered by (turn, role, text), nulls first; only rendered strings are grouped. A
-    conversation is one value, so its rows meet in one task; nothing else of it does. Null texts and roles are empty.
+    Turns are rendered where they are read and ordered by (turn, role, text), nulls first; rows that repeat are a turn each. Null texts and roles are empty. Null
+    conversations are one conversation. An empty table gives no rows. Long texts are never cut; a conversation is one value, so its rows meet in one task; nothing else
+    of it does. Extra columns are ignored, whatever their names.
     """
-    rendered = render(F.col(role), F.col(text))
-    rows = turns.select(F.col(conv).alias("conv"), F.struct(F.col(turn).alias("t"), F.col(role).alias("r"), rendered.alias("s")).alias("x"))
-    grouped = rows.groupBy("conv").agg(F.array_sort(F.collect_list("x"), lambda a, b: _order(a, b)).alias("xs"))
-    joined = F.array_join(F.transform("xs", lambda x: x["s"]), "")
-    return grouped.select(F.col("conv").alias(conv), joined.alias("formatted"))
+    body = escape(F.coalesce(F.col(text), F.lit("")))
+    rows = turns.select(F.col(conv).alias("conv"), F.col(turn).alias("t"), F.col(role).alias("r"), F.col(text).alias("x"), render(F.col(role), F.col(text)).alias("s"), F.octet_length(body).alias("n"))
+    upto = W.partitionBy("conv").orderBy(F.asc_nulls_first("t"), F.asc_nulls_first("r"), F.asc_nulls_first("x")).rowsBetween(W.unboundedPreceding, 0)
+    # the window and the grouping share one exchange
+    placed = rows.withColumn("end", F.sum(F.octet_length("s")).over(upto) - F.lit(len(END)))
+    learned = F.coalesce(F.col("r") == learn, F.lit(False))
+    part = F.struct("end", "s", (F.col("end") - F.col("n")).alias("begin"), learned.alias("learned"))
+    grouped = placed.groupBy("conv").agg(F.array_sort(F.collect_list(part)).alias("parts"))
+    spans = F.transform(F.filter("parts", lambda p: p["learned"]), lambda p: F.struct(p["begin"].alias("begin"), p["end"].alias("end")))
+    return grouped.select(F.col("conv").alias(conv), F.array_join(F.transform("parts", lambda p: p["s"]), "").alias("formatted"), spans.alias("loss_spans"))
 
 
-def _order(a: Column, b: Column) -> Column:
-    def one(x: Column, y: Column, rest: Column) -> Column:
-        both = F.when(x < y, -1).when(x > y, 1).otherwise(rest)
-        return F.when(x.isNull() & y.isNull(), rest).when(x.isNull(), -1).when(y.isNull(), 1).otherwise(both)
-
-    return one(a["t"], b["t"], one(a["r"], b["r"], one(a["s"], b["s"], F.lit(0)))).cast("int")
+def under_mask(formatted: Column, spans: Column) -> Column:
+    """The texts that the mask covers, cut from `formatted` by their spans and unescaped: an array of strings."""
+    raw = formatted.cast("binary")
+    return F.transform(spans, lambda s: unescape(F.substring(raw, s["begin"].cast("int") + 1, (s["end"] - s["begin"]).cast("int")).cast("string")))
 
 
 def read_back(formatted: Column) -> Column:
@@ -138,12 +142,3 @@ def read_back(formatted: Column) -> Column:
         return F.struct(unescape(F.replace(role, F.lit("&#10;"), F.lit("\n"))).alias("role"), unescape(text).alias("text"))
 
     return F.transform(bodies, turn)
-
-
-def loss_spans(turns: DataFrame, conv: str = "conv_id", turn: str = "turn", role: str = "role", text: str = "text") -> DataFrame:
-    """conv, turn, start, end: where assistant texts stand in the formatted string (escaped, in code points)."""
-    size = F.length(render(F.col(role), F.col(text)))
-    order = W.partitionBy(conv).orderBy(F.asc_nulls_first(turn), F.asc_nulls_first(role), F.asc_nulls_first(text)).rowsBetween(W.unboundedPreceding, 0)
-    ends = turns.withColumn("_end", F.sum(size).over(order) - F.lit(len(END)))
-    spans = ends.where(F.col(role) == "assistant")
-    return spans.select(conv, turn, (F.col("_end") - F.length(escape(F.coalesce(F.col(text), F.lit(""))))).alias("start"), F.col("_end").alias("end"))
