@@ -51,16 +51,19 @@ def kd_shards(rows: DataFrame, dims: list[str], size: str, tie: Column, shards:
     """The fitted tree, and `rows` with the column `shard` (replaced if there is one) instead of `dims`, as a table in the shared folder.
 
     Leaves take total * 1 / shards of the size each, as near as one row allows: a node of k leaves is cut at the weight
-    floor(k/2)/k of its own. Null values stand at the low end. An empty table gives a tree of one leaf.
+    floor(k/2)/k of its own. Null values stand at the low end; null sizes weigh nothing. Rows with equal keys (repeats) stay together. An empty table gives
+    a tree of one leaf. Long texts are only carried. Other columns may have any name.
     """
     ends = rows.agg(F.count("*").alias("n"), *[F.min(d).alias(f"lo_{d}") for d in dims], *[F.max(d).alias(f"hi_{d}") for d in dims]).first()
     hashed = F.shiftrightunsigned(tie, 64 - TIE_BITS)
-    keyed = rows.drop("shard").withColumn("_node", F.lit(0))
+    kept = [c for c in rows.columns if c not in dims and c != "shard"]
+    keys = []
     for i, d in enumerate(dims):
         lo, span = ends[f"lo_{d}"], (ends[f"hi_{d}"] or 0) - (ends[f"lo_{d}"] or 0)
         scaled = F.floor((F.col(d) - lo) / span * (2**VALUE_BITS - 1)) if span else F.lit(0)
-        keyed = keyed.withColumn(f"_k{i}", F.shiftleft(F.coalesce(scaled.cast("long"), F.lit(0).cast("long")), TIE_BITS).bitwiseOR(hashed))
-    at = materialize(keyed.drop(*dims), "kd")
+        keys.append(F.shiftleft(F.coalesce(scaled.cast("long"), F.lit(0).cast("long")), TIE_BITS).bitwiseOR(hashed).alias(f"_k{i}"))
+    at = materialize(rows.select(F.struct(*kept).alias("_row"), F.coalesce(F.col(size), F.lit(0)).alias("_size"), F.lit(0).alias("_node"), *keys), "kd")
+    size = "_size"
     root = Node(shards if ends["n"] else 1, 0)
     level = [root]
     while open_nodes := {n.first: n for n in level if n.leaves > 1}:
@@ -107,17 +110,19 @@ def kd_shards(rows: DataFrame, dims: list[str], size: str, tie: Column, shards:
         split = materialize(at.withColumn("_node", moved), "kd")
         discard(at)
         at, level = split, [c for n in open_nodes.values() for c in (n.low, n.high)]
-    return root, at.withColumnRenamed("_node", "shard").drop(*[f"_k{i}" for i in range(len(dims))])
+    return root, at.select("_row.*", F.col("_node").alias("shard"))
 
 
 def number_slots(rows: DataFrame, shard: str, order: list[str], rows_a_bucket: int = 50_000) -> DataFrame:
     """`slot`: 0, 1, 2, ... within each shard, numbered in hash buckets so that no task sorts a whole shard."""
     n = rows.groupBy(shard).count().agg(F.max("count")).first()[0] or 0
     buckets = 1 << max(4, (n // rows_a_bucket).bit_length())
-    dealt = rows.withColumn("_bucket", F.pmod(F.xxhash64(*order), F.lit(buckets)).cast("int"))
-    counts = dealt.groupBy(F.col(shard).alias("_s"), F.col("_bucket").alias("_sb")).count()
-    before = W.partitionBy("_s").orderBy("_sb").rowsBetween(W.unboundedPreceding, -1)
-    starts = counts.select("_s", "_sb", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("_start"))
-    inside = F.row_number().over(W.partitionBy(shard, "_bucket").orderBy(*order))
-    joined = dealt.withColumn("_in", inside).join(starts, (F.col(shard) == F.col("_s")) & (F.col("_bucket") == F.col("_sb")))
-    return joined.withColumn("slot", (F.col("_start") + F.col("_in") - 1).cast("long")).drop("_bucket", "_s", "_sb", "_start", "_in")
+    keys = [f"o{i}" for i in range(len(order))]
+    dealt = rows.select(F.struct(*[c for c in rows.columns if c != "slot"]).alias("row"), F.col(shard).alias("s"), *[F.col(c).alias(k) for c, k in zip(order, keys, strict=True)])
+    dealt = dealt.withColumn("b", F.pmod(F.xxhash64(*keys), F.lit(buckets)).cast("int"))
+    counts = dealt.groupBy("s", "b").count()
+    before = W.partitionBy("s").orderBy("b").rowsBetween(W.unboundedPreceding, -1)
+    starts = counts.select("s", "b", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first"))
+    inside = F.row_number().over(W.partitionBy("s", "b").orderBy(*keys))
+    joined = dealt.withColumn("n", inside).join(starts, ["s", "b"])
+    return joined.select("row.*", (F.col("first") + F.col("n") - 1).cast("long").alias("slot"))

@@ -14,6 +14,8 @@ SHARDS = 24
 
 
 def op1_kd_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Law `bytes`. Equal texts are the groups that may be hot: their rows differ in the low bits of their keys, so a large group is split over shards
+    where near equal sizes ask for it. Null texts have size 8, rows that repeat stay together, an empty table gives no rows."""
     docs = table(spark, sf_dir, "documents")
     size = F.coalesce(F.octet_length("text"), F.lit(0)).cast("long") + 8
     crc = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
@@ -115,7 +117,7 @@ def op10_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = chat_schema.canonical_turns(records).select("conv_id", "turn", F.explode("turns").alias("x")).select("conv_id", "turn", "x.role", "x.text")
     parsed = chat_schema.format_turns(turns).withColumn("back", chat_schema.read_back(F.col("formatted")))
     whole = F.array_join(F.transform("back", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
-    loss = F.array_join(F.transform(F.filter("back", lambda t: t["role"] == "assistant"), lambda t: t["text"]), "")
+    loss = F.array_join(chat_schema.under_mask(F.col("formatted"), F.col("loss_spans")), "")
     return parsed.select(
         "conv_id",
         F.size("back").cast("long").alias("n_turns"),

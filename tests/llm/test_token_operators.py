@@ -147,10 +147,12 @@ def test_chat_round_trip(spark):
     assert got[3] == [("a", "1"), ("b", "2")] and got[None] == [("user", "n")]
     formatted = {r.conv_id: r.formatted for r in out}
     assert formatted[1].count("<|im_end|>") == 7
-    spans = chat_schema.loss_spans(turns(spark, rows[:8])).collect()
-    for s in spans:
-        text = next(t for c, i, _, t in rows if (c, i) == (s.conv_id, s.turn))
-        assert formatted[s.conv_id][s.start : s.end].replace("&lt;|", "<|").replace("&amp;", "&") == (text or "")
+    want = {c: [t or "" for k, _, r, t in rows if k == c and r == "assistant"] for c in formatted}
+    for r in out:
+        cut = [r.formatted.encode()[s.begin : s.end].decode().replace("&lt;|", "<|").replace("&amp;", "&") for s in r.loss_spans]
+        assert cut == want[r.conv_id]
+    masked = chat_schema.format_turns(turns(spark, rows)).select("conv_id", chat_schema.under_mask(F.col("formatted"), F.col("loss_spans")).alias("m")).collect()
+    assert {r.conv_id: r.m for r in masked} == want
     assert chat_schema.format_turns(turns(spark, [])).count() == 0
 
 
