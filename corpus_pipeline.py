@@ -1,58 +1,5 @@
-"""Corpus pipeline: language ID, exact dedup, MinHash near-dedup, source mixing, byte-level BPE.
+"""The corpus pipeline: STAGES, run() and ORACLE_SQL, as defined in `pathflow/llm/pipeline.py`."""
 
-Each stage takes (spark, docs, sf_dir) and works on all that its predecessor kept; run() writes each stage's rows as Parquet in the
-shared folder and reads them again for the next.
-"""
+from pathflow.llm.pipeline import ORACLE_SQL, STAGES, run
 
-from __future__ import annotations
-
-import public_tokenizers
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
-
-from pathflow.llm import bpe_replay, exact_dedup, langid_rank, mix_hist, superminhash
-from pathflow.llm.common import materialize, table
-
-#: A document is rejected without a letter, or if it is this far from every language profile.
-LEAST_SCORE = 0.15
-
-
-def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Learns the profiles from the documents themselves; a kept row whose lang is null gets the predicted one."""
-    found = langid_rank.identify(docs, langid_rank.language_profiles(docs), names=("_pred", "_score", "_gap"))
-    kept = found.where((F.col("_pred") != "und") & (F.col("_score") >= LEAST_SCORE))
-    return kept.withColumn("lang", F.coalesce("lang", "_pred")).select(*docs.columns)
-
-
-def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return exact_dedup.drop_exact(docs, keep="max")
-
-
-def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Five-word shingles, similarity 0.8; the least id of each group stays."""
-    groups = superminhash.near_duplicate_components(docs, shingle=5, percent=80).where("NOT kept AND doc_id IS NOT NULL").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(groups, docs.doc_id == F.col("_gone"), "left_anti")
-
-
-def mix_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """A document that the mix takes twice stands twice; one that it does not take goes."""
-    copies = mix_hist.mix(docs).groupBy("doc_id").agg(F.max("copies").alias("_copies")).where("_copies > 0").withColumnRenamed("doc_id", "_id")
-    taken = docs.join(copies, docs.doc_id.eqNullSafe(F.col("_id")))
-    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select(*docs.columns)
-
-
-def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return bpe_replay.encode_digests(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
-
-
-STAGES = [("language_id", language_stage), ("exact_dedup", exact_stage), ("near_dedup", near_stage), ("mix_sources", mix_stage), ("byte_bpe", token_stage)]
-
-#: Profiles, signatures and merges have no SQL form; tests hold run() against a brute-force version.
-ORACLE_SQL = None
-
-
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
-    for name, stage in STAGES[:-1]:
-        docs = materialize(stage(spark, docs, sf_dir), name)
-    return STAGES[-1][1](spark, docs, sf_dir)
+__all__ = ["ORACLE_SQL", "STAGES", "run"]
