@@ -8,16 +8,18 @@ grouping columns after their last use.
 from __future__ import annotations
 
 from dataclasses import dataclass, field, replace
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.predicates import compare
+from ..sources.dictionary import global_rank
 from ..sources.graph import PropertyGraph, UnknownKey
 from ..sources.scratch import stored
 from .rewrite import optimize
-from .traversal import BindError, Step, Walk, kind_after
+from .traversal import BindError, Step, Walk, kind_after, marks_used
 
 #: Literal starts up to this many ids become an IN list on the edge scan.
 IN_LIST = 10_000
@@ -43,6 +45,7 @@ class Lowering:
     spark: SparkSession
     trace: list = field(default_factory=list)  # (step number, text, frontier) if asked for
     tracing: bool = False
+    after: frozenset[str] = frozenset()  # marks that are compared with after the step at hand
 
     def start(self, ids=None, frame: DataFrame | None = None, per_origin: bool = False, mode: str = "bulk") -> Frontier:
         """ids: vertex ids, repeats count. frame: a DataFrame with `pos` and maybe `weight`, or (origin, pos)."""
@@ -73,20 +76,34 @@ class Lowering:
             return f
         return replace(f, df=f.df.groupBy(*by).agg(F.sum("weight").alias("weight")), fresh=True)
 
-    def run(self, walk: Walk, f: Frontier) -> Frontier:
-        kind_after(walk, f.kind)
+    def run(self, walk: Walk, f: Frontier, live: frozenset[str] = frozenset()) -> Frontier:
+        """live: marks that are compared with after this walk."""
         steps = walk.steps
         for i, s in enumerate(steps):
-            later = {t.args[1] for t in steps[i:] if t.op == "marked"}
-            dead = [k for k in f.keys if k.startswith("m_") and k[2:] not in later and not (s.op == "mark" and k == f"m_{s.args[0]}")]
-            if dead:
-                f = replace(f, df=f.df.drop(*dead), keys=tuple(k for k in f.keys if k not in dead), fresh=False)
-                f = self.bulk(f) if f.kind == "V" else f
-            f = getattr(self, f"_{s.op}")(f, s)
+            later = marks_used(steps[i:]) | live
+            f = self._forget(f, {k for k in f.keys if k.startswith("m_") and k[2:] not in later and not (s.op == "mark" and k == f"m_{s.args[0]}")})
+            self.after = frozenset(marks_used(steps[i + 1 :]) | live)
+            before, f = f, getattr(self, f"_{s.op}")(f, s)
             if self.tracing:
-                self.trace.append((len(self.trace), str(s), f))
+                self.trace.append((len(self.trace), s, before, f))
         return f
 
+    def _forget(self, f: Frontier, dead: set[str]) -> Frontier:
+        if not dead:
+            return f
+        f = replace(f, df=f.df.drop(*dead), keys=tuple(k for k in f.keys if k not in dead), fresh=False)
+        return f if f.kind == "E" else self.bulk(f)
+
+    def _run_arm(self, f: Frontier, walk: Walk, after: frozenset[str]) -> Frontier:
+        """A walk from f whose own marks end with it: keys are those of f that are still needed, columns those that all arms share."""
+        end = self.run(walk, f, after)
+        keys = tuple(k for k in f.keys if k == "origin" or k[2:] in after)
+        end = self._forget(end, {k for k in end.keys if k not in keys})
+        extra = ["path"] if end.mode == "paths" else []
+        if end.kind == "E":
+            return end
+        return self.bulk(replace(end, df=end.df.select(*keys, end.position, "weight", *extra), keys=keys))
+
     # -- steps
     def _edges(self, f: Frontier, s: Step) -> Frontier:
         direction, labels = s.args
@@ -120,7 +137,8 @@ class Lowering:
     def _sampled(self, f: Frontier, s: Step, direction: str, near: str) -> Frontier:
         label, k, seed = s.args
         e = self._edges(f, Step("edges", (direction, (label,))))
-        order = W.partitionBy(*f.keys, near).orderBy(F.xxhash64("eid", *f.keys, F.lit(seed)), "eid")
+        # md5 of edge id, keys and seed: the same choice in every engine and for every parallelism
+        order = W.partitionBy(*f.keys, near).orderBy(F.md5(F.concat_ws(":", "eid", *f.keys, F.lit(seed)).cast("binary")), "eid")
         return replace(e, df=e.df.withColumn("_n", F.row_number().over(order)).where(F.col("_n") <= k).drop("_n"))
 
     def _end(self, f: Frontier, s: Step) -> Frontier:
@@ -157,19 +175,33 @@ class Lowering:
         hit = F.col("label").isin(*labels)
         return replace(f, df=f.df.where(hit if keep else ~hit))
 
-    def _matching(self, key: str, op: str, value) -> DataFrame:
-        p = self.graph.with_property(key)
-        return p.where(compare(F.col("value"), op, value)).select("vid")
-
     def _property(self, f: Frontier, s: Step) -> Frontier:
-        keep, key, op, value = s.args
+        return self._properties(f, Step("properties", (s.args,)))
+
+    def _properties(self, f: Frontier, s: Step) -> Frontier:
+        """All filters of the step in one pass: vertices meet one table that has the keys of all of them."""
         if f.kind == "E":
-            if f"p_{key}" not in f.df.columns:
-                raise UnknownKey(key)
-            hit = F.coalesce(compare(F.col(f"p_{key}"), op, value), F.lit(False))
-            return replace(f, df=f.df.where(hit if keep else ~hit))
-        hits = self._matching(key, op, value)
-        return replace(f, df=f.df.join(hits, f.df.pos == hits.vid, "left_semi" if keep else "left_anti"))
+            for _, key, _, _ in s.args:
+                if f"p_{key}" not in f.df.columns:
+                    raise UnknownKey(key)
+            passes = [self._test(F.col(f"p_{key}"), keep, op, value) for keep, key, op, value in s.args]
+            return replace(f, df=f.df.where(reduce(Column.__and__, passes)))
+        kept = [t for t in s.args if t[0]]
+        for wanted, how in ((kept, "left_semi"), ([t for t in s.args if not t[0]], "left_anti")):
+            if wanted and how == "left_semi":  # a vertex that keeps must have every kept key; its dropped ones are tested in the same pass
+                rows = self.graph.with_properties([t[1] for t in kept], [t[1] for t in s.args])
+                hits = rows.where(reduce(Column.__and__, [self._test(F.col(f"p_{key}"), keep, op, value) for keep, key, op, value in s.args])).select("vid")
+                return replace(f, df=f.df.join(hits, f.df.pos == hits.vid, how))
+            for _, key, op, value in wanted:
+                p = self.graph.with_property(key)
+                hits = p.where(compare(F.col("value"), op, value)).select("vid")
+                f = replace(f, df=f.df.join(hits, f.df.pos == hits.vid, how))
+        return f
+
+    @staticmethod
+    def _test(column: Column, keep: bool, op: str, value) -> Column:
+        hit = F.coalesce(compare(column, op, value), F.lit(False))
+        return hit if keep else ~hit
 
     def _element(self, f: Frontier, s: Step) -> Frontier:
         keep, ids = s.args
@@ -207,7 +239,8 @@ class Lowering:
 
     def _sample(self, f: Frontier, s: Step) -> Frontier:
         fraction, seed = s.args
-        return replace(f, df=f.df.where(F.pmod(F.xxhash64(f.position, F.lit(seed)), F.lit(1_000_000)) < int(fraction * 1_000_000)))
+        lot = F.conv(F.md5(F.concat_ws(":", f.position, F.lit(seed)).cast("binary")).substr(1, 12), 16, 10).cast("long")
+        return replace(f, df=f.df.where(lot % 1_000_000 < int(fraction * 1_000_000)))
 
     def _simple_path(self, f: Frontier, s: Step) -> Frontier:
         if f.mode != "paths":
@@ -215,50 +248,78 @@ class Lowering:
         return replace(f, df=f.df.where(F.size(F.array_distinct("path")) == F.size("path")))
 
     def _overlay(self, f: Frontier, s: Step) -> Frontier:
-        ends = [self.run(a, f) for a in s.args[0]]
+        after = self.after
+        ends = [self._run_arm(f, a, after) for a in s.args[0]]
+        return self._summed(ends)
+
+    def _summed(self, ends: list[Frontier]) -> Frontier:
         out = ends[0].df
         for e in ends[1:]:
-            out = out.unionByName(e.df)
+            out = out.unionByName(e.df, allowMissingColumns=ends[0].kind == "E")
         return self.bulk(replace(ends[0], df=out, fresh=False, literal=None))
 
-    def _arm(self, f: Frontier, walk: Walk) -> DataFrame:
-        end = self.run(walk, f)
-        return replace(end, fresh=False).df.groupBy(*end.keys, end.position).agg(F.sum("weight").alias("_w")) if end.mode == "bulk" else end.df
+    def _against(self, f: Frontier, s: Step) -> tuple[Frontier, DataFrame]:
+        """f without marks that nothing needs any more, and how often (_w) the arm ends at each place."""
+        arm, distinct = s.args
+        if f.mode == "paths" and not distinct:
+            raise BindError(f"{s}: paths are compared by their ends; give distinct=True")
+        after = self.after
+        end = self._run_arm(f, arm, after)
+        f = self._forget(f, {k for k in f.keys if k not in end.keys})
+        count = F.sum("weight") if end.kind != "E" else F.count("*")
+        return f, end.df.groupBy(*end.keys, end.position).agg(count.alias("_w"))
+
+    def _numbered(self, f: Frontier) -> DataFrame:
+        """Rows mode: the rows of one place, numbered."""
+        by = [*f.keys, f.position]
+        return f.df.withColumn("_n", F.row_number().over(W.partitionBy(*by).orderBy("weight")))
 
     def _meet(self, f: Frontier, s: Step) -> Frontier:
-        arm, distinct = s.args
-        other = self._arm(f, arm)
-        out = f.df.join(other, [*f.keys, f.position]).withColumn("weight", F.lit(1).cast("long") if distinct else F.least("weight", "_w")).drop("_w")
-        return replace(f, df=out)
+        """Multiset intersection: the lesser multiplicity of each place; distinct: each common place once (in paths mode every path to one)."""
+        f, other = self._against(f, s)
+        by = [*f.keys, f.position]
+        if f.mode == "paths":
+            return replace(f, df=f.df.join(other, by, "left_semi"))
+        if s.args[1]:
+            return self._dedup(replace(f, df=f.df.join(other, by, "left_semi")), s)
+        if f.mode == "rows" or f.kind == "E":
+            return replace(f, df=self._numbered(f).join(other, by).where("_n <= _w").drop("_n", "_w"))
+        return replace(f, df=f.df.join(other, by).withColumn("weight", F.least("weight", "_w")).drop("_w"))
 
     def _minus(self, f: Frontier, s: Step) -> Frontier:
-        arm, distinct = s.args
-        other = self._arm(f, arm)
-        if distinct:
-            return replace(f, df=f.df.join(other, [*f.keys, f.position], "left_anti"))
-        out = f.df.join(other, [*f.keys, f.position], "left").withColumn("weight", F.col("weight") - F.coalesce("_w", F.lit(0))).where("weight > 0").drop("_w")
-        return replace(f, df=out)
+        """Multiset difference; distinct: places that the arm does not reach keep what they have."""
+        f, other = self._against(f, s)
+        by = [*f.keys, f.position]
+        if s.args[1]:
+            return replace(f, df=f.df.join(other, by, "left_anti"))
+        gone = F.coalesce("_w", F.lit(0))
+        if f.mode == "rows" or f.kind == "E":
+            return replace(f, df=self._numbered(f).join(other, by, "left").where(F.col("_n") > gone).drop("_n", "_w"))
+        return replace(f, df=f.df.join(other, by, "left").withColumn("weight", F.col("weight") - gone).where("weight > 0").drop("_w"))
 
     def _branch(self, f: Frontier, s: Step) -> Frontier:
         key, op, value, then, otherwise = s.args
-        yes = self.run(then, self._property(f, Step("property", (True, key, op, value))))
-        no = self.run(otherwise, self._property(f, Step("property", (False, key, op, value))))
-        return self.bulk(replace(yes, df=yes.df.unionByName(no.df), fresh=False, literal=None))
+        after = self.after
+        yes = self._run_arm(self._property(f, Step("property", (True, key, op, value))), then, after)
+        no = self._run_arm(self._property(f, Step("property", (False, key, op, value))), otherwise, after)
+        return self._summed([yes, no])
 
     def _repeat(self, f: Frontier, s: Step) -> Frontier:
         body, emit, max_depth = s.args
         tree = all(t.op != "edges" or (t.args[1] and all(self.graph.labels[x].tree for x in t.args[1] if x)) for t in body.steps)
         if max_depth is None and not tree:
             raise BindError(f"{s}: not known to end; give max_depth")
+        after_loop = self.after | marks_used(body.steps)
+        f = self._forget(f, {k for k in f.keys if k.startswith("m_") and k[2:] not in after_loop})
         found, here, depth = [], f, 0
         while max_depth is None or depth < max_depth:
-            after = self.run(body, here)
+            after = self._run_arm(here, body, after_loop)
             after = replace(after, df=stored(after.df, "round"), literal=None)
             depth += 1
             if after.df.isEmpty():
                 break
             if emit == "last":  # who cannot go on stays
-                stuck = here.df.join(self.run(Walk((body.steps[0],)), here).df.select(F.col("src").alias("_s")).distinct(), F.col("pos") == F.col("_s"), "left_anti")
+                stuck = here.df.join(self.run(Walk((body.steps[0],)), here, after_loop).df.select(F.col("src").alias("_s")).distinct(), F.col("pos") == F.col("_s"), "left_anti")
                 found.append(stuck)
             else:
                 found.append(after.df)
@@ -276,6 +337,7 @@ def run(graph: PropertyGraph, spark: SparkSession, walk: Walk, ids=None, frame:
 
     ids or frame may be empty: the result then is, too. Unknown labels and keys raise.
     """
+    kind_after(walk)
     walk = optimize(walk, graph)[0] if rewrite else walk
     low = Lowering(graph, spark)
     end = low.run(walk, low.start(ids, frame, per_origin, mode))
@@ -301,12 +363,24 @@ def run_in_batches(graph: PropertyGraph, spark: SparkSession, walk: Walk, frame:
 
 
 def touched(graph: PropertyGraph, spark: SparkSession, walk: Walk, ids) -> DataFrame:
-    """Counters of one run: step, op, positions, weight. One small aggregate per step, in one lazy union."""
+    """Counters of one run: step, op, positions, weight after it; edges that it scanned; property cells that it read.
+
+    One small aggregate per step, in one lazy union. An edge step scans the edges of its labels at the positions it starts from; a property step reads
+    one cell of each position for every key it names.
+    """
+    kind_after(walk)
     low = Lowering(graph, spark, tracing=True)
     low.run(walk, low.start(ids))
     out = None
-    for n, text, f in low.trace:
-        one = f.df.agg(F.count("*").alias("positions"), F.coalesce(F.sum("weight"), F.lit(0)).cast("long").alias("weight")).select(F.lit(n).alias("step"), F.lit(text).alias("op"), "positions", "weight")
+    for n, s, before, after in low.trace:
+        one = after.df.agg(F.count("*").alias("positions"), F.coalesce(F.sum("weight"), F.lit(0)).cast("long").alias("weight"))
+        edges = F.col("positions") if s.op in ("edges", "sample_out", "sample_in") else F.lit(0).cast("long")
+        cells = F.lit(0).cast("long")
+        if s.op in ("property", "properties", "values", "branch"):
+            keys = len(s.args) if s.op == "properties" else 1
+            one = one.crossJoin(F.broadcast(before.df.agg((F.count("*") * keys).alias("cells"))))  # one row each
+            cells = F.col("cells")
+        one = one.select(F.lit(n).alias("step"), F.lit(str(s)).alias("op"), "positions", "weight", edges.alias("edges"), cells.alias("cells"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -316,6 +390,6 @@ def materialize_edge(graph: PropertyGraph, spark: SparkSession, walk: Walk, labe
     from ..sources.graph import EdgeLabel
 
     ends = run(graph, spark, walk, frame=start, per_origin=True).select(F.col("origin").alias("src"), F.col("pos").alias("dst"), "weight")
-    rows = stored(ends.withColumn("eid", F.xxhash64("src", "dst")), label)
+    rows = stored(global_rank(ends, [F.asc("src"), F.asc("dst")], "eid"), label)
     edge = EdgeLabel(label, lambda: rows, ("weight",), weight="weight")
     return PropertyGraph(dict(graph.classes), graph.labels | {label: edge}, graph.virtual | {walk.steps: label})

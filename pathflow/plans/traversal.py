@@ -167,9 +167,28 @@ def partial(method: Callable[..., Walk], *args) -> Callable[[Walk], Walk]:
 HERE = Walk()
 
 
-def kind_after(walk: Walk, kind: str = "V") -> str:
-    """Binding: the kind of element (V, E or S) after the walk; raises where a step does not fit."""
-    marks: set[str] = set()
+def marks_used(steps: Iterable[Step]) -> set[str]:
+    """Names that these steps compare with, arms and loops included."""
+    used = set()
+    for s in steps:
+        if s.op == "marked":
+            used.add(s.args[1])
+        for w in inner_walks(s):
+            used |= marks_used(w.steps)
+    return used
+
+
+def inner_walks(step: Step) -> list[Walk]:
+    """Arms and bodies of one step."""
+    return [w for a in step.args for w in (a if isinstance(a, tuple) else (a,)) if isinstance(w, Walk)]
+
+
+def kind_after(walk: Walk, kind: str = "V", marks: frozenset[str] = frozenset()) -> str:
+    """Binding: the kind of element (V, E or S) after the walk; raises where a step does not fit.
+
+    `marks`: names set before. Marks set inside an arm or a body end with it.
+    """
+    marks = set(marks)
     for s in walk.steps:
         if s.op == "edges":
             kind = _need(s, kind, "V", "E")
@@ -181,7 +200,7 @@ def kind_after(walk: Walk, kind: str = "V") -> str:
             kind = _need(s, kind, "E", "E")
         elif s.op == "values":
             kind = _need(s, kind, "VE", "S")
-        elif s.op in ("property", "element"):
+        elif s.op in ("property", "properties", "element"):
             kind = _need(s, kind, "VE", kind)
         elif s.op == "mark":
             marks.add(s.args[0])
@@ -189,19 +208,19 @@ def kind_after(walk: Walk, kind: str = "V") -> str:
             raise BindError(f"{s}: the mark was never set")
         elif s.op == "repeat":
             _need(s, kind, "V", "V")
-            if kind_after(s.args[0], "V") != "V":
+            if kind_after(s.args[0], "V", marks) != "V":
                 raise BindError(f"{s}: the body must lead from vertices to vertices")
         elif s.op == "branch":
-            a, b = kind_after(s.args[3], kind), kind_after(s.args[4], kind)
+            a, b = kind_after(s.args[3], kind, marks), kind_after(s.args[4], kind, marks)
             if a != b:
                 raise BindError(f"{s}: the arms end in {a} and {b}")
             kind = a
         elif s.op == "overlay":
-            ends = {kind_after(a, kind) for a in s.args[0]}
+            ends = {kind_after(a, kind, marks) for a in s.args[0]}
             if len(ends) != 1:
                 raise BindError(f"{s}: the arms end in {sorted(ends)}")
             kind = ends.pop()
-        elif s.op in ("meet", "minus") and kind_after(s.args[0], kind) != kind:
+        elif s.op in ("meet", "minus") and kind_after(s.args[0], kind, marks) != kind:
             raise BindError(f"{s}: the arm must end in {kind}")
     return kind
 

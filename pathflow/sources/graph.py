@@ -8,7 +8,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 KEY_BITS = 56
@@ -92,6 +92,21 @@ class PropertyGraph:
             out = one if out is None else out.unionByName(one)
         return out
 
+    def with_properties(self, needed: list[str], wanted: list[str]) -> DataFrame:
+        """vid and p_<key> of the wanted keys (null where a class lacks one), of every class that has all needed keys."""
+        for key in {*needed, *wanted}:
+            if not any(key in c.keys for c in self.classes.values()):
+                raise UnknownKey(key)
+        out = None
+        for c in self.classes.values():
+            if set(needed) <= set(c.keys):
+                one = c.rows().select("vid", *[F.col(k).alias(f"p_{k}") for k in dict.fromkeys(wanted) if k in c.keys])
+                out = one if out is None else out.unionByName(one, allowMissingColumns=True)
+        if out is None:  # no class has them all
+            c = next(iter(self.classes.values()))
+            return c.rows().limit(0).select("vid", *[F.lit(None).alias(f"p_{k}") for k in dict.fromkeys(wanted)])
+        return out.select("vid", *[F.col(f"p_{k}") if f"p_{k}" in out.columns else F.lit(None).alias(f"p_{k}") for k in dict.fromkeys(wanted)])
+
     def single(self, label: str) -> PropertyGraph:
         """The single-relational graph of one label."""
         if label not in self.labels:
@@ -157,3 +172,12 @@ class PropertyGraph:
         for side in ("src", "dst"):
             dealt = edges.repartitionByRange(buckets, "label", side).sortWithinPartitions("label", side)
             dealt.write.partitionBy("label").parquet(f"{path}/by_{side}")
+
+    @classmethod
+    def from_layout(cls, spark: SparkSession, path: str, labels: list[str], classes: list[VertexClass] | None = None) -> PropertyGraph:
+        """The graph of a folder that `write_layout` made: hops out read the copy by tail, hops in the copy by head."""
+
+        def copy(side: str, label: str) -> Callable[[], DataFrame]:
+            return lambda: spark.read.parquet(f"{path}/by_{side}").where(F.col("label") == label).drop("label")
+
+        return cls.of(classes or [], [EdgeLabel(x, copy("src", x), by_head=copy("dst", x)) for x in labels])

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import tempfile
 import uuid
 
@@ -9,14 +10,38 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """`spark.checkpoint.dir` of the session; an own folder only where it is unset (local runs)."""
+    """`spark.checkpoint.dir` of the session. Where it is unset, a run on one machine gets an own folder; a cluster raises, as its executors share none."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = "file://" + tempfile.mkdtemp(prefix="pathflow-")
         spark.sparkContext.setCheckpointDir(base)
     return base.rstrip("/")
 
 
+def _path(spark: SparkSession, name: str):
+    path = spark._jvm.org.apache.hadoop.fs.Path(name)
+    return path, path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf())
+
+
+def folder_state(spark: SparkSession, folder: str) -> str:
+    """A digest of names, lengths and times of a folder's entries: it changes when a table is replaced or gets a file."""
+    path, files = _path(spark, folder)
+    seen = sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in files.listStatus(path))
+    return hashlib.md5(repr(seen).encode()).hexdigest()[:12]
+
+
+def stored_bytes(df: DataFrame) -> int:
+    """Bytes of the files that a table is read from."""
+    total = 0
+    for name in df.inputFiles():
+        path, files = _path(df.sparkSession, name)
+        total += files.getFileStatus(path).getLen()
+    return total
+
+
 def stored(df: DataFrame, tag: str) -> DataFrame:
     """Compute once, write, read again: survives lost executors and keeps plans short."""
     path = f"{shared_dir(df.sparkSession)}/pathflow-graph/{tag}-{uuid.uuid4().hex}"

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+from functools import cached_property
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..sources.dictionary import dictionary
+from ..sources.dictionary import dictionary, global_rank
 from ..sources.graph import EdgeLabel, PropertyGraph, VertexClass, vid
-from ..sources.scratch import stored_once
+from ..sources.scratch import folder_state, stored_once
 from ..sources.tables import html_links, json_property, read_table
 
 CUSTOMER, PART, SUPPLIER, ORDER, NATION, REGION, FEATURE = 1, 2, 3, 4, 5, 6, 7
@@ -21,6 +23,11 @@ class Graphs:
     def __init__(self, spark: SparkSession, sf_dir: str):
         self.spark, self.sf_dir = spark, sf_dir
 
+    @cached_property
+    def state(self) -> str:
+        """Layouts are kept by the state of the folder, so new files are seen."""
+        return folder_state(self.spark, self.sf_dir)
+
     def table(self, name: str) -> DataFrame:
         return read_table(self.spark, self.sf_dir, name)
 
@@ -29,11 +36,12 @@ class Graphs:
             df = build()
             return df.repartitionByRange(side).sortWithinPartitions(side) if side else df
 
-        return stored_once(self.spark, (self.sf_dir, name, side or "rows"), clustered)
+        return stored_once(self.spark, (self.sf_dir, self.state, name, side or "rows"), clustered)
 
     def _label(self, name: str, build, keys: tuple[str, ...] = (), tree: bool = False) -> EdgeLabel:
-        """Rows get their edge id when they are stored; the copy by head is made from the copy by tail."""
-        rows = lambda: self._stored(name, lambda: build().withColumn("eid", F.monotonically_increasing_id()), "src")
+        """Rows get their edge id when they are stored: their rank by tail, head and properties, which no parallelism changes. The copy by head is made
+        from the copy by tail."""
+        rows = lambda: self._stored(name, lambda: global_rank(build(), [F.asc("src"), F.asc("dst"), *map(F.asc, keys)], "eid"), "src")
         return EdgeLabel(name, rows, keys, tree, by_head=lambda: self._stored(name, rows, "dst"))
 
     # -- edges of the commerce graph

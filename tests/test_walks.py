@@ -1,4 +1,7 @@
+from collections import Counter
+
 import pytest
+from pyspark.sql import functions as F
 
 from pathflow.operators import baseline, recommend
 from pathflow.plans.lower import materialize_edge, run, touched
@@ -211,3 +214,90 @@ def test_explain_names_rules(spark):
 
     text = explain(taste(spark), spark, HERE.out_edges().keep_label("likes").head(), [7])
     assert "fuse_labels" in text and "ends in V" in text and "Join" in text
+
+
+FRIENDS = {"friend": [(1, 2), (2, 1), (2, 6), (3, 6), (6, 1), (6, 3), (1, 6)], "likes": [(1, 100), (1, 101), (2, 100), (3, 101), (6, 101), (6, 102)]}
+
+
+def weights(df, *more):
+    return sorted((*(r[c] for c in more), r["pos"], r["weight"]) for r in df.collect())
+
+
+def test_arms_end_their_own_marks(spark):
+    from pathflow.operators.recommend import liked, similar_people
+
+    g = graph(spark, FRIENDS)
+    both = run(g, spark, HERE.overlay(similar_people(), HERE.out("friend")), [1])
+    apart = Counter()
+    for w in (similar_people(), HERE.out("friend")):
+        for r in run(g, spark, w, [1]).collect():
+            apart[r.pos] += r.weight
+    assert weights(both) == sorted(apart.items())
+    per = run(g, spark, HERE.overlay(similar_people(), HERE.out("friend")) >> liked(), [1, 3], per_origin=True)
+    one = [(o, p, w) for o in (1, 3) for p, w in weights(run(g, spark, HERE.overlay(similar_people(), HERE.out("friend")) >> liked(), [o]))]
+    assert weights(per, "origin") == sorted(one)
+
+
+def test_marks_set_before_arms_are_seen_in_and_after_them(spark):
+    g = graph(spark, FRIENDS)
+    inside = run(g, spark, HERE.mark("me").overlay(HERE.out("friend").out("friend").drop_marked("me"), HERE.out("friend")), [1, 2])
+    want = Counter()
+    out = {}
+    for a, b in FRIENDS["friend"]:
+        out.setdefault(a, []).append(b)
+    for s in (1, 2):
+        want.update(c for b in out[s] for c in out.get(b, []) if c != s)
+        want.update(out[s])
+    assert weights(inside) == sorted(want.items())
+    later = run(g, spark, HERE.mark("me").overlay(HERE.out("friend"), HERE.out("friend").out("friend")).drop_marked("me"), [1, 2])
+    want = Counter()
+    for s in (1, 2):
+        want.update(x for x in out[s] if x != s)
+        want.update(c for b in out[s] for c in out.get(b, []) if c != s)
+    assert weights(later) == sorted(want.items())
+
+
+def test_intersect_with_an_arm_that_ends_in_drop_marked(spark):
+    g = graph(spark, FRIENDS)
+    arm = HERE.out("friend").mark("p").into("friend").drop_marked("p")
+    got = weights(run(g, spark, HERE.overlay(*[HERE] * 6).intersect(arm), [1, 3], per_origin=True), "origin")
+    reach = {(r.origin, r.pos): r.weight for r in run(g, spark, arm, [1, 3], per_origin=True).collect()}
+    assert got == sorted((o, o, min(6, 6 * reach[o, o])) for o in (1, 3) if (o, o) in reach) == [(1, 1, 6), (3, 3, 6)]
+    assert len({(r[0], r[1]) for r in got}) == len(got)
+
+
+@pytest.mark.parametrize("mode", ["bulk", "rows"])
+def test_set_steps_count_alike_in_rows_and_bulk(spark, mode):
+    g = graph(spark, FRIENDS)
+    two, one = HERE.out("friend").out("friend"), HERE.overlay(HERE.out("friend"), HERE.out("friend"))
+    out = {}
+    for a, b in FRIENDS["friend"]:
+        out.setdefault(a, []).append(b)
+    start = spark.createDataFrame([(1,), (2,)], "pos long")
+
+    def counted(walk):
+        got = Counter()
+        for r in run(g, spark, walk, frame=start, mode=mode).collect():
+            got[r.pos] += r.weight
+        return got
+
+    base = HERE.overlay(HERE, HERE, HERE)
+    assert counted(base.intersect(two)) == Counter({k: min(3 * (k in (1, 2)), v) for k, v in Counter(c for s in (1, 2) for _ in range(3) for b in out[s] for c in out.get(b, [])).items() if k in (1, 2)})
+    assert counted(base.minus(one)) == Counter({1: 3, 2: 3}) - Counter(b for s in (1, 2) for _ in range(3) for b in out[s] * 2)
+    assert counted(base.intersect(two, distinct=True)) == Counter(k for k in (1, 2) if any(k in out.get(b, []) for s in (1, 2) for b in out[s]))
+    with pytest.raises(BindError):
+        run(g, spark, base.intersect(two), frame=start, mode="paths")
+
+
+def test_edge_ids_and_samples_ignore_parallelism(spark):
+    from pathflow.sources.dictionary import global_rank
+
+    rows = [(i % 17, (i * 7) % 23) for i in range(200)]
+    few, many = (global_rank(spark.createDataFrame(rows, "src long, dst long").repartition(n), [F.asc("src"), F.asc("dst")], "eid") for n in (2, 7))
+    assert sorted(map(tuple, few.collect())) == sorted(map(tuple, many.collect()))
+
+
+def test_adjacent_filters_meet_properties_once(spark):
+    walk = HERE.out("friend").keep("c_name", "=", "x").drop("c_acctbal", "<", 0).keep("c_nationkey", "=", 3).dedup().dedup()
+    better, fired = optimize(HERE.overlay(walk, HERE), graph(spark, FRIENDS))
+    assert [s.op for s in better.steps[0].args[0][0].steps] == ["edges", "end", "properties", "dedup"] and "fuse_properties" in fired
