@@ -10,11 +10,11 @@ from ..sources.graph import PropertyGraph
 
 def relational_friend_names(spark: SparkSession, person: DataFrame, friend: DataFrame, name: str) -> DataFrame:
     """Names of a person's friends by two joins over three index positions: name, first friend column, identifier."""
-    person.select(F.col("c_custkey").alias("identifier"), F.col("c_name").alias("name")).createOrReplaceTempView("pf_person")
-    friend.select(F.col("src").alias("person_a"), F.col("dst").alias("person_b")).createOrReplaceTempView("pf_friend")
     return spark.sql(
-        "SELECT b.name AS friend_name, count(*) AS times FROM pf_person a JOIN pf_friend f ON f.person_a = a.identifier JOIN pf_person b ON b.identifier = f.person_b WHERE a.name = :name GROUP BY b.name",
+        "SELECT b.name AS friend_name, count(*) AS times FROM {person} a JOIN {friend} f ON f.person_a = a.identifier JOIN {person} b ON b.identifier = f.person_b WHERE a.name = :name GROUP BY b.name",
         {"name": name},
+        person=person.select(F.col("c_custkey").alias("identifier"), F.col("c_name").alias("name")),
+        friend=friend.select(F.col("src").alias("person_a"), F.col("dst").alias("person_b")),
     )
 
 
@@ -41,7 +41,6 @@ def guess_numbers_linear(spark: SparkSession, low: int, high: int) -> DataFrame:
 
 def bisect_lookup(spark: SparkSession, values: DataFrame, column: str, value) -> DataFrame:
     """(value, guesses) of one value in a ranked table (`column`, key 0..n-1); no row if it is absent. One probe per level."""
-    values.select(F.col(column).alias("v"), "key").createOrReplaceTempView("pf_sorted")
     n = values.count()
     kind = values.schema[column].dataType.simpleString()
     return spark.sql(
@@ -49,9 +48,10 @@ def bisect_lookup(spark: SparkSession, values: DataFrame, column: str, value) ->
           SELECT 0L, {n - 1}L, 0, CAST(NULL AS {kind})
           UNION ALL
           SELECT IF(s.v < :value, s.key + 1, g.lo), IF(s.v > :value, s.key - 1, g.hi), g.guesses + 1, IF(s.v = :value, s.v, NULL)
-          FROM g JOIN pf_sorted s ON s.key = (g.lo + g.hi) DIV 2 WHERE g.found IS NULL AND g.lo <= g.hi)
+          FROM g JOIN {{ranked}} s ON s.key = (g.lo + g.hi) DIV 2 WHERE g.found IS NULL AND g.lo <= g.hi)
         SELECT found AS value, guesses FROM g WHERE found IS NOT NULL""",
         {"value": value},
+        ranked=values.select(F.col(column).alias("v"), "key"),
     )
 
 

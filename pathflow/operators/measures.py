@@ -23,10 +23,10 @@ def with_total(df: DataFrame, terms: dict[str, Column], digits: int = 6) -> Data
 
 
 def degree_profile(edges: DataFrame, label: str) -> DataFrame:
-    """label, vertices, edges, greatest, median and mean out-degree, and the vertex of the greatest."""
+    """label, vertices, edges, greatest, median and mean out-degree, and the vertex of the greatest (the least of them on a tie)."""
     d = edges.groupBy("src").agg(F.count("*").alias("d"))
     return d.agg(
-        F.count("*").alias("vertices"), F.sum("d").alias("edges"), F.max("d").alias("max_degree"), F.percentile("d", F.lit(0.5)).alias("median_degree"), F.round(F.avg("d"), 6).alias("mean_degree")
+        F.count("*").alias("vertices"), F.sum("d").alias("edges"), F.max("d").alias("max_degree"), F.percentile("d", F.lit(0.5)).alias("median_degree"), F.round(F.avg("d"), 6).alias("mean_degree"), F.max_by("src", F.struct("d", -F.col("src"))).alias("max_vertex")
     ).select(F.lit(label).alias("label"), "*")
 
 

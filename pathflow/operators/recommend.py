@@ -134,14 +134,21 @@ def hybrid(walks: list[tuple[DataFrame, float]], how: str = "sum") -> DataFrame:
     return parts.groupBy("pos").agg(F.sum("score").alias("score"))
 
 
-def shared_pairs(edges: DataFrame, resource: str = "dst", person: str = "src", weight: str | None = None) -> DataFrame:
+def shared_pairs(edges: DataFrame, resource: str = "dst", person: str = "src", weight: str | None = None, origins: DataFrame | None = None, block: int = 4096) -> DataFrame:
     """(a, b, weight) of all ordered pairs with a common resource: the batch form, a self-join on the resource.
 
-    Map-side combine follows the join; adaptive execution splits hot resources. With `weight`, parallel edges count as products.
+    The edges of a resource of degree d are dealt, by hash of the person, to ceil(d / block) blocks, and each pair of blocks is a join key of its own, so that no task
+    gets more than block * block pairs of one hub. With `weight`, parallel edges count as products. origins (one column): only their pairs, (a, b) with a among them.
     """
     e = edges.select(F.col(person).alias("p"), F.col(resource).alias("r"), (F.col(weight) if weight else F.lit(1)).cast("long").alias("w"))
-    left, right = e.select("r", F.col("p").alias("a"), F.col("w").alias("wa")), e.select("r", F.col("p").alias("b"), F.col("w").alias("wb"))
-    return left.join(right, "r").where("a <> b").groupBy("a", "b").agg(F.sum(F.col("wa") * F.col("wb")).alias("weight"))
+    hubs = e.groupBy("r").agg(F.count("*").alias("d")).where(F.col("d") > block).select(F.col("r").alias("h"), F.ceil(F.col("d") / block).cast("int").alias("n"))
+    dealt = e.join(hubs, e.r == hubs.h, "left").select("p", "r", "w", F.coalesce("n", F.lit(1)).alias("n"))
+    own, other = F.pmod(F.xxhash64("p"), F.col("n")).cast("int"), F.explode(F.sequence(F.lit(0), F.col("n") - 1))
+    left = dealt.select("r", F.col("p").alias("a"), F.col("w").alias("wa"), own.alias("i"), other.alias("j"))
+    right = dealt.select("r", F.col("p").alias("b"), F.col("w").alias("wb"), own.alias("j"), other.alias("i"))
+    if origins is not None:
+        left = left.join(origins.select(F.col(origins.columns[0]).alias("o")), F.col("a") == F.col("o"), "left_semi")
+    return left.join(right, ["r", "i", "j"]).where("a <> b").groupBy("a", "b").agg(F.sum(F.col("wa") * F.col("wb")).alias("weight"))
 
 
 def signature_quotient(edges: DataFrame) -> DataFrame:
@@ -151,8 +158,8 @@ def signature_quotient(edges: DataFrame) -> DataFrame:
     only a resource's pairing with itself is dropped. It pays where signatures are far fewer than resources; the caller decides by counts.
     """
     sig = edges.groupBy("src").agg(F.sort_array(F.collect_set("dst")).alias("features"))
-    sig = sig.withColumn("sig", F.xxhash64("features"))
-    kinds = sig.groupBy("sig").agg(F.first("features").alias("features")).select("sig", F.explode("features").alias("dst"))
+    sig = sig.withColumn("sig", F.struct(F.xxhash64("features"), "features"))  # the list itself decides, its hash deals
+    kinds = sig.select("sig").distinct().select("sig", F.explode("sig.features").alias("dst"))
     left, right = kinds.select("dst", F.col("sig").alias("sa")), kinds.select("dst", F.col("sig").alias("sb"))
     shares = left.join(right, "dst").groupBy("sa", "sb").agg(F.count("*").alias("weight"))
     members = sig.select("src", "sig")

@@ -6,8 +6,8 @@ parent holds more than `capacity`. What is exploded are cell counts, not points.
 
 from __future__ import annotations
 
-import uuid
 from dataclasses import dataclass
+from functools import cached_property
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -29,18 +29,21 @@ class RegionTree:
     pois: DataFrame
     max_depth: int
 
+    @cached_property
+    def sub(self) -> DataFrame:
+        """Edges from parent to child, clustered by parent. They carry the child's corners and type, so that a round of a walk meets this table alone."""
+        down = self.quads.where("parent IS NOT NULL").select(vid(QUAD, F.col("parent")).alias("src"), vid(QUAD, F.col("quad")).alias("dst"), *BOX, F.lit("quad").alias("type"))
+        leaf = self.pois.select(vid(QUAD, F.col("quad")).alias("src"), vid(POI, F.col("poi")).alias("dst"), *BOX, F.lit("poi").alias("type"))
+        edges = down.unionByName(leaf).withColumn("eid", F.col("dst"))
+        return stored(edges.repartitionByRange("src").sortWithinPartitions("src"), "sub")
+
     def as_graph(self) -> PropertyGraph:
-        """Vertices of class quad and poi with their corners and type; edges `sub` from parent to child."""
+        """Vertices of class quad and poi with their corners and type; edges `sub` from parent to child, with those of the child."""
         corners = (*BOX, "type")
         quads = VertexClass("quad", QUAD, lambda: self.quads.select(vid(QUAD, F.col("quad")).alias("vid"), *BOX, F.lit("quad").alias("type")), corners)
         pois = VertexClass("poi", POI, lambda: self.pois.select(vid(POI, F.col("poi")).alias("vid"), *BOX, F.lit("poi").alias("type")), corners)
 
-        def sub() -> DataFrame:
-            down = self.quads.where("parent IS NOT NULL").select(vid(QUAD, F.col("parent")).alias("src"), vid(QUAD, F.col("quad")).alias("dst"))
-            leaf = self.pois.select(vid(QUAD, F.col("quad")).alias("src"), vid(POI, F.col("poi")).alias("dst"))
-            return down.unionByName(leaf).select(F.col("dst").alias("eid"), "src", "dst")
-
-        return PropertyGraph.of([quads, pois], [EdgeLabel("sub", sub, tree=True)])
+        return PropertyGraph.of([quads, pois], [EdgeLabel("sub", lambda: self.sub, corners, tree=True)])
 
 
 def build_region_tree(boxes: DataFrame, root: tuple[float, float, float, float], capacity: int = 16, max_depth: int = 12, assign: str = "enclosing") -> RegionTree:
@@ -114,15 +117,14 @@ def _descend(tree: RegionTree, rect, columns: str, start: str, step: str, where:
     """A recursive walk over quads as one query; the plan has one join per round and no driver loop of ours."""
     spark = tree.quads.sparkSession
     spark.conf.set("spark.sql.cteRecursionRowLimit", "-1")
-    name = f"quads_{uuid.uuid4().hex}"
-    tree.quads.createOrReplaceTempView(name)
     x0, y0, x1, y1 = rect
     fits = f"(c.bl_x >= {x0!r}D AND c.bl_y >= {y0!r}D AND c.tr_x <= {x1!r}D AND c.tr_y <= {y1!r}D)"
     meets = f"(c.bl_x <= {x1!r}D AND c.bl_y <= {y1!r}D AND c.tr_x >= {x0!r}D AND c.tr_y >= {y0!r}D)"
     fill = lambda s: s.replace("FITS", fits).replace("MEETS", meets)
     return spark.sql(
-        f"WITH RECURSIVE walk({columns}) AS (SELECT {fill(start)} FROM {name} c WHERE c.parent IS NULL "
-        f"UNION ALL SELECT {fill(step)} FROM walk w JOIN {name} c ON c.parent = w.quad WHERE {fill(where)}) SELECT * FROM walk"
+        f"WITH RECURSIVE walk({columns}) AS (SELECT {fill(start)} FROM {{quads}} c WHERE c.parent IS NULL "
+        f"UNION ALL SELECT {fill(step)} FROM walk w JOIN {{quads}} c ON c.parent = w.quad WHERE {fill(where)}) SELECT * FROM walk",
+        quads=tree.quads,
     )
 
 
@@ -139,10 +141,8 @@ def branch_quads(tree: RegionTree, rect) -> DataFrame:
 def contained_quads(tree: RegionTree, rect) -> DataFrame:
     """B of the flow graph: (quad, weight): how often the free descent reaches a quad from contained members of A."""
     spark = tree.quads.sparkSession
-    seeds, quads = f"seeds_{uuid.uuid4().hex}", f"quads_{uuid.uuid4().hex}"
-    stored(open_quads(tree, rect).where("contained").select("quad"), "seeds").createOrReplaceTempView(seeds)
-    tree.quads.createOrReplaceTempView(quads)
-    walk = spark.sql(f"WITH RECURSIVE b(quad) AS (SELECT quad FROM {seeds} UNION ALL SELECT c.quad FROM b JOIN {quads} c ON c.parent = b.quad) SELECT * FROM b")
+    seeds = stored(open_quads(tree, rect).where("contained").select("quad"), "seeds")
+    walk = spark.sql("WITH RECURSIVE b(quad) AS (SELECT quad FROM {seeds} UNION ALL SELECT c.quad FROM b JOIN {quads} c ON c.parent = b.quad) SELECT * FROM b", seeds=seeds, quads=tree.quads)
     return walk.groupBy("quad").agg(F.count("*").alias("weight"))
 
 
@@ -173,28 +173,39 @@ def region_query(tree: RegionTree, rect, method: str = "branching") -> DataFrame
 
 
 def _by_ranges(tree: RegionTree, rect) -> DataFrame:
-    # the open arm stops at contained quads, so those it meets are topmost
-    walk = stored(_descend(tree, rect, "quad, round, contained", "c.quad, 0, FITS", "c.quad, w.round + 1, FITS", "NOT w.contained AND MEETS"), "arm")
-    tested = tree.pois.join(walk.where("NOT contained").select("quad"), "quad").where(overlaps(rect)).select("poi", *BOX)
-    tops = walk.where("contained").join(tree.quads.select("quad", "depth"), "quad")
-    width = F.expr(f"shiftleft(1L, 2 * ({tree.max_depth} - depth))")
-    start = F.expr(f"shiftleft(quad, 2 * ({tree.max_depth} - depth))").bitwiseAND(F.lit((1 << (2 * tree.max_depth)) - 1))
-    ranges = tops.select(F.col("depth").alias("d"), start.alias("lo"), (start + width - 1).alias("hi"))
-    few = ranges.limit(RANGES + 1).collect()
-    if len(few) <= RANGES:  # a checked bound: literals reach the scan as pushed predicates
+    # the open arm stops at contained quads, so those it meets are topmost; the driver gets RANGES + 1 rows of each kind at most
+    walk = _descend(tree, rect, "quad, depth, contained", "c.quad, c.depth, FITS", "c.quad, c.depth, FITS", "NOT w.contained AND MEETS")
+    got = walk.limit(2 * RANGES + 1).collect()
+    if len(got) <= 2 * RANGES:
         hit = F.lit(False)
-        for r in few:
-            hit = hit | (F.col("at").between(r["lo"], r["hi"]) & (F.col("depth") >= r["d"]))
-        free = tree.pois.where(hit).select("poi", *BOX)
-    else:  # equi-joins, one per depth: a quad at depth d is a prefix of what hangs below
-        free = None
-        for d in range(tree.max_depth + 1):
-            shift = 2 * (tree.max_depth - d)
-            one = tree.pois.where(F.col("depth") >= d).join(ranges.where(F.col("d") == d).select(F.shiftright("lo", shift).alias("_p")), F.shiftright("at", shift) == F.col("_p"), "left_semi").select("poi", *BOX)
-            free = one if free is None else free.unionByName(one)
+        for lo, hi, d in _merged_ranges([r for r in got if r["contained"]], tree.max_depth):
+            hit = hit | (F.col("at").between(lo, hi) & (F.col("depth") >= d))
+        # what hangs under an open quad is tested in the same pass
+        border = [r["quad"] for r in got if not r["contained"]]
+        return tree.pois.where(hit | (F.col("quad").isin(border) & overlaps(rect))).select("poi", *BOX)
+    walk = stored(walk, "arm")
+    tested = tree.pois.join(walk.where("NOT contained").select("quad"), "quad").where(overlaps(rect)).select("poi", *BOX)
+    tops = walk.where("contained").select(F.col("depth").alias("d"), F.expr(f"shiftleft(quad, 2 * ({tree.max_depth} - depth))").bitwiseAND(F.lit((1 << (2 * tree.max_depth)) - 1)).alias("lo"))
+    free = None
+    for d in range(tree.max_depth + 1):  # equi-joins, one per depth: a quad at depth d is a prefix of what hangs below
+        shift = 2 * (tree.max_depth - d)
+        one = tree.pois.where(F.col("depth") >= d).join(tops.where(F.col("d") == d).select(F.shiftright("lo", shift).alias("_p")), F.shiftright("at", shift) == F.col("_p"), "left_semi").select("poi", *BOX)
+        free = one if free is None else free.unionByName(one)
     return tested.unionByName(free)
 
 
+def _merged_ranges(quads: list, top: int) -> list[tuple[int, int, int]]:
+    """(lo, hi, depth) of the quads' stretches of the cell order; neighbours of one depth become one."""
+    out: list[tuple[int, int, int]] = []
+    for d, lo in sorted((r["depth"], (r["quad"] << 2 * (top - r["depth"])) & ((1 << 2 * top) - 1)) for r in quads):
+        hi = lo + (1 << 2 * (top - d)) - 1
+        if out and out[-1][2] == d and out[-1][1] + 1 == lo:
+            out[-1] = (out[-1][0], hi, d)
+        else:
+            out.append((lo, hi, d))
+    return out
+
+
 def region_tests(tree: RegionTree, rect) -> DataFrame:
     """(method, region_tests, containment_tests, results) of scan, plain, branching and overlay."""
     rect = checked(rect)
@@ -236,14 +247,13 @@ def many_regions(tree: RegionTree, rects: DataFrame) -> DataFrame:
     """rects (rect, x0, y0, x1, y1), small: the branching descent for all of them at once; rect, pois."""
     spark = tree.quads.sparkSession
     spark.conf.set("spark.sql.cteRecursionRowLimit", "-1")
-    quads, asked = f"quads_{uuid.uuid4().hex}", f"rects_{uuid.uuid4().hex}"
-    tree.quads.createOrReplaceTempView(quads)
-    rects.createOrReplaceTempView(asked)
     fits = "c.bl_x >= x0 AND c.bl_y >= y0 AND c.tr_x <= x1 AND c.tr_y <= y1"
     meets = "c.bl_x <= x1 AND c.bl_y <= y1 AND c.tr_x >= x0 AND c.tr_y >= y0"
     walk = spark.sql(
-        f"WITH RECURSIVE walk(rect, x0, y0, x1, y1, quad, contained) AS (SELECT rect, x0, y0, x1, y1, c.quad, {fits} FROM {asked} JOIN {quads} c ON c.parent IS NULL "
-        f"UNION ALL SELECT w.rect, w.x0, w.y0, w.x1, w.y1, c.quad, w.contained OR ({fits}) FROM walk w JOIN {quads} c ON c.parent = w.quad WHERE w.contained OR ({meets})) SELECT * FROM walk"
+        f"WITH RECURSIVE walk(rect, x0, y0, x1, y1, quad, contained) AS (SELECT rect, x0, y0, x1, y1, c.quad, {fits} FROM {{asked}} JOIN {{quads}} c ON c.parent IS NULL "
+        f"UNION ALL SELECT w.rect, w.x0, w.y0, w.x1, w.y1, c.quad, w.contained OR ({fits}) FROM walk w JOIN {{quads}} c ON c.parent = w.quad WHERE w.contained OR ({meets})) SELECT * FROM walk",
+        asked=rects,
+        quads=tree.quads,
     )
     met = tree.pois.join(walk, "quad").where(F.col("contained") | overlaps([F.col(c) for c in ("x0", "y0", "x1", "y1")]))
     return met.groupBy("rect").agg(F.count("*").alias("pois"))

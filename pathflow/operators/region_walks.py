@@ -1,6 +1,7 @@
 """The five functions of the region flow graph as walks of the step algebra, and their composition.
 
-They read boxes and `sub` edges only, so they run on any region graph, regular or hand-made.
+They read boxes and `sub` edges only, so they run on any region graph, regular or hand-made. An edge carries the corners and the type of its child: what
+fails is dropped on the edge, before the hop is made.
 """
 
 from __future__ import annotations
@@ -23,22 +24,22 @@ def inside(rect) -> Walk:
 
 def descend_free() -> Walk:
     """h: child quads, untested."""
-    return HERE.out("sub").keep("type", "=", "quad")
+    return HERE.out_edges("sub").keep("type", "=", "quad").head()
 
 
 def descend_open(rect) -> Walk:
     """f: child quads that overlap."""
-    return descend_free() >> meets(rect)
+    return HERE.out_edges("sub").keep("type", "=", "quad") >> meets(rect).head()
 
 
 def poi_free() -> Walk:
     """r: points of interest below, untested."""
-    return HERE.out("sub").keep("type", "=", "poi")
+    return HERE.out_edges("sub").keep("type", "=", "poi").head()
 
 
 def poi_tested(rect) -> Walk:
     """s: points of interest below that overlap."""
-    return poi_free() >> meets(rect)
+    return HERE.out_edges("sub").keep("type", "=", "poi") >> meets(rect).head()
 
 
 def star(step: Walk) -> Walk:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import cached_property
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -42,14 +44,17 @@ class ValueTree:
             tree = self.nodes.select(vid(NODE, F.col("node")).alias("vid"), "lo", "hi")
             return tree.unionByName(self.data.where("value IS NOT NULL").select(vid(self.code, F.col("key")).alias("vid"), F.col("value").alias("lo"), F.col("value").alias("hi")))
 
-        def sub() -> DataFrame:
-            up = F.shiftleft((F.col("level") + 1).cast("long"), 40).bitwiseOR(F.floor(F.col("place") / self.fanout).cast("long"))
-            inner = self.nodes.where(F.col("level") < self.levels - 1).select(vid(NODE, up).alias("src"), vid(NODE, F.col("node")).alias("dst"))
-            leaf = self.ranks.select("value", F.floor(F.col("key") / self.fanout).cast("long").alias("leaf"))
-            data = self.data.join(leaf, "value").select(vid(NODE, F.col("leaf")).alias("src"), vid(self.code, F.col("key")).alias("dst"))
-            return inner.unionByName(data).select(F.col("dst").alias("eid"), "src", "dst")
+        return PropertyGraph.of([VertexClass("entry", NODE, vertices, ("lo", "hi"))], [EdgeLabel("sub", lambda: self.sub, ("lo", "hi"), tree=True)])
 
-        return PropertyGraph.of([VertexClass("entry", NODE, vertices, ("lo", "hi"))], [EdgeLabel("sub", sub, tree=True)])
+    @cached_property
+    def sub(self) -> DataFrame:
+        """Edges from a node to its children, clustered by node, with the range of the child: a round of the descent meets this table alone."""
+        up = F.shiftleft((F.col("level") + 1).cast("long"), 40).bitwiseOR(F.floor(F.col("place") / self.fanout).cast("long"))
+        inner = self.nodes.where(F.col("level") < self.levels - 1).select(vid(NODE, up).alias("src"), vid(NODE, F.col("node")).alias("dst"), "lo", "hi")
+        leaf = self.ranks.select("value", F.floor(F.col("key") / self.fanout).cast("long").alias("leaf"))
+        data = self.data.join(leaf, "value").select(vid(NODE, F.col("leaf")).alias("src"), vid(self.code, F.col("key")).alias("dst"), F.col("value").alias("lo"), F.col("value").alias("hi"))
+        edges = inner.unionByName(data).withColumn("eid", F.col("dst"))
+        return stored(edges.repartitionByRange("src").sortWithinPartitions("src"), "value-sub")
 
     @property
     def root(self) -> int:
@@ -57,7 +62,7 @@ class ValueTree:
 
     def descent(self, lo, hi) -> Walk:
         """One round: children whose range meets lo..hi."""
-        return HERE.out("sub").keep("lo", "<=", hi).keep("hi", ">=", lo)
+        return HERE.out_edges("sub").keep("lo", "<=", hi).keep("hi", ">=", lo).head()
 
     def range(self, spark: SparkSession, lo, hi) -> DataFrame:
         """Data vertices with lo <= value <= hi: exactly levels + 1 rounds; the tree is even."""

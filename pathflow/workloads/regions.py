@@ -8,12 +8,13 @@ from pyspark.sql import functions as F
 from ..functions.regions import BOX
 from ..operators import baseline, measures
 from ..operators.region_tree import RegionTree, build_region_tree, many_regions, region_query, region_tests, region_trace
-from ..operators.region_walks import flow
+from ..operators.region_walks import flow, meets
 from ..operators.value_tree import ValueTree
-from ..plans.lower import run
+from ..plans.lower import run, touched
 from ..plans.traversal import HERE
 from ..sources.dictionary import dictionary
 from ..sources.graph import key_of
+from ..sources.scratch import stored_bytes
 from .graphs import CUSTOMER, PART, Graphs
 from .registry import query
 from .walks import LIKES, keyed
@@ -25,7 +26,7 @@ _TREES: dict[tuple, RegionTree] = {}
 
 
 def part_tree(g: Graphs) -> RegionTree:
-    key = (g.spark.sparkContext.applicationId, g.sf_dir)
+    key = (g.spark.sparkContext.applicationId, g.sf_dir, g.state)
     if key not in _TREES:
         _TREES[key] = build_region_tree(g.part_points(), PLANE, CAPACITY, DEPTH)
     return _TREES[key]
@@ -162,11 +163,9 @@ def supplier_region(g: Graphs) -> DataFrame:
 
 @query(HIT.format(20, 45).replace(", CAST(1 AS BIGINT) AS weight", "").replace("poi, x AS bl_x, y AS bl_y, x AS tr_x, y AS tr_y", "poi"))
 def region_walk_in_graph(g: Graphs) -> DataFrame:
-    """The plain descent written as a walk of the step algebra: hop along sub, four property filters, until nothing is left."""
-    tree = part_tree(g)
-    x0, y0, x1, y1 = RECT
-    body = HERE.out("sub").keep("bl_x", "<=", x1).keep("bl_y", "<=", y1).keep("tr_x", ">=", x0).keep("tr_y", ">=", y0)
-    out = run(tree.as_graph(), g.spark, HERE.repeat(body, emit="all").keep("type", "=", "poi"), [(20 << 56) + 1])
+    """The plain descent written as a walk of the step algebra: hop along the sub edges whose child overlaps, until nothing is left."""
+    body = HERE.out_edges("sub") >> meets(RECT).head()
+    out = run(part_tree(g).as_graph(), g.spark, HERE.repeat(body, emit="all").keep("type", "=", "poi"), [(20 << 56) + 1])
     return keyed(out, "poi", None)
 
 
@@ -183,7 +182,7 @@ def region_flow_walk(g: Graphs) -> DataFrame:
 
 
 def _names(g: Graphs) -> ValueTree:
-    key = (g.spark.sparkContext.applicationId, g.sf_dir, "names")
+    key = (g.spark.sparkContext.applicationId, g.sf_dir, g.state, "names")
     if key not in _TREES:
         _TREES[key] = ValueTree(g.table("customer").select(F.col("c_custkey").alias("key"), F.col("c_name").alias("value")), CUSTOMER, 16)
     return _TREES[key]
@@ -249,7 +248,40 @@ def index_probe_compare(g: Graphs) -> DataFrame:
     return hit.crossJoin(n).agg(F.lit(tree.levels).alias("levels"), F.count("*").alias("found"), F.max(F.col("guesses") <= F.ceil(F.log2(F.col("n") + 1))).alias("bounded"))
 
 
+PROBES = """WITH RECURSIVE names AS (SELECT DISTINCT c_name FROM customer), r AS (SELECT c_name, row_number() OVER (ORDER BY c_name) - 1 AS k FROM names), n AS (SELECT count(*) AS n FROM names),
+t AS (SELECT k, n, CAST(ceil(log(n) / log(16)) AS INTEGER) AS levels FROM r, n WHERE c_name = 'Customer#000000042'),
+g AS (SELECT k, CAST(0 AS BIGINT) AS lo, n - 1 AS hi, 0 AS probes, false AS done FROM t
+UNION ALL SELECT k, CASE WHEN (lo + hi) // 2 < k THEN (lo + hi) // 2 + 1 ELSE lo END, CASE WHEN (lo + hi) // 2 > k THEN (lo + hi) // 2 - 1 ELSE hi END, probes + 1, (lo + hi) // 2 = k FROM g WHERE NOT done)
+SELECT 'in_graph' AS lookup, CAST(sum(least(16, CAST(ceil(n / pow(16, l)) AS BIGINT) - 16 * (k // CAST(pow(16, l + 1) AS BIGINT)))) AS BIGINT) AS probes FROM t, range(0, 20) x(l) WHERE l < levels
+UNION ALL SELECT 'external', max(probes) FROM g UNION ALL SELECT 'scan', count(*) FROM customer"""
+
+
+@query(PROBES)
+def index_probes(g: Graphs) -> DataFrame:
+    """Entries that one lookup reads: children tested on the way down the tree in the graph, halving probes of a sorted copy, rows of a scan."""
+    tree, name = _names(g), "Customer#000000042"
+    walk = HERE
+    for _ in range(tree.levels):
+        walk = walk >> tree.descent(name, name)
+    tested = touched(tree.as_graph(), g.spark, walk, [tree.root]).agg(F.sum("edges").alias("probes"))
+    ranks = dictionary(g.table("customer").select(F.col("c_name").alias("value")), "value")
+    halving = baseline.bisect_lookup(g.spark, ranks, "value", name).select(F.col("guesses").cast("long").alias("probes"))
+    scan = g.table("customer").agg(F.count("*").alias("probes"))
+    out = tested.select(F.lit("in_graph").alias("lookup"), "probes")
+    for label, one in (("external", halving), ("scan", scan)):
+        out = out.unionByName(one.select(F.lit(label).alias("lookup"), "probes"))
+    return out
+
+
 @query(f"WITH {TREE.format(*R)} SELECT (SELECT count(*) FROM pts) AS rows, (SELECT count(*) FROM quads) AS nodes")
 def index_space(g: Graphs) -> DataFrame:
     t = part_tree(g)
     return measures.index_space(t.pois, t.quads)
+
+
+@query(None)
+def index_bytes(g: Graphs) -> DataFrame:
+    """Bytes on disk of the indexed rows and of each index structure."""
+    tree, names = part_tree(g), _names(g)
+    rows = [("part", g.table("part")), ("region_quads", tree.quads), ("region_pois", tree.pois), ("customer", g.table("customer")), ("name_nodes", names.nodes), ("name_ranks", names.ranks)]
+    return g.spark.createDataFrame([(name, stored_bytes(df)) for name, df in rows], "structure string, bytes long")

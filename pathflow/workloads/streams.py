@@ -49,14 +49,8 @@ def stream_dedup(g: Graphs) -> DataFrame:
     return s.drain(s.deduplicated(twice).select("event_id", "event_type"))
 
 
-@query(f"WITH {LIKES} SELECT event_id, dst AS part FROM events JOIN likes ON src = user_id WHERE event_id % 10 = 0")
-def stream_static_hop(g: Graphs) -> DataFrame:
-    """The rows that its SQL names, out of the hop of the whole stream."""
-    return stream_static_hop_all(g).where("event_id % 10 = 0")
-
-
 @query(f"WITH {LIKES} SELECT event_id, dst AS part FROM events JOIN likes ON src = user_id")
-def stream_static_hop_all(g: Graphs) -> DataFrame:
+def stream_static_hop(g: Graphs) -> DataFrame:
     """Every event takes the hop."""
     edges = g.commerce().edges("likes").select(key("src").alias("src"), key("dst").alias("dst"))
     return s.drain(s.static_hop(_stream(g), edges))
@@ -73,7 +67,7 @@ def stream_stateful_shares(g: Graphs) -> DataFrame:
     return s.latest(s.drain(s.kept_counts(_stream(g)), "update"), ["user_id", "event_type"])
 
 
-@query(None)
+@query(f"SELECT sum(edges)::BIGINT AS edges, count(*) AS windows FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS edges FROM events GROUP BY 1, 2) WHERE start + INTERVAL 1 HOUR <= {CLOSED}")
 def stream_late_drop(g: Graphs) -> DataFrame:
     """A later file brings the first day again, after the watermark has passed it: its windows do not change."""
     e = g.table("events")

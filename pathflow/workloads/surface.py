@@ -21,23 +21,14 @@ from .regions import PLANE, part_tree
 from .walks import FEATURE, LIKES, PEOPLE, ids, key, keyed
 
 
-@query(f"WITH {LIKES}, e AS (SELECT * FROM likes WHERE src < 100) SELECT f AS format, (SELECT count(*) FROM e) AS edges, (SELECT CAST(sum(src * 31 + dst) AS BIGINT) FROM e) AS checksum FROM (VALUES ('csv'), ('json'), ('orc'), ('parquet'), ('text')) t(f)")
-def scan_formats_roundtrip(g: Graphs) -> DataFrame:
-    """All edges go through each format; the counts are of the customers that the SQL names."""
-    return _roundtrips(g, "src < 100")
-
-
 @query(f"WITH {LIKES} SELECT f AS format, (SELECT count(*) FROM likes) AS edges, (SELECT CAST(sum(src * 31 + dst) AS BIGINT) FROM likes) AS checksum FROM (VALUES ('csv'), ('json'), ('orc'), ('parquet'), ('text')) t(f)")
-def scan_formats_roundtrip_all(g: Graphs) -> DataFrame:
-    return _roundtrips(g, "true")
-
-
-def _roundtrips(g: Graphs, counted: str) -> DataFrame:
+def scan_formats_roundtrip(g: Graphs) -> DataFrame:
+    """All edges go through each format and back."""
     edges = g.commerce().edges("likes").select(key("src").alias("src"), key("dst").alias("dst"))
     base, out = f"{shared_dir(g.spark)}/pathflow-graph/formats-{uuid.uuid4().hex}", None
     for fmt in ("csv", "json", "orc", "parquet", "text"):
         write_result(edges, f"{base}/{fmt}", fmt)
-        back = read_edge_list(g.spark, f"{base}/{fmt}", fmt).where(counted)
+        back = read_edge_list(g.spark, f"{base}/{fmt}", fmt)
         one = back.agg(F.count("*").alias("edges"), F.sum(F.col("src") * 31 + F.col("dst")).alias("checksum")).select(F.lit(fmt).alias("format"), "edges", "checksum")
         out = one if out is None else out.unionByName(one)
     return out
@@ -130,18 +121,17 @@ def join_interval_events(g: Graphs) -> DataFrame:
     return v.join(p, ["user_id", "hour"]).where("pts >= vts AND pts <= vts + INTERVAL 1 HOUR").select("view", "purchase")
 
 
-@query(f"WITH {FEATURE} SELECT src AS part, dst AS feature FROM feature WHERE src < 50")
+@query(f"WITH {FEATURE} SELECT src AS part, dst AS feature FROM feature")
 def join_lateral_features(g: Graphs) -> DataFrame:
-    """The parts that its SQL names, out of the join over all."""
-    return join_lateral_features_all(g).where("part < 50")
+    words = "transform(split(p_name, ' '), w -> 'word:' || w)"
+    return g.spark.sql(f"SELECT p_partkey AS part, feature FROM {{part}}, LATERAL (SELECT explode(concat(array('brand:' || p_brand, 'type:' || p_type, 'size:' || p_size), {words})) AS feature)", part=g.table("part"))
 
 
-@query(f"WITH {FEATURE} SELECT src AS part, dst AS feature FROM feature")
-def join_lateral_features_all(g: Graphs) -> DataFrame:
-    name = f"lateral_{uuid.uuid4().hex}"
-    g.table("part").createOrReplaceTempView(name)
-    words = "transform(split(p_name, ' '), w -> 'word:' || w)"
-    return g.spark.sql(f"SELECT p_partkey AS part, feature FROM {name}, LATERAL (SELECT explode(concat(array('brand:' || p_brand, 'type:' || p_type, 'size:' || p_size), {words})) AS feature)")
+@query("SELECT event_type AS kind, count(*) AS edges FROM events GROUP BY 1 ORDER BY 2 DESC LIMIT 100")
+def agg_approx_top_k(g: Graphs) -> DataFrame:
+    """Heavy hitters by a bounded sketch; exact here, as there are fewer kinds than tracked items."""
+    top = g.table("events").agg(F.expr("approx_top_k(event_type, 100, 10000)").alias("top"))
+    return top.select(F.explode("top").alias("x")).select(F.col("x.item").alias("kind"), F.col("x.count").alias("edges"))
 
 
 @query(f"WITH {LIKES} SELECT dst AS part, count(DISTINCT src) AS people FROM likes GROUP BY 1")
@@ -311,14 +301,8 @@ def udaf_weighted_pandas(g: Graphs) -> DataFrame:
     return j.groupBy(F.col("c_nationkey").alias("nation")).agg(mean("c_acctbal", "weight").alias("mean")).withColumn("mean", F.round("mean", 6))
 
 
-@query("SELECT p_partkey AS part, CAST(1 AS INTEGER) AS place, split_part(p_name, ' ', 1) AS word FROM part WHERE p_partkey < 100 UNION ALL SELECT p_partkey, 2, split_part(p_name, ' ', 2) FROM part WHERE p_partkey < 100")
-def udtf_words(g: Graphs) -> DataFrame:
-    """The parts that its SQL names, out of the join over all."""
-    return udtf_words_all(g).where("part < 100")
-
-
 @query("SELECT p_partkey AS part, CAST(i AS INTEGER) AS place, ws[i] AS word FROM (SELECT p_partkey, ws, unnest(range(1, len(ws) + 1)) AS i FROM (SELECT p_partkey, string_split(coalesce(p_name, ''), ' ') AS ws FROM part))")
-def udtf_words_all(g: Graphs) -> DataFrame:
+def udtf_words(g: Graphs) -> DataFrame:
     """A Python table function in a lateral join, for parity with explode."""
 
     @F.udtf(returnType="place int, word string")
@@ -327,19 +311,11 @@ def udtf_words_all(g: Graphs) -> DataFrame:
             yield from enumerate((text or "").split(" "), 1)
 
     g.spark.udtf.register("pf_words", Words)
-    name = f"names_{uuid.uuid4().hex}"
-    g.table("part").createOrReplaceTempView(name)
-    return g.spark.sql(f"SELECT p_partkey AS part, place, word FROM {name}, LATERAL pf_words(p_name)")
-
-
-@query(f"WITH {LIKES}, l AS (SELECT src, list(dst ORDER BY dst) AS ds FROM likes WHERE src < 20 GROUP BY 1) SELECT src AS customer, CAST(i AS INTEGER) AS place, ds[i] AS part FROM (SELECT src, ds, unnest(range(1, len(ds) + 1)) AS i FROM l)")
-def udtf_paths(g: Graphs) -> DataFrame:
-    """The customers that its SQL names, out of all lists."""
-    return udtf_paths_all(g).where("customer < 20")
+    return g.spark.sql("SELECT p_partkey AS part, place, word FROM {part}, LATERAL pf_words(p_name)", part=g.table("part"))
 
 
 @query(f"WITH {LIKES}, l AS (SELECT src, list(dst ORDER BY dst) AS ds FROM likes GROUP BY 1) SELECT src AS customer, CAST(i AS INTEGER) AS place, ds[i] AS part FROM (SELECT src, ds, unnest(range(1, len(ds) + 1)) AS i FROM l)")
-def udtf_paths_all(g: Graphs) -> DataFrame:
+def udtf_paths(g: Graphs) -> DataFrame:
     """Expand every customer's adjacency list with its place."""
     e = g.commerce().edges("likes").select(key("src").alias("customer"), key("dst").alias("part"))
     lists = e.groupBy("customer").agg(F.sort_array(F.collect_list("part")).alias("ds"))
@@ -348,11 +324,11 @@ def udtf_paths_all(g: Graphs) -> DataFrame:
 
 @query(f"WITH {LIKES} SELECT dst AS part FROM likes WHERE src = 7")
 def sql_table_function_hop(g: Graphs) -> DataFrame:
-    """One hop as a SQL table function: currying for SQL users."""
+    """One hop as a SQL table function: currying for SQL users. View and function belong to the session and have names of their own."""
     name = f"edges_{uuid.uuid4().hex}"
     g.commerce().edges("likes").select(key("src").alias("src"), key("dst").alias("dst")).createOrReplaceTempView(name)
-    g.spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION pf_hop(start BIGINT) RETURNS TABLE (part BIGINT) RETURN SELECT dst FROM {name} WHERE src = start")
-    return g.spark.sql("SELECT part FROM pf_hop(7)")
+    g.spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}_hop(start BIGINT) RETURNS TABLE (part BIGINT) RETURN SELECT dst FROM {name} WHERE src = start")
+    return g.spark.sql(f"SELECT part FROM {name}_hop(7)")
 
 
 @query("SELECT l AS label, c AS \"check\", CAST(0 AS BIGINT) AS n FROM (VALUES ('likes'), ('placed'), ('in_nation'), ('in_region')) a(l), (VALUES ('dangling_src'), ('dangling_dst'), ('repeated_eid')) b(c)")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -11,8 +13,9 @@ from ..plans.lower import materialize_edge, run, run_in_batches, touched
 from ..plans.rewrite import cost, optimize
 from ..plans.text import parse_walk
 from ..plans.traversal import HERE, compose
-from ..sources.graph import key_of
-from .graphs import CUSTOMER, DOCUMENT, PART, SUPPLIER, Graphs
+from ..sources.graph import KEY_BITS, EdgeLabel, PropertyGraph, key_of
+from ..sources.scratch import shared_dir, stored
+from .graphs import CUSTOMER, DOCUMENT, NATION, PART, SUPPLIER, Graphs
 from .registry import query
 
 ME, NAME = 7, "Customer#000000007"
@@ -199,18 +202,8 @@ def all_customers(g: Graphs) -> DataFrame:
     return g.commerce().vertices("customer").select(F.col("vid").alias("pos"))
 
 
-@query(
-    f"""WITH {LIKES}, c AS (SELECT c_custkey AS k FROM customer WHERE c_nationkey = (SELECT c_nationkey FROM customer WHERE c_custkey = 7))
-SELECT a.src AS a, b.src AS b, count(*) AS shared FROM likes a JOIN likes b ON a.dst = b.dst AND a.src <> b.src WHERE a.src IN (SELECT k FROM c) AND b.src IN (SELECT k FROM c) GROUP BY 1, 2"""
-)
-def virtual_copurchase(g: Graphs) -> DataFrame:
-    some = nation_of_me(g)
-    pairs = run(g.commerce(), g.spark, recommend.similar_people(), frame=some, per_origin=True)
-    return pairs.join(some, "pos", "left_semi").select(key("origin").alias("a"), key("pos").alias("b"), F.col("weight").alias("shared"))
-
-
 @query(f"WITH {LIKES} SELECT a.src AS a, b.src AS b, count(*) AS shared FROM likes a JOIN likes b ON a.dst = b.dst AND a.src <> b.src GROUP BY 1, 2")
-def virtual_copurchase_all(g: Graphs) -> DataFrame:
+def virtual_copurchase(g: Graphs) -> DataFrame:
     """Customer pairs of all nations, both ways."""
     pairs = run(g.commerce(), g.spark, recommend.similar_people(), frame=all_customers(g), per_origin=True)
     return pairs.select(key("origin").alias("a"), key("pos").alias("b"), F.col("weight").alias("shared"))
@@ -303,22 +296,12 @@ def cf_all_pairs(g: Graphs) -> DataFrame:
     return pairs.groupBy(key("a").alias("customer")).agg(F.count("*").alias("people"), F.sum("weight").alias("shares"), F.max("weight").alias("max_share"))
 
 
-@query(
-    f"""WITH {LIKES}, p AS (SELECT a.src AS customer, b.src AS other, count(*) AS shared FROM likes a JOIN likes b ON b.dst = a.dst AND b.src <> a.src WHERE a.src BETWEEN 1 AND 50 GROUP BY 1, 2),
-r AS (SELECT customer, dst AS part, {total("shared")} AS weight FROM p JOIN likes ON src = other GROUP BY 1, 2)
-SELECT customer, part, weight, CAST(row_number() OVER (PARTITION BY customer ORDER BY weight DESC, part) AS INTEGER) AS rank FROM r QUALIFY rank <= 10"""
-)
-def cf_top10_each(g: Graphs) -> DataFrame:
-    out = run(g.commerce(), g.spark, recommend.collaborative().rank(10), ids(CUSTOMER, *range(1, 51)), per_origin=True)
-    return out.select(key("origin").alias("customer"), key("pos").alias("part"), "weight", "rank")
-
-
 @query(
     f"""WITH {LIKES}, p AS (SELECT a.src AS customer, b.src AS other, count(*) AS shared FROM likes a JOIN likes b ON b.dst = a.dst AND b.src <> a.src GROUP BY 1, 2),
 r AS (SELECT customer, dst AS part, {total("shared")} AS weight FROM p JOIN likes ON src = other GROUP BY 1, 2)
 SELECT customer, part, weight, CAST(row_number() OVER (PARTITION BY customer ORDER BY weight DESC, part) AS INTEGER) AS rank FROM r QUALIFY rank <= 10"""
 )
-def cf_top10_all(g: Graphs) -> DataFrame:
+def cf_top10_each(g: Graphs) -> DataFrame:
     """The top 10 of every customer, batch by batch of origins."""
     out = run_in_batches(g.commerce(), g.spark, recommend.collaborative().rank(10), all_customers(g), BATCH_PATHS)
     return out.select(key("origin").alias("customer"), key("pos").alias("part"), "weight", "rank")
@@ -392,14 +375,8 @@ def cf_set_result(g: Graphs) -> DataFrame:
 WORDS = "words AS (SELECT DISTINCT doc_id AS src, unnest(regexp_extract_all(lower(text), '\\p{L}+')) AS dst FROM documents)"
 
 
-@query(f"WITH {WORDS}, d AS (SELECT dst FROM words GROUP BY 1 HAVING count(*) <= 50) SELECT b.src AS doc, count(*) AS shared FROM words a JOIN d ON d.dst = a.dst JOIN words b ON b.dst = a.dst AND b.src <> a.src WHERE a.src = 1 GROUP BY 1")
-def cooc_documents(g: Graphs) -> DataFrame:
-    """Content walk over words; words in more than 50 documents are left out (the hub guard)."""
-    return recommend.content_scores(g.documents(), g.spark, ids(DOCUMENT, 1), novelty="max_degree", max_degree=50, label="has_word").select(key("pos").alias("doc"), "shared")
-
-
 @query(f"WITH {WORDS} SELECT b.src AS doc, count(*) AS shared FROM words a JOIN words b ON b.dst = a.dst AND b.src <> a.src WHERE a.src = 1 GROUP BY 1")
-def cooc_documents_all(g: Graphs) -> DataFrame:
+def cooc_documents(g: Graphs) -> DataFrame:
     """Content walk over all words of the document, however many others have them."""
     return keyed(run(g.documents(), g.spark, recommend.content_neighbors("has_word"), ids(DOCUMENT, 1)), "doc", "shared")
 
@@ -415,10 +392,11 @@ def cocited_pages(g: Graphs) -> DataFrame:
 
 @query("WITH h AS (SELECT page_id AS src, regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1) AS dst FROM pages) SELECT a.src AS page, count(*) AS shared FROM h a JOIN h b ON b.dst = a.dst AND b.src <> a.src GROUP BY 1")
 def cohost_pages(g: Graphs) -> DataFrame:
+    """How many others share a page's host. Out to the host and back over its pages is a degree lookup (rewritten), so no pair is made; the page itself is taken off."""
     start = g.pages().vertices("page").select(F.col("vid").alias("pos"))
-    walk = HERE.mark("page").out("on_host").into("on_host").drop_marked("page")
-    out = run(g.pages(), g.spark, walk, frame=start, per_origin=True)
-    return out.groupBy(key("origin").alias("page")).agg(F.sum("weight").alias("shared"))
+    out = run(g.pages(), g.spark, HERE.out("on_host").in_edges("on_host").head(), frame=start, per_origin=True)
+    totals = out.groupBy(key("origin").alias("page")).agg((F.sum("weight") - F.count("*")).alias("shared"))
+    return totals.where("shared > 0")
 
 
 @query("WITH s AS (SELECT DISTINCT l_suppkey AS src, l_partkey AS dst FROM lineitem) SELECT b.src AS supplier, count(*) AS shared FROM s a JOIN s b ON b.dst = a.dst AND b.src <> a.src WHERE a.src = 7 GROUP BY 1")
@@ -475,14 +453,12 @@ def map_entries(g: Graphs) -> DataFrame:
 
 @query("SELECT 1 AS depth, count(*) AS vertices FROM nation UNION ALL SELECT 2, count(*) FROM customer JOIN nation ON n_nationkey = c_nationkey")
 def geo_tree_descend(g: Graphs) -> DataFrame:
-    """From the regions down, round by round."""
-    graph, out = g.commerce(), None
-    for depth in (1, 2):
-        walk = [HERE.into("in_region"), HERE.into("in_region").into("in_nation")][depth - 1]
-        start = graph.vertices("region").select(F.col("vid").alias("pos"))
-        one = run(graph, g.spark, walk, frame=start).agg(F.sum("weight").alias("vertices")).select(F.lit(depth).alias("depth"), "vertices")
-        out = one if out is None else out.unionByName(one)
-    return out
+    """From the regions down, round by round, until nothing lies below."""
+    graph = g.commerce()
+    start = graph.vertices("region").select(F.col("vid").alias("pos"))
+    met = run(graph, g.spark, HERE.repeat(HERE.into("in_region", "in_nation"), emit="all", max_depth=100), frame=start)
+    depth = F.when(F.shiftright("pos", KEY_BITS) == NATION, 1).otherwise(2)
+    return met.groupBy(depth.alias("depth")).agg(F.sum("weight").alias("vertices"))
 
 
 # -- paths, sampling, other layouts
@@ -496,7 +472,17 @@ def paths_two_hop(g: Graphs) -> DataFrame:
     return out.select(F.array_join(F.transform(stops, lambda p: key_of(p["id"]).cast("string")), ">").alias("path"))
 
 
-@query(None)
+SAMPLED = "\nUNION ALL ".join(
+    f"""SELECT {x} AS share, (SELECT count(*) FROM (SELECT part FROM s WHERE lot < {int(x * 1_000_000)} GROUP BY part ORDER BY sum(shared) DESC, part LIMIT 10) JOIN top USING (part)) / 10 AS recall,
+round((SELECT coalesce(sum(shared), 0) FROM s WHERE lot < {int(x * 1_000_000)}) / {x}::DOUBLE / (SELECT sum(weight) FROM cf) - 1, 6) AS error"""
+    for x in (0.25, 0.5, 0.75, 1.0)
+)
+
+
+@query(
+    f"""{CF}, s AS (SELECT dst AS part, shared, CAST('0x' || substr(md5(concat_ws(':', (1::BIGINT << 56) + customer, 1)), 1, 12) AS BIGINT) % 1000000 AS lot FROM people JOIN likes ON src = customer),
+top AS (SELECT part FROM cf ORDER BY weight DESC, part LIMIT 10) SELECT CAST(share AS DOUBLE) AS share, CAST(recall AS DOUBLE) AS recall, CAST(error AS DOUBLE) AS error FROM ({SAMPLED})"""
+)
 def sampled_cf_recall(g: Graphs) -> DataFrame:
     """Recall of the top 10 and relative error of the total when only a share of the people is walked through."""
     me, graph = ids(CUSTOMER, ME), g.commerce()
@@ -512,7 +498,18 @@ def sampled_cf_recall(g: Graphs) -> DataFrame:
     return out
 
 
-@query(None)
+def _choice(n: int, before: str, near: str, far: str, seed: int) -> str:
+    """One step of the seeded walk: of each walker's edges the one with the least md5 of edge id, origin and seed."""
+    return (
+        f"w{n} AS (SELECT o, {far} AS pos FROM (SELECT w.o, e.{far}, row_number() OVER (PARTITION BY w.o ORDER BY md5(concat_ws(':', e.eid, w.o, {seed})), e.eid) AS r FROM {before} w JOIN e ON e.{near} = w.pos) WHERE r = 1)"
+    )
+
+
+@query(
+    f"""WITH {LIKES}, e AS (SELECT (1::BIGINT << 56) + src AS src, (2::BIGINT << 56) + dst AS dst, row_number() OVER (ORDER BY src, dst) - 1 AS eid FROM likes),
+w0 AS (SELECT (1::BIGINT << 56) + c_custkey AS o, (1::BIGINT << 56) + c_custkey AS pos FROM customer), {_choice(1, "w0", "src", "dst", 11)}, {_choice(2, "w1", "dst", "src", 12)}, {_choice(3, "w2", "src", "dst", 13)}
+SELECT pos - (2::BIGINT << 56) AS part, count(*) AS visits FROM w3 GROUP BY 1"""
+)
 def random_walk_visits(g: Graphs) -> DataFrame:
     """Every customer takes one pseudo-random liked part, then one of its likers, then one of that one's parts: fixed-length seeded walks, each with its own choices."""
     walk = HERE.sample_out("likes", 1, 11).sample_in("likes", 1, 12).sample_out("likes", 1, 13)
@@ -627,31 +624,119 @@ def touched_elements(g: Graphs) -> DataFrame:
     return all_steps.where(F.col("step").isin(*names)).select(named_steps.alias("step"), "positions", "weight")
 
 
-@query(f"{CF} SELECT 'alone' AS graph, count(*) AS positions, {total('weight')} AS weight FROM cf UNION ALL SELECT 'padded', count(*), {total('weight')} FROM cf")
-def padding_invariance(g: Graphs) -> DataFrame:
-    """An unrelated copy of the graph beside it leaves what a walk touches unchanged."""
-    from ..sources.graph import EdgeLabel, PropertyGraph
+COUNTERS = f"""{TOUCHED}, n AS (SELECT count(*) AS k FROM t0), f(step, op, positions, weight, edges, cells) AS (
+SELECT 1, 'edges to resources', (SELECT k FROM n), (SELECT k FROM n), (SELECT k FROM n), 0 UNION ALL SELECT 3, 'edges to people', (SELECT {total("w")} FROM t1), (SELECT {total("w")} FROM t1), (SELECT {total("w")} FROM t1), 0
+UNION ALL SELECT 4, 'people', (SELECT count(*) FROM t1), (SELECT {total("w")} FROM t1), 0, 0
+UNION ALL SELECT 6, 'edges to their resources', (SELECT count(*) FROM people JOIN likes ON src = customer), (SELECT {total("w")} FROM t3), (SELECT count(*) FROM people JOIN likes ON src = customer), 0
+UNION ALL SELECT 7, 'their resources', (SELECT count(*) FROM t3), (SELECT {total("w")} FROM t3), 0, 0
+UNION ALL SELECT 8, 'brands', (SELECT count(DISTINCT p_brand) FROM t3 JOIN part ON p_partkey = dst), (SELECT {total("w")} FROM t3), 0, (SELECT count(*) FROM t3))"""
+_STEPS = {1: "edges to resources", 3: "edges to people", 4: "people", 6: "edges to their resources", 7: "their resources", 8: "brands"}
+
+
+def _counters(g: Graphs, graph: PropertyGraph) -> DataFrame:
+    walk = recommend.collaborative().values("p_brand")
+    named_steps = F.element_at(F.create_map(*[x for k, v in _STEPS.items() for x in (F.lit(k), F.lit(v))]), F.col("step"))
+    counted = touched(graph, g.spark, walk, ids(CUSTOMER, ME)).where(F.col("step").isin(*_STEPS))
+    return counted.select("step", named_steps.alias("op"), "positions", "weight", "edges", "cells")
+
+
+@query(f"WITH {COUNTERS} SELECT step, op, CAST(positions AS BIGINT) AS positions, CAST(weight AS BIGINT) AS weight, CAST(edges AS BIGINT) AS edges, CAST(cells AS BIGINT) AS cells FROM f")
+def touched_counters(g: Graphs) -> DataFrame:
+    """Positions, weight, edges scanned and property cells of each step of the collaborative walk, brands read at its end."""
+    return _counters(g, g.commerce())
+
 
-    likes = g.commerce().labels["likes"].rows
-    shift = 1 << 40
-    padded = lambda: likes().select("eid", "src", "dst").unionByName(likes().select((F.col("eid") + shift).alias("eid"), (F.col("src") + shift).alias("src"), (F.col("dst") + shift).alias("dst")))
+def padded(graph: PropertyGraph, labels: list[str], copies: int) -> PropertyGraph:
+    """The graph with unrelated copies of the labels' edges beside them: a larger database around the same neighbourhoods."""
+
+    def more(x: EdgeLabel) -> EdgeLabel:
+        def rows(side) -> DataFrame:
+            shifted = F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("copy")
+            e = side().select("eid", "src", "dst", *x.keys, shifted)
+            far = F.col("copy").cast("long") * F.lit(1 << 40)
+            return e.select(*[(F.col(c) + far).alias(c) for c in ("eid", "src", "dst")], *x.keys)
+
+        return EdgeLabel(x.name, lambda: rows(x.rows), x.keys, by_head=lambda: rows(x.by_head or x.rows))
+
+    return PropertyGraph.of(list(graph.classes.values()), [more(graph.labels[x]) for x in labels])
+
+
+@query(f"WITH {COUNTERS} SELECT copies, step, CAST(positions AS BIGINT) AS positions, CAST(edges AS BIGINT) AS edges, CAST(cells AS BIGINT) AS cells, copies * (SELECT count(*) FROM likes) AS all_edges FROM f, (VALUES (1), (2), (4)) c(copies)")
+def padding_touched(g: Graphs) -> DataFrame:
+    """What a walk touches while unrelated copies of the graph make it 1, 2 and 4 times as large: the same."""
+    out = None
+    for copies in (1, 2, 4):
+        graph = padded(g.commerce(), ["likes"], copies)
+        n = graph.edges("likes").agg(F.count("*").alias("all_edges"))
+        one = _counters(g, graph).crossJoin(F.broadcast(n)).select(F.lit(copies).alias("copies"), "step", "positions", "edges", "cells", "all_edges")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(f"{CF} SELECT copies, count(*) AS positions, {total('weight')} AS weight FROM cf, (VALUES (1), (2)) c(copies) GROUP BY 1")
+def padding_invariance(g: Graphs) -> DataFrame:
+    """An unrelated copy of the graph beside it leaves the walk's result unchanged; `padding_touched` counts its work."""
     out = None
-    for name, rows in (("alone", likes), ("padded", padded)):
-        graph = PropertyGraph.of([], [EdgeLabel("likes", rows)])
-        one = run(graph, g.spark, recommend.collaborative(), ids(CUSTOMER, ME)).agg(F.count("*").alias("positions"), F.sum("weight").alias("weight")).select(F.lit(name).alias("graph"), "positions", "weight")
+    for copies in (1, 2):
+        one = run(padded(g.commerce(), ["likes"], copies), g.spark, recommend.collaborative(), ids(CUSTOMER, ME)).agg(F.count("*").alias("positions"), F.sum("weight").alias("weight"))
+        one = one.select(F.lit(copies).alias("copies"), "positions", "weight")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(
+    f"""WITH {FRIEND}, k AS (SELECT count(*) AS k FROM friend WHERE src = 7), x AS (SELECT count(*) AS x FROM likes WHERE src = 7), n AS (SELECT count(*) AS n FROM customer), m AS (SELECT count(*) AS m FROM friend)
+SELECT copies, copies * n AS persons, copies * m AS friend_rows, k AS names, copies * (2 * n + m) AS rows_joined, round(log2(copies * n) + 1 + log2(greatest(k, 1)::DOUBLE) + k + k * log2(copies * n) + k, 6) AS relational_cost,
+k AS edges_walked, round(log2(copies * n) + k + x + k + 5 * k, 6) AS walk_cost FROM k, x, n, m, (VALUES (1), (2), (4)) c(copies)"""
+)
+def join_cost_growth(g: Graphs) -> DataFrame:
+    """The same neighbourhood in databases of 1, 2 and 4 times the size: the rows that the join plan's three inputs hold and its logarithmic costs grow,
+    the edges that the walk reads do not."""
+    c, out, shift = g.table("customer"), None, 1 << 40
+    likes = run(g.commerce(), g.spark, HERE.out_edges("likes"), ids(CUSTOMER, ME)).agg(F.count("*").alias("x"))
+    for copies in (1, 2, 4):
+        graph = padded(g.commerce(), ["friend"], copies)
+        many = F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("copy")
+        person = c.select("c_custkey", "c_name", many).select((F.col("c_custkey") + F.col("copy").cast("long") * shift).alias("c_custkey"), F.when(F.col("copy") == 0, F.col("c_name")).otherwise(F.concat("c_name", F.lit("#"), "copy")).alias("c_name"))
+        friend = graph.edges("friend").select(key("src").alias("src"), key("dst").alias("dst"))
+        names = baseline.relational_friend_names(g.spark, person, friend, NAME).agg(F.coalesce(F.sum("times"), F.lit(0)).alias("names"))
+        walked = touched(graph, g.spark, HERE.out("friend"), ids(CUSTOMER, ME)).agg(F.sum("edges").alias("edges_walked"))
+        sizes = person.agg(F.count("*").alias("persons")).crossJoin(F.broadcast(friend.agg(F.count("*").alias("friend_rows"))))
+        one = sizes.crossJoin(F.broadcast(names)).crossJoin(F.broadcast(walked)).crossJoin(F.broadcast(likes))  # one row each
+        n, k, x = F.col("persons"), F.col("names"), F.col("x")
+        cost_of = lambda terms: F.round(sum(terms.values(), F.lit(0.0)), 6)
+        one = one.select(
+            F.lit(copies).alias("copies"), "persons", "friend_rows", "names", (2 * n + F.col("friend_rows")).alias("rows_joined"),
+            cost_of(measures.relational_cost(n, k, k)).alias("relational_cost"), "edges_walked", cost_of(measures.walk_cost(n, k, x, 5)).alias("walk_cost"),
+        )
         out = one if out is None else out.unionByName(one)
     return out
 
 
+@query(
+    f"""WITH {LIKES}, o AS (SELECT src, count(*) AS d FROM likes GROUP BY 1), i AS (SELECT dst, count(*) AS d, {total("o.d")} AS two FROM likes JOIN o USING (src) GROUP BY 1)
+SELECT CAST(floor(log2(d)) AS BIGINT) AS degree_octave, count(*) AS starts, {total("d")} AS one_hop, {total("two")} AS two_hops, round(sum(d) / count(*), 6) AS per_start FROM i GROUP BY 1"""
+)
+def supernode_cost(g: Graphs) -> DataFrame:
+    """Edges that one and two hops from a part touch, by the octave of its degree: the cost follows the local degree."""
+    graph = g.commerce()
+    start = graph.vertices("part").select(F.col("vid").alias("pos"))
+    one = run(graph, g.spark, HERE.in_edges("likes").head(), frame=start, per_origin=True).groupBy("origin").agg(F.sum("weight").alias("d"))
+    two = run(graph, g.spark, HERE.into("likes").out_edges("likes").tail(), frame=start, per_origin=True).groupBy("origin").agg(F.sum("weight").alias("two"))
+    octave = F.floor(F.log2(F.col("d").cast("double")))
+    sums = one.join(two, "origin").groupBy(octave.alias("degree_octave"))
+    return sums.agg(F.count("*").alias("starts"), F.sum("d").alias("one_hop"), F.sum("two").alias("two_hops"), F.round(F.sum("d") / F.count("*"), 6).alias("per_start"))
+
+
 @query(
     f"""WITH {FRIEND}, {FEATURE}, e AS (SELECT 'likes' AS label, src FROM likes UNION ALL SELECT 'feature', src FROM feature UNION ALL SELECT 'friend', src FROM friend),
 d AS (SELECT label, src, count(*) AS d FROM e GROUP BY 1, 2)
-SELECT label, count(*) AS vertices, {total("d")} AS edges, max(d) AS max_degree, CAST(median(d) AS DOUBLE) AS median_degree, round(avg(d), 6) AS mean_degree FROM d GROUP BY 1"""
+SELECT label, count(*) AS vertices, {total("d")} AS edges, max(d) AS max_degree, CAST(median(d) AS DOUBLE) AS median_degree, round(avg(d), 6) AS mean_degree, first(src ORDER BY d DESC, src) AS max_vertex FROM d GROUP BY 1"""
 )
 def degree_profile(g: Graphs) -> DataFrame:
     out = None
     for label in ("likes", "feature", "friend"):
-        one = measures.degree_profile(g.commerce().edges(label), label)
+        one = measures.degree_profile(g.commerce().edges(label), label).withColumn("max_vertex", key("max_vertex"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -680,20 +765,24 @@ def flat_lookup(g: Graphs) -> DataFrame:
 
 @query(f"WITH {LIKES}, p AS (SELECT a.src AS customer, b.src AS other, count(*) AS shared FROM likes a JOIN likes b ON b.dst = a.dst AND b.src <> a.src GROUP BY 1, 2) SELECT other AS customer, shared FROM p WHERE customer = 7")
 def global_pass_then_filter(g: Graphs) -> DataFrame:
-    """The set-based contrast: all pairs first, one origin afterwards."""
-    pairs = recommend.shared_pairs(g.commerce().edges("likes")).where("weight > 0")
+    """The set-based contrast: all pairs are made and stored first, one origin is picked afterwards."""
+    pairs = stored(recommend.shared_pairs(g.commerce().edges("likes")), "global-pass")
     return pairs.where(F.col("a") == F.lit(ids(CUSTOMER, ME)[0])).select(key("b").alias("customer"), F.col("weight").alias("shared"))
 
 
-@query(f"WITH {FEATURE} SELECT a.src AS part, count(*) AS neighbours, CAST(sum(n) AS BIGINT) AS shares FROM (SELECT a.src, b.src AS o, count(*) AS n FROM feature a JOIN feature b ON b.dst = a.dst AND b.src <> a.src WHERE a.src < 20 GROUP BY 1, 2) a GROUP BY 1")
-def content_signature_quotient(g: Graphs) -> DataFrame:
-    """Content shares through feature signatures, expanded for the first 20 parts only."""
-    pairs = recommend.signature_quotient(g.commerce().edges("feature")).where(key("a") < 20)
-    return pairs.groupBy(key("a").alias("part")).agg(F.count("*").alias("neighbours"), F.sum("weight").alias("shares"))
+@query(
+    f"""WITH {LIKES}, p AS (SELECT a.src AS a, b.src AS b FROM likes a JOIN likes b ON b.dst = a.dst AND b.src <> a.src GROUP BY 1, 2)
+SELECT (SELECT count(*) FROM p) AS pairs_made, (SELECT count(*) FROM p WHERE a = 7) AS pairs_kept, (SELECT count(*) FROM likes a JOIN likes b ON b.dst = a.dst WHERE a.src = 7) + (SELECT count(*) FROM likes WHERE src = 7) AS edges_walked"""
+)
+def global_pass_cost(g: Graphs) -> DataFrame:
+    """Pairs that the global pass makes for one origin's answer, beside the edges that the local walk reads for the same."""
+    pairs = stored(recommend.shared_pairs(g.commerce().edges("likes")), "global-pass")
+    made = pairs.agg(F.count("*").alias("pairs_made"), F.count_if(F.col("a") == F.lit(ids(CUSTOMER, ME)[0])).alias("pairs_kept"))
+    return made.crossJoin(F.broadcast(touched(g.commerce(), g.spark, recommend.similar_people(), ids(CUSTOMER, ME)).agg(F.sum("edges").alias("edges_walked"))))
 
 
 @query(f"WITH {FEATURE} SELECT part, count(*) AS neighbours, CAST(sum(n) AS BIGINT) AS shares FROM (SELECT a.src AS part, b.src AS o, count(*) AS n FROM feature a JOIN feature b ON b.dst = a.dst AND b.src <> a.src GROUP BY 1, 2) GROUP BY 1")
-def content_signature_quotient_all(g: Graphs) -> DataFrame:
+def content_signature_quotient(g: Graphs) -> DataFrame:
     """Neighbours and content shares of every part, by signatures and their member counts."""
     return recommend.signature_totals(g.commerce().edges("feature")).select(key("a").alias("part"), "neighbours", "shares")
 
@@ -716,3 +805,39 @@ def reversed_walk(g: Graphs) -> DataFrame:
 def walks_intersect(g: Graphs) -> DataFrame:
     a, b = (df for df, _ in _both(g))
     return a.join(b.select("pos", F.col("weight").alias("_w")), "pos").select(key("pos").alias("part"), F.least("weight", "_w").alias("weight"))
+
+
+NEAR = f"WITH {FRIEND}, people AS (SELECT b.src AS customer, count(*) AS shared FROM likes a JOIN likes b ON b.dst = a.dst AND b.src <> a.src WHERE a.src = 7 GROUP BY 1), arm AS (SELECT dst AS customer, {total('shared')} AS w FROM people JOIN friend ON src = customer GROUP BY 1)"
+
+
+@query(f"{NEAR} SELECT customer, least(shared, w) AS weight FROM people JOIN arm USING (customer)")
+def walk_intersect_steps(g: Graphs) -> DataFrame:
+    """Similar people who are also friends of similar people: the lesser multiplicity, as a step of one walk."""
+    walk = recommend.similar_people().intersect(HERE.out("friend"))
+    return keyed(run(g.commerce(), g.spark, walk, ids(CUSTOMER, ME)), "customer", "weight")
+
+
+@query(f"WITH {PEOPLE} SELECT 'multiset' AS form, customer, shared - 1 AS weight FROM people WHERE shared > 1 UNION ALL SELECT 'distinct', customer, shared FROM people JOIN customer ON c_custkey = customer WHERE c_mktsegment <> 'BUILDING'")
+def walk_minus_steps(g: Graphs) -> DataFrame:
+    """Similar people less one traverser each, by multiplicities; and less those of one segment, by places."""
+    out = None
+    for form, arm in (("multiset", HERE.unit()), ("distinct", HERE.keep("c_mktsegment", "=", "BUILDING"))):
+        walk = recommend.similar_people().minus(arm, distinct=form == "distinct")
+        one = keyed(run(g.commerce(), g.spark, walk, ids(CUSTOMER, ME)), "customer", "weight").select(F.lit(form).alias("form"), "customer", "weight")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(f"{BOTH} SELECT part, {total('weight')} AS weight FROM (SELECT * FROM cf UNION ALL SELECT * FROM content) GROUP BY 1")
+def hybrid_walk_one_plan(g: Graphs) -> DataFrame:
+    """Content and collaborative recommendation as two arms of one walk, merged by position."""
+    walk = HERE.overlay(recommend.collaborative(), recommend.content_by_likes())
+    return keyed(run(g.commerce(), g.spark, walk, ids(CUSTOMER, ME)), "part", "weight")
+
+
+@query(f"{CF} SELECT part, weight FROM cf")
+def layout_walk(g: Graphs) -> DataFrame:
+    """The collaborative walk over a layout that was written and read back: hops out from files by tail, hops in from files by head."""
+    path = f"{shared_dir(g.spark)}/pathflow-graph/layout-{uuid.uuid4().hex}"
+    g.commerce().single("likes").write_layout(path, 8)
+    return keyed(run(PropertyGraph.from_layout(g.spark, path, ["likes"]), g.spark, recommend.collaborative(), ids(CUSTOMER, ME)), "part", "weight")

@@ -22,15 +22,15 @@ def test_every_event_takes_the_static_hop(spark):
     lines = table(spark, "lineitem").select("l_orderkey")
     liked = {r[0] for r in table(spark, "orders").join(lines, F.col("o_orderkey") == F.col("l_orderkey")).select("o_custkey").distinct().collect()}
     due = {r.event_id for r in table(spark, "events").collect() if r.user_id in liked}
-    assert {r[0] for r in QUERIES["stream_static_hop_all"](spark, SF).select("event_id").distinct().collect()} == due
+    assert {r[0] for r in QUERIES["stream_static_hop"](spark, SF).select("event_id").distinct().collect()} == due
 
 
 def test_every_customer_with_company_has_a_top_10(spark):
-    pairs = QUERIES["virtual_copurchase_all"](spark, SF)
+    pairs = QUERIES["virtual_copurchase"](spark, SF)
     people = {r[0] for r in pairs.select("a").distinct().collect()}
     nations = {r.c_custkey: r.c_nationkey for r in table(spark, "customer").collect()}
     assert len({nations[p] for p in people}) > 1 and max(people) > 50
-    assert {r[0] for r in QUERIES["cf_top10_all"](spark, SF).select("customer").distinct().collect()} == people
+    assert {r[0] for r in QUERIES["cf_top10_each"](spark, SF).select("customer").distinct().collect()} == people
 
 
 def test_batches_of_origins_lose_none(spark):
@@ -45,12 +45,12 @@ def test_batches_of_origins_lose_none(spark):
 
 def test_surface_queries_take_every_part_and_customer(spark):
     parts = {r.p_partkey for r in table(spark, "part").collect()}
-    for name in ("join_lateral_features_all", "udtf_words_all"):
+    for name in ("join_lateral_features", "udtf_words"):
         assert {r.part for r in QUERIES[name](spark, SF).collect()} == parts
     likes = QUERIES["agg_distinct"](spark, SF).groupBy().sum("people").first()[0]
-    paths = QUERIES["udtf_paths_all"](spark, SF)
+    paths = QUERIES["udtf_paths"](spark, SF)
     assert paths.count() == likes and paths.where("customer >= 20").count() > 0
-    assert {r.edges for r in QUERIES["scan_formats_roundtrip_all"](spark, SF).collect()} == {likes}
+    assert {r.edges for r in QUERIES["scan_formats_roundtrip"](spark, SF).collect()} == {likes}
 
 
 def test_signature_totals_are_those_of_all_pairs(spark):
@@ -66,7 +66,7 @@ def test_a_word_in_many_documents_counts(spark):
     mine = words.pop(1)
     due = {d: len(mine & w) for d, w in words.items() if mine & w}
     assert max(sum(x in w for w in words.values()) for x in mine) > 50
-    assert {r.doc: r.shared for r in QUERIES["cooc_documents_all"](spark, SF).collect()} == due
+    assert {r.doc: r.shared for r in QUERIES["cooc_documents"](spark, SF).collect()} == due
 
 
 def test_each_walker_takes_one_edge_in(spark):
