@@ -72,14 +72,13 @@ def test_language_model(spark):
     out = {r.doc_id: r for r in hmm_lm.score(docs(spark, probe), language).collect()}
     counts = Counter(w for t in texts for w in [*(t or "").lower().split(), "</end>"])
     n, v = sum(counts.values()), len(counts)
-    codes = hmm_lm.TokenCodes()
     m, s = language.model, language.symbols
     for i, text in probe:
         words = [*(text or "").lower().split(), "</end>"]
         assert out[i].n_tokens == len(words) and out[i].n_known == sum(w in counts for w in words)
         assert out[i].base_score == pytest.approx(sum(math.log10((counts[w] + 1) / (n + v + 1)) for w in words))
         # every path through the states, summed
-        tokens = hmm_lm.token_codes(text, codes)
+        tokens = hmm_lm.token_codes(text)
         sym = s.of(tokens)
         paths = {k: m.start[k] * m.emits[sym[0], k] for k in range(3)}
         for x in sym[1:]:
@@ -92,6 +91,21 @@ def test_language_model(spark):
     assert hmm_lm.score(docs(spark, []), language).count() == 0
 
 
+def test_token_codes_tell_words_apart():
+    import pyarrow as pa
+
+    texts = [None, "", " \t", "The cat\x0bTHE  cat.", "x" * 3000, "Été été", "cat", "a b", "ab", "\xa0 cat\u3000cat", *[f"w{i} {i}w" for i in range(2000)]]
+    for window in (1 << 20, 5):
+        seen: dict[bytes, int] = {}
+        for text, codes in zip(texts, hmm_lm.token_arrays(pa.array(texts, pa.string()), window), strict=True):
+            words = (text or "").encode().lower().split()
+            assert len(codes) == len(words) + 1 and codes[-1] == hmm_lm.END
+            assert all(seen.setdefault(w, c) == c for w, c in zip(words, codes.tolist(), strict=False))
+        assert len(set(seen.values())) == len(seen) > 4000
+    one = hmm_lm.token_arrays(pa.array(["drop", "Walking, talking talk", "walking"], pa.string()).slice(1))
+    assert hmm_lm.class_of(one[0][:2]).tolist() == hmm_lm.class_of(one[1][:1]).tolist() * 2 and one[0][0] != one[1][0]
+
+
 def test_expected_counts_by_brute_force():
     rng = np.random.default_rng(2)
     model = hmm_lm.Model(np.array([0.6, 0.4]), np.array([[0.7, 0.3], [0.2, 0.8]]), rng.dirichlet(np.ones(4), 2).T)
