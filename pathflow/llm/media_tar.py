@@ -3,7 +3,10 @@
 A payload is stored as a lossless 8-bit greyscale PNG of width 64, named by the SHA-256 of its bytes, in tar shards in a
 shared folder (any file system that pyarrow opens by URI). Writers store a payload once per shard and
 emit a row only after its shard is closed, so rows never point at missing bytes; a lost executor's task writes new shards under new names. The index then keeps
-one location for each digest. Headers are read by a range read of 33 bytes, which fills width and height without reading the image.
+one location for each digest. Range reads of 33 bytes fill its width and height without reading an image.
+
+Null texts are empty ones: 64 zero bytes are stored. Rows that repeat get a row each and share one payload. An empty table gives no rows and no shard.
+A long text is one payload, held whole by one worker (some six times its size). Extra columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -16,11 +19,11 @@ import zlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, scratch_path
+from .common import materialize, scratch_path, slices
 
 WIDTH, HEADER = 64, 33
 #: Fixed value: the PNG signature.
@@ -99,30 +102,34 @@ class ShardWriter:
 def store_media(docs: DataFrame, folder: str, id_col: str = "doc_id", text_col: str = "text", shard_bytes: int = 64 << 20) -> DataFrame:
     """Writes the shards; doc rows: id, n_bytes, digest, shard, offset, length."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        writer, rows = None, []
+    kind = docs.schema[id_col].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        writer, ids, rows = None, [], []
 
-        def flush() -> pd.DataFrame:
+        def flush() -> pa.RecordBatch:
             writer.close()
-            return pd.DataFrame(rows, columns=["id", "n_bytes", "digest", "shard", "offset", "length"])
-
-        for pdf in batches:
-            for i, text in zip(pdf["id"], pdf["text"], strict=True):
-                writer = writer or ShardWriter(folder)
-                payload, n = payload_of(text)
-                digest = hashlib.sha256(payload).digest()
-                at = writer.have.get(digest) or writer.add(digest, encode_png(payload))
-                rows.append((i, n, digest, writer.name, *at))
-                if writer.at >= shard_bytes:
-                    yield flush()
-                    writer, rows = None, []
+            columns = zip(*rows, strict=True)
+            made = [pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.binary(), pa.string(), pa.int64(), pa.int64()), strict=True)]
+            return pa.RecordBatch.from_arrays([pa.concat_arrays(ids), *made], ["id", "n_bytes", "digest", "shard", "offset", "length"])
+
+        for batch in batches:
+            for part in slices(batch):
+                for i, text in enumerate(part.column("text").to_pylist()):
+                    writer = writer or ShardWriter(folder)
+                    payload, n = payload_of(text)
+                    digest = hashlib.sha256(payload).digest()
+                    at = writer.have.get(digest) or writer.add(digest, encode_png(payload))
+                    ids.append(part.column("id").slice(i, 1))
+                    rows.append((n, digest, writer.name, *at))
+                    if writer.at >= shard_bytes:
+                        yield flush()
+                        writer, ids, rows = None, [], []
         if writer:
             yield flush()
 
-    rows = docs.select(F.col(id_col).cast("string").alias("id"), F.col(text_col).alias("text"))
-    kind = docs.schema[id_col].dataType
-    out = rows.mapInPandas(run, "id string, n_bytes long, digest binary, shard string, offset long, length long")
-    return out.withColumn("id", F.col("id").cast(kind)).withColumnRenamed("id", id_col)
+    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    return rows.mapInArrow(run, f"id {kind}, n_bytes long, digest binary, shard string, offset long, length long").withColumnRenamed("id", id_col)
 
 
 def media_index(rows: DataFrame) -> DataFrame:
@@ -131,59 +138,70 @@ def media_index(rows: DataFrame) -> DataFrame:
     return at.select("digest", "at.*")
 
 
-def _read(folder: str, need_body: bool):
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+_HEAD = {"digest": pa.binary(), "shard": pa.string(), "offset": pa.int64(), "length": pa.int64(), "width": pa.int32(), "height": pa.int32()}
+_HEAD_TYPE = "digest binary, shard string, offset long, length long, width int, height int"
+_BODY = {"digest": pa.binary(), "width": pa.int32(), "height": pa.int32(), "payload_bytes": pa.int64(), "payload_sha256": pa.string(), "tail_crc32": pa.int64(), "media_bytes": pa.int64(), "media_sha256": pa.string(), "feature": pa.string()}
+_BODY_TYPE = "digest binary, width int, height int, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+
+
+def _header(source, digest: bytes, shard: str, offset: int, length: int) -> tuple:
+    return (digest, shard, offset, length, *parse_header(source.read_at(HEADER, offset)))
+
+
+def _body(source, digest: bytes, shard: str, offset: int, length: int) -> tuple:
+    media = source.read_at(length, offset)
+    width, height = parse_header(media[:HEADER])
+    payload = decode_png(media)
+    a = np.frombuffer(payload, np.uint8)
+    feature = f"grey8 {width}x{height} mean={a.mean():.4f} sd={a.std():.4f} kinds={np.count_nonzero(np.bincount(a, minlength=256))}"
+    return (digest, width, height, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-WIDTH:]), len(media), hashlib.sha256(media).hexdigest(), feature)
+
+
+def _read(folder: str, take, columns: dict[str, pa.DataType]):
+    """Rows made by `take` at each location; one shard is open at a time."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         files, path = _open(folder)
         name, source = None, None
-        for pdf in batches:
-            out = []
-            for digest, shard, offset, length in zip(pdf["digest"], pdf["shard"], pdf["offset"], pdf["length"], strict=True):
-                if shard != name:
-                    if source:
-                        source.close()
-                    name, source = shard, files.open_input_file(f"{path}/{shard}")
-                head = source.read_at(HEADER, offset)
-                width, height = parse_header(head)
-                if not need_body:
-                    out.append((digest, width, height))
-                    continue
-                media = head + source.read_at(length - HEADER, offset + HEADER)
-                payload = decode_png(media)
-                a = np.frombuffer(payload, np.uint8)
-                feature = f"grey8 {width}x{height} mean={a.mean():.4f} sd={a.std():.4f} kinds={len(np.unique(a))}"
-                out.append((digest, width, height, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-WIDTH:]), len(media), hashlib.sha256(media).hexdigest(), feature))
-            yield pd.DataFrame(out, columns=_FULL if need_body else _FULL[:3])
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1024):
+                out = []
+                for place in zip(*[batch.column(c).slice(at, 1024).to_pylist() for c in ("digest", "shard", "offset", "length")], strict=True):
+                    if place[1] != name:
+                        if source:
+                            source.close()
+                        name, source = place[1], files.open_input_file(f"{path}/{place[1]}")
+                    out.append(take(source, *place))
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), columns.values(), strict=True)], list(columns))
         if source:
             source.close()
 
     return run
 
 
-_FULL = ["digest", "width", "height", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"]
-_HEAD_TYPE = "digest binary, width int, height int"
-
-
 def read_headers(index: DataFrame, folder: str) -> DataFrame:
-    """width and height of every stored payload, by range reads of the header alone."""
-    return _in_file_order(index).mapInPandas(_read(folder, False), _HEAD_TYPE)
+    """The index (digest, shard, offset, length) with width and height of every stored payload, by range reads of the header alone."""
+    return _dealt(index, HEADER).mapInArrow(_read(folder, _header, _HEAD), _HEAD_TYPE)
 
 
 def read_media(index: DataFrame, folder: str) -> DataFrame:
-    """Reads the stored bytes back: header columns, digests of payload and stored form, features."""
-    schema = f"{_HEAD_TYPE}, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
-    return _in_file_order(index).mapInPandas(_read(folder, True), schema)
+    """Reads the stored bytes back: width, height, digests of payload and stored form, features."""
+    return _dealt(index, None).mapInArrow(_read(folder, _body, _BODY), _BODY_TYPE)
 
 
-def _in_file_order(index: DataFrame) -> DataFrame:
-    return index.repartitionByRange("shard", "offset").sortWithinPartitions("shard", "offset")
+def _dealt(index: DataFrame, read: int | None, task_bytes: int = 32 << 20, run_bytes: int = 4 << 20) -> DataFrame:
+    """Runs of about `run_bytes` of a shard, dealt to tasks by the bytes that will be read (`read` a payload, else its length), in file order."""
+    total = index.agg(F.sum(F.lit(read + 512) if read else F.col("length"))).first()[0] or 0
+    run = F.floor(F.col("offset") / run_bytes)
+    return index.withColumn("_run", run).repartition(max(1, -(-total // task_bytes)), "shard", "_run").sortWithinPartitions("shard", "offset").drop("_run")
 
 
 def media_columns(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", folder: str | None = None) -> DataFrame:
-    """One row per document (repeats included): id, n_bytes and the columns read back; equal texts, equal values.
-
-    Null texts are empty ones: 64 zero bytes are stored. An empty table gives no rows and no shard.
-    """
+    """One row per document (repeats included): id, n_bytes, width and height from the headers, and what reading the stored bytes back gives. Equal
+    texts, equal values."""
     folder = folder or scratch_path(docs.sparkSession, "media")
     rows = materialize(store_media(docs, folder, id_col, text_col), "media-rows")
-    back = read_media(media_index(rows), folder)
-    return rows.select(id_col, "n_bytes", "digest").join(back, "digest").drop("digest")
+    index = materialize(media_index(rows), "media-index")
+    heads = read_headers(index, folder).select("digest", "width", "height")
+    back = read_media(index, folder).drop("width", "height")
+    return rows.select(id_col, "n_bytes", "digest").join(heads.join(back, "digest"), "digest").drop("digest")
