@@ -241,7 +241,7 @@ def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col:
 
     Documents link if 100 * |intersection| >= percent * |union| of their shingle sets. Null or wordless texts are
     linked with nothing. Rows with a null id get a null component and are not kept; rows that repeat an id are
-    one document, judged by the text with the most shingles of theirs that comes last. An empty table gives no rows. A very long text costs its words and
+    one document; if their texts differ, links are confirmed on one of their sets, the greatest in array order. An empty table gives no rows. A very long text costs its words and
     8 bytes a shingle, nothing else grows with it. Extra columns are ignored, whatever their names.
     """
     plain = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
