@@ -31,7 +31,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cutoff, discard, list_array, materialize, over_slices, slices
+from .common import cutoff, discard, give_back, list_array, materialize, over_slices, slices
 
 #: Broadcast bound: a rank file has this many entries at most.
 MAX_RANKS = 1_000_000
@@ -174,6 +174,8 @@ def _segment_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
                     counts.update(t.split(" ")[1:])
             often = [(s, n) for s, n in counts.items() if n > 1 and len(s) <= 64]
             yield pa.RecordBatch.from_arrays([pa.array([s for s, _ in often], pa.string()), pa.array([n for _, n in often], pa.int64())], ["segment", "n"])
+            del counts, often
+    give_back()
 
 
 def frequent_segments(docs: DataFrame, ranks: dict[bytes, int], pattern: str, text_col: str = "text", most: int = 131_072) -> dict[str, bytes]:

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import over_slices, slices
+from .common import give_back, over_slices, slices
 
 PROFILE, DEPTH = 400, 400
 _LETTERS: np.ndarray | None = None
@@ -100,6 +100,8 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 held[lang] = merged(held.get(lang, NONE), np.unique(np.concatenate([ngrams(t) for t in own]), return_counts=True) if len(own) > 1 else tally(own[0]))
     for lang, (grams, counts) in held.items():
         yield pa.RecordBatch.from_arrays([pa.array([lang] * len(grams), pa.string()), pa.array(grams, pa.int64()), pa.array(counts, pa.int64())], ["lang", "gram", "n"])
+    held.clear()
+    give_back()
 
 
 def language_profiles(train: DataFrame, text_col: str = "text", lang_col: str = "lang", profile: int = PROFILE) -> dict[str, np.ndarray]:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, discard, list_array, materialize, over_slices, text_words
+from .common import WordHashes, discard, give_back, list_array, materialize, over_slices, slices, text_words
 from .components import connected_components, relabel
 
 GOLDEN = np.uint64(0x9E3779B97F4A7C15)
@@ -93,6 +93,8 @@ def _sketches(shingle: int, m: int, bands: int):
             return pa.RecordBatch.from_arrays([part.column("id"), pa.array(n, pa.int64()), a, b, list_array(keys, pa.int64())], ["id", "n", "set_a", "set_b", "keys"])
 
         yield from over_slices(work)(batches)
+        hashes.clear()
+        give_back()
 
     return run
 
@@ -130,7 +132,9 @@ def _sets(shingle: int, mask: tuple[int, bytes] | None):
         for batch in batches:
             if mask:
                 batch = batch.filter(pa.array(bits[batch.column("id").to_numpy() % mask[0]]))
-            yield from over_slices(work)([batch])
+            yield from map(work, slices(batch))
+        hashes.clear()
+        give_back()
 
     return run
 
@@ -217,6 +221,8 @@ def _block_links(rest: DataFrame, sets: DataFrame, percent: int, block: int = 51
                 held.append((comp, own, values[ends[i] : ends[i + 1]]))
         if held:
             yield flush()
+        held = []
+        give_back()
 
     return rows.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi").mapInArrow(run, "u long, v long")
 
