@@ -7,12 +7,15 @@ is the reference. Timestamps come without a zone, so they are cast before a wate
 from __future__ import annotations
 
 import uuid
+from collections import Counter
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
 from ..sources.scratch import shared_dir
 
@@ -83,6 +86,63 @@ def kept_counts(stream: DataFrame) -> DataFrame:
     return stream.groupBy("user_id", "event_type").applyInPandasWithState(step, "user_id long, event_type string, edges long", "n long", "update", GroupStateTimeout.NoTimeout)
 
 
+class _SharedPairs(StatefulProcessor):
+    """Per block of a resource: its members' counts in a map of the state store, and new shared counts of pairs of people.
+
+    A block sees every new edge of its resource but keeps those of its own people. A new edge meets the kept edges of earlier batches in the one block
+    that keeps them, and a new edge of the same batch in the block of the lesser person, so a pair of edges counts once whatever the order of rows.
+    """
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.members = handle.getMapState("members", "person long", "n long")
+
+    def handleInputRows(self, key: tuple, rows: Iterator[Row], timerValues) -> Iterator[Row]:
+        new, own = Counter(), Counter()
+        for r in rows:
+            new[r["person"]] += 1
+            own[r["person"]] += r["own"]
+        own = +own
+        for (old,), (n,) in self.members.iterator():
+            for person, k in new.items():
+                if person != old:
+                    yield Row(a=min(old, person), b=max(old, person), shared=n * k)
+        for low, n in own.items():
+            for person, k in new.items():
+                if low < person:
+                    yield Row(a=low, b=person, shared=n * k)
+        for person, n in own.items():
+            kept = self.members.getValue((person,)) if self.members.containsKey((person,)) else (0,)
+            self.members.updateValue((person,), (kept[0] + n,))
+
+    def close(self) -> None:
+        pass
+
+
+def shared_changes(stream: DataFrame, resource: list[str], blocks: int = 4) -> DataFrame:
+    """What each batch of edges adds to the shared counts of pairs a < b of people: their sum by pair is the number of pairs of edges that meet in a resource.
+
+    A resource's people are dealt to `blocks` keys, so a hot one is no single task; each edge is sent to all of them. Edges without a person are left out; a null
+    resource is none. The members live in the state store, in RocksDB, so a task's memory follows the people of one batch.
+    """
+    edges = stream.where(" AND ".join(f"`{c}` IS NOT NULL" for c in ("user_id", *resource)))
+    home = F.pmod(F.xxhash64("user_id"), F.lit(blocks)).cast("int")
+    dealt = edges.select(*resource, F.col("user_id").alias("person"), home.alias("home"), F.explode(F.array(*map(F.lit, range(blocks)))).alias("block"))
+    dealt = dealt.select(*resource, "block", "person", (F.col("home") == F.col("block")).cast("int").alias("own"))
+    return dealt.groupBy(*resource, "block").transformWithState(_SharedPairs(), "a long, b long, shared long", "Append", "None")
+
+
+@contextmanager
+def rocksdb(spark: SparkSession) -> Iterator[None]:
+    """The state store that `shared_changes` needs, for the queries started inside; the session's own setting comes back."""
+    name = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(name)
+    spark.conf.set(name, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 def latest(rows: DataFrame, keys: list[str]) -> DataFrame:
     """Of an update stream's rows, the last of each key."""
     others = [c for c in rows.columns if c not in (*keys, "_epoch")]
