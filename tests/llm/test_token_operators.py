@@ -2,6 +2,7 @@
 
 import base64
 import hashlib
+import itertools
 import math
 import tarfile
 from collections import Counter
@@ -63,6 +64,18 @@ def test_merge_that_makes_a_lower_rank():
         assert np.frombuffer(replay.encode_pieces([word])[word], "<u4").tolist() == want
 
 
+def test_pieces_of_a_block_do_not_meet():
+    """Neighbours in a block never merge, tokens of bytes 255 included, and the size of the block changes nothing."""
+    ranks = {b"a": 0, b"b": 1, b"c": 2, b"\xff": 3, b"\xff\xff": 4, b"abc": 5, b"ab": 6, b"a\xff": 7, b"ca": 8, b"aa": 9, b"aaa": 10}
+    replay = bpe_replay.MergeReplay(ranks, r"\S+|\s+")
+    pieces = ["".join(p) for n in range(1, 7) for p in itertools.product("abc", repeat=n)]
+    alone = {p: replay.encode_pieces([p])[p] for p in pieces}
+    assert all(replay.encode_pieces(pieces, block) == alone for block in (2, 100, 8192))
+    for p, ids in alone.items():
+        parts = [ranks[p.encode()]] if p.encode() in ranks else [ranks[t] for t in replay._finish([x.encode() for x in p])]
+        assert np.frombuffer(ids, "<u4").tolist() == parts
+
+
 def test_language_model(spark):
     texts = ["the cat sat on the mat", "the dog sat", "der hund und die katze", "die katze und der hund sah", None, "", "The CAT"] * 30
     rows = list(enumerate(texts))
