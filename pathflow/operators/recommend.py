@@ -168,17 +168,30 @@ def signature_quotient(edges: DataFrame) -> DataFrame:
     return shares.join(a, "sa").join(b, "sb").where("a <> b").select("a", "b", "weight")
 
 
-def signature_totals(edges: DataFrame) -> DataFrame:
+def signature_totals(edges: DataFrame, subsets_of: int = 8) -> DataFrame:
     """(a, neighbours, shares): how many others share a feature with each resource, and how often in sum, as `signature_quotient` would expand to.
 
-    Shares between signatures are weighed by the members of the far one, so pairs of resources are never made; a resource's pairing with itself is
-    taken off, and resources without neighbours have no row.
+    No pair of resources or signatures is made: resources that hold all of a feature set are counted for every subset of a signature, and those that share
+    a feature with it are the alternating sum of its subsets' counts (inclusion and exclusion). Subsets double with every feature, so signatures of more than `subsets_of`
+    features meet all others by a join. A resource's pairing with itself is taken off, and resources without neighbours have no row.
     """
-    sig = edges.groupBy("src").agg(F.sort_array(F.collect_set("dst")).alias("features"))
-    kinds = sig.groupBy("features").agg(F.count("*").alias("members")).withColumn("sig", F.xxhash64("features"))
-    each = kinds.select("sig", "members", F.explode("features").alias("dst"))
-    left, right = each.select("dst", F.col("sig").alias("sa")), each.select("dst", F.col("sig").alias("sb"), "members")
-    shares = left.join(right, "dst").groupBy("sa", "sb").agg(F.count("*").alias("n"), F.first("members").alias("members"))
-    totals = shares.groupBy("sa").agg(F.sum("members").alias("met"), F.sum(F.col("n") * F.col("members")).alias("shared"))
-    a = sig.select(F.col("src").alias("a"), F.xxhash64("features").alias("sa"), F.size("features").alias("own"))
-    return a.join(totals, "sa").select("a", (F.col("met") - 1).alias("neighbours"), (F.col("shared") - F.col("own")).alias("shares")).where("neighbours > 0")
+    sig = edges.where("dst IS NOT NULL").groupBy("src").agg(F.sort_array(F.collect_set("dst")).alias("features"))
+    kinds = sig.groupBy("features").agg(F.count("*").alias("members")).withColumn("sig", F.struct(F.xxhash64("features"), "features"))  # the list itself decides, its hash deals
+    few = kinds.where(F.size("features") <= subsets_of)
+    # subsets by bit mask over the signature's own features, the empty one left out
+    masked = few.select("sig", "members", "features", F.expr("explode(sequence(1, shiftleft(1, size(features)) - 1))").alias("mask"))
+    subset = F.expr("filter(features, (_, i) -> shiftright(mask, i) % 2 = 1)")
+    subsets = masked.select("sig", "members", subset.alias("subset")).withColumn("subset", F.struct(F.xxhash64("subset"), "subset"))
+    held = subsets.groupBy("subset").agg(F.sum("members").alias("n"))
+    size = F.size("subset.subset")
+    counted = subsets.select("sig", "subset").join(held, "subset").groupBy("sig").agg(
+        F.sum(F.when(size % 2 == 1, F.col("n")).otherwise(-F.col("n"))).alias("met"), F.sum(F.when(size == 1, F.col("n")).otherwise(0)).alias("shared")
+    )
+    each = kinds.select("sig", "members", (F.size("features") > subsets_of).alias("many"), F.explode("features").alias("dst"))
+    far = each.select("dst", F.col("sig").alias("far"), "members", F.col("many").alias("far_many"))
+    pairs = each.where("many").select("dst", "sig").join(far, "dst").unionByName(each.where("NOT many").select("dst", "sig").join(far.where("far_many"), "dst"), True)
+    shares = pairs.groupBy("sig", "far").agg(F.count("*").alias("n"), F.first("members").alias("members"))
+    joined = shares.groupBy("sig").agg(F.sum("members").alias("met"), F.sum(F.col("n") * F.col("members")).alias("shared"))
+    totals = counted.unionByName(joined).groupBy("sig").agg(F.sum("met").alias("met"), F.sum("shared").alias("shared"))
+    a = sig.select(F.col("src").alias("a"), F.struct(F.xxhash64("features"), "features").alias("sig"), F.size("features").alias("own"))
+    return a.join(totals, "sig").select("a", (F.col("met") - 1).alias("neighbours"), (F.col("shared") - F.col("own")).alias("shares")).where("neighbours > 0")

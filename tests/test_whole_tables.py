@@ -2,6 +2,7 @@
 
 import re
 
+import pytest
 from pyspark.sql import functions as F
 
 from pathflow.operators import recommend
@@ -60,6 +61,17 @@ def test_signature_totals_are_those_of_all_pairs(spark):
     assert {tuple(r) for r in recommend.signature_totals(e).collect()} == {tuple(r) for r in pairs.collect()} == {(1, 3, 4), (2, 3, 4), (3, 3, 3), (30, 2, 2), (31, 1, 1)}
 
 
+@pytest.mark.parametrize("subsets_of", [0, 1, 2, 8])
+def test_signature_totals_by_subsets_and_by_pairs(spark, subsets_of):
+    """Signatures are few or many by size: both ways, and pairs of one with the other, give what all pairs give; members of a signature repeat."""
+    likes = [(p, f) for p in range(1, 41) for f in range(5) if (p * 7 + 3) >> f & 1] + [(90, 77)]
+    e = graph(spark, {"feature": likes}).edges("feature")
+    sizes = {sum(q == p for q, _ in likes) for p, _ in likes}
+    assert len(sizes) > 3
+    pairs = recommend.shared_pairs(e).groupBy("a").agg(F.count("*").alias("neighbours"), F.sum("weight").alias("shares"))
+    assert {tuple(r) for r in recommend.signature_totals(e, subsets_of).collect()} == {tuple(r) for r in pairs.collect()}
+
+
 def test_a_word_in_many_documents_counts(spark):
     """Brute force over all words of document 1, also those in more than 50 documents."""
     words = {r.doc_id: set(re.findall(r"[^\W\d_]+", r.text.lower())) for r in table(spark, "documents").collect()}
