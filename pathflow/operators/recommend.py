@@ -7,8 +7,11 @@ method only names these aims.
 from __future__ import annotations
 
 from collections.abc import Iterable
+from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.lower import run
@@ -151,6 +154,70 @@ def shared_pairs(edges: DataFrame, resource: str = "dst", person: str = "src", w
     return left.join(right, ["r", "i", "j"]).where("a <> b").groupBy("a", "b").agg(F.sum(F.col("wa") * F.col("wb")).alias("weight"))
 
 
+#: Stands for a null resource inside a task: after all others, as in the order of the result.
+_NULL = (1 << 63) - 1
+
+
+def _gathered(starts: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the members of the lists `which`, one list after the other, and the lists' lengths."""
+    lengths = starts[which + 1] - starts[which]
+    return np.arange(lengths.sum()) + np.repeat(starts[which] - (np.cumsum(lengths) - lengths), lengths), lengths
+
+
+def _best(table: pa.Table, k: int, piece: int = 1 << 22) -> pa.Table:
+    """The k best resources of each own person of a block, from the likes of all whom the block reaches; sums by one person at a time, `piece` people at most in a step."""
+    lists = table.column("resources").combine_chunks()
+    resources, code = np.unique(lists.flatten().to_numpy(zero_copy_only=False), return_inverse=True)
+    out = np.concatenate(([0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64))))
+    person = np.repeat(np.arange(len(lists)), np.diff(out))[np.argsort(code, kind="stable")]
+    into = np.concatenate(([0], np.cumsum(np.bincount(code, minlength=len(resources)))))
+    known = len(resources) - int(len(resources) and resources[-1] == _NULL)  # null meets nothing, but may be met
+    found: list[tuple[np.ndarray, ...]] = []
+    for me in np.flatnonzero(table.column("own").to_numpy()):
+        mine = code[out[me] : out[me + 1]]
+        people = person[_gathered(into, mine[mine < known])[0]]
+        people, shared = np.unique(people[people != me], return_counts=True)
+        weight = np.zeros(len(resources))
+        # sums of doubles are exact below 2^53
+        ends = np.cumsum(out[people + 1] - out[people])
+        at = 0
+        while at < len(people):
+            stop = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + piece, "right")))
+            places, lengths = _gathered(out, people[at:stop])
+            weight += np.bincount(code[places], np.repeat(shared[at:stop], lengths), len(resources))
+            at = stop
+        least = max(1.0, np.partition(weight, -k)[-k]) if k < len(weight) else 1.0
+        top = np.flatnonzero(weight >= least)
+        top = top[np.lexsort((top, -weight[top]))[:k]]
+        found.append((np.full(len(top), me), top, weight[top].astype(np.int64), np.arange(1, len(top) + 1, dtype=np.int32)))
+    me, top, weight, rank = (np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.zeros(0, np.int64),) * 4
+    pos = pa.array(resources[top], pa.int64(), mask=resources[top] == _NULL)
+    return pa.table({"origin": table.column("person").take(pa.array(me)), "pos": pos, "weight": pa.array(weight, pa.int64()), "rank": pa.array(rank, pa.int32())})
+
+
+def best_of_each(edges: DataFrame, k: int, paths: int = 1_000_000_000) -> DataFrame:
+    """(origin, pos, weight, rank): the walk `collaborative().rank(k)` from every person at once; equal weights by resource, a null one last.
+
+    People are dealt to ranges of about `paths` paths each. A task gets the likes of all whom its range reaches, once, and sums one person's paths in
+    an array of resources, so neither paths nor (person, resource) pairs cross the network. A task holds those likes; there is no cap.
+    """
+    spark = edges.sparkSession
+    e = edges.where("src IS NOT NULL").select("src", "dst")
+    d_in, d_out = e.groupBy("dst").agg(F.count("*").alias("i")), e.groupBy("src").agg(F.count("*").alias("o"))
+    total = e.join(d_in, "dst").join(d_out, "src").agg(F.sum(F.col("i") * F.col("o"))).first()[0] or 0
+    n = max(2 * spark.sparkContext.defaultParallelism, -(-int(total) // paths))
+    bounds = sorted({int(x) for x in e.approxQuantile("src", [i / n for i in range(1, n)], 0.1 / n)}) if total else []
+    below = [F.lit(0), *[(F.lit(b) < F.col("src")).cast("int") for b in bounds]]
+    while len(below) > 1:  # a balanced sum, so that many ranges make no deep expression
+        below = [reduce(Column.__add__, below[i : i + 8]) for i in range(0, len(below), 8)]
+    people = e.groupBy("src").agg(F.collect_list(F.coalesce("dst", F.lit(_NULL))).alias("resources")).withColumn("home", below[0])
+    homes = people.select("src", "home")
+    met = e.join(homes, "src").select(F.col("home").alias("block"), "dst").distinct()
+    reached = met.join(e, "dst").select("block", "src").distinct()
+    given = reached.join(people, "src").select("block", F.col("src").alias("person"), "resources", (F.col("home") == F.col("block")).cast("int").alias("own"))
+    return given.groupBy("block").applyInArrow(lambda t: _best(t, k), "origin long, pos long, weight long, rank int")
+
+
 def signature_quotient(edges: DataFrame) -> DataFrame:
     """(a, b, weight) as `shared_pairs` for resources that fall into few feature signatures.
 

@@ -61,6 +61,20 @@ def test_signature_totals_are_those_of_all_pairs(spark):
     assert {tuple(r) for r in recommend.signature_totals(e).collect()} == {tuple(r) for r in pairs.collect()} == {(1, 3, 4), (2, 3, 4), (3, 3, 3), (30, 2, 2), (31, 1, 1)}
 
 
+@pytest.mark.parametrize("paths", [1, 10**9])
+def test_best_of_each_is_the_ranked_walk(spark, paths):
+    """Ties, parallel edges, people without company and fewer resources than asked for; a null resource meets nobody but is met."""
+    likes = [(p, 100 + r) for p in range(1, 31) for r in range(9) if (p * 5 + r * r) % 7 < 3] + [(3, 101), (3, 101), (50, 200)]
+    g = graph(spark, {"likes": likes})
+    e = g.edges("likes")
+    due = run(g, spark, recommend.collaborative().rank(4), frame=e.select(F.col("src").alias("pos")).distinct(), per_origin=True).select("origin", "pos", "weight", "rank")
+    due = {tuple(r) for r in due.collect()}
+    assert {tuple(r) for r in recommend.best_of_each(e, 4, paths).collect()} == due and len({r[0] for r in due}) == 30
+    assert recommend.best_of_each(e.where("src < 0"), 4, paths).count() == 0
+    odd = spark.createDataFrame([(1, 5), (2, 5), (2, None), (3, None), (None, 5)], "src long, dst long")
+    assert {tuple(r) for r in recommend.best_of_each(odd, 4, paths).collect()} == {(1, 5, 1, 1), (1, None, 1, 2), (2, 5, 1, 1)}
+
+
 @pytest.mark.parametrize("subsets_of", [0, 1, 2, 8])
 def test_signature_totals_by_subsets_and_by_pairs(spark, subsets_of):
     """Signatures are few or many by size: both ways, and pairs of one with the other, give what all pairs give; members of a signature repeat."""
