@@ -10,6 +10,7 @@ from pathflow.operators.value_tree import ValueTree
 from pathflow.plans.lower import run
 from pathflow.plans.traversal import HERE
 from pathflow.sources.dictionary import dictionary
+from pathflow.workloads.queries import QUERIES
 
 from .toys import RECT, region
 
@@ -94,6 +95,20 @@ def test_guessing_numbers(spark):
     assert {r.target: r.guesses for r in baseline.guess_numbers_linear(spark, 1, 100).collect()} == {i: i for i in range(1, 101)}
 
 
+def test_guesses_of_a_table_are_those_of_the_whole_range(spark):
+    some = spark.createDataFrame([(3,), (8,), (40,)], "k long")
+    for guess in (baseline.guess_numbers,):
+        whole = {r.target: r.guesses for r in guess(spark, 3, 40).collect()}
+        assert {r.target: r.guesses for r in guess(spark, 3, 40, some).collect()} == {k: whole[k] for k in (3, 8, 40)}
+
+
+@pytest.mark.parametrize("name", ["guess_number"])
+def test_guesses_read_the_parts(spark, name):
+    keys = {r[0] for r in spark.read.parquet("/root/testdata/sf0.001/part.parquet").select("p_partkey").collect()}
+    found = QUERIES[name](spark, "/root/testdata/sf0.001")
+    assert {r.target for r in found.collect()} == keys and any("part.parquet" in f for f in found.inputFiles())
+
+
 def test_value_tree(spark):
     data = spark.createDataFrame([(i, i * 3) for i in range(100)] + [(100, 6), (101, None)], "key long, value long")
     for fanout in (2, 7, 200):
