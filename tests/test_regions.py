@@ -97,12 +97,12 @@ def test_guessing_numbers(spark):
 
 def test_guesses_of_a_table_are_those_of_the_whole_range(spark):
     some = spark.createDataFrame([(3,), (8,), (40,)], "k long")
-    for guess in (baseline.guess_numbers,):
+    for guess in (baseline.guess_numbers, baseline.guess_numbers_linear):
         whole = {r.target: r.guesses for r in guess(spark, 3, 40).collect()}
         assert {r.target: r.guesses for r in guess(spark, 3, 40, some).collect()} == {k: whole[k] for k in (3, 8, 40)}
 
 
-@pytest.mark.parametrize("name", ["guess_number"])
+@pytest.mark.parametrize("name", ["guess_number", "guess_number_linear"])
 def test_guesses_read_the_parts(spark, name):
     keys = {r[0] for r in spark.read.parquet("/root/testdata/sf0.001/part.parquet").select("p_partkey").collect()}
     found = QUERIES[name](spark, "/root/testdata/sf0.001")
