@@ -36,6 +36,22 @@ def cell_index(value: Column, low: float, high: float, depth: int) -> Column:
     return F.greatest(F.lit(0).cast("long"), F.least(raw, F.lit(n - 1).cast("long")))
 
 
+def touched_cells(low: Column, high: Column, start: float, end: float, depth: int) -> tuple[Column, Column]:
+    """First and last cell that the closed stretch low..high touches, by the cells' own corners: an end on a border touches both sides."""
+    n = 1 << depth
+    zero, last = F.lit(0).cast("long"), F.lit(n - 1).cast("long")
+    if end <= start:
+        return zero, zero
+
+    def edge(k: Column) -> Column:
+        return F.lit(start) + k * (end - start) / n
+
+    a, b = cell_index(low, start, end, depth), cell_index(high, start, end, depth)
+    a = a - (low <= edge(a)).cast("long") + (low > edge(a + 1)).cast("long")
+    b = b + (high >= edge(b + 1)).cast("long") - (high < edge(b)).cast("long")
+    return F.greatest(zero, F.least(a, last)), F.greatest(zero, F.least(b, last))
+
+
 def _spread(c: Column) -> Column:
     """Bits to every second place: the binary digits, read in base four. One reference to `c`, so expressions stay small."""
     return F.conv(F.bin(c), 4, 10).cast("long")

@@ -12,7 +12,7 @@ from functools import cached_property
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.regions import BOX, cell_index, cell_path, checked, inside, overlaps
+from ..functions.regions import BOX, cell_index, cell_path, checked, inside, overlaps, touched_cells
 from ..sources.graph import EdgeLabel, PropertyGraph, VertexClass, vid
 from ..sources.scratch import stored
 
@@ -23,11 +23,13 @@ RANGES = 500
 
 @dataclass
 class RegionTree:
-    """quads: quad, parent, depth, n, leaf, box. pois: poi, quad (where it hangs), at (path where that quad begins), depth, box."""
+    """quads: quad, parent, depth, n, leaf, box. pois: poi, quad (where it hangs), at (path where that quad begins), depth, box. spread: a POI may hang
+    in several places."""
 
     quads: DataFrame
     pois: DataFrame
     max_depth: int
+    spread: bool = False
 
     @cached_property
     def sub(self) -> DataFrame:
@@ -50,7 +52,7 @@ def build_region_tree(boxes: DataFrame, root: tuple[float, float, float, float],
     """boxes: poi, bl_x, bl_y, tr_x, tr_y (points have equal corners). Rows with a null corner are not indexed.
 
     Density is that of box centres. assign: 'enclosing' hangs a box under the smallest quad that holds it; 'every' under every
-    leaf that it touches (results then need a dedup by poi). Coincident points may overfill a leaf at max_depth.
+    leaf that it touches (results then need a dedup by poi), see `_under_every_leaf`. Coincident points may overfill a leaf at max_depth.
     """
     x0, y0, x1, y1 = checked(root)
     if capacity < 1 or not 0 <= max_depth <= 27:
@@ -94,20 +96,79 @@ def build_region_tree(boxes: DataFrame, root: tuple[float, float, float, float],
         found = slots.withColumn("quad", key).join(quads.select("quad"), "quad").groupBy("path", "common").agg(F.max("quad").alias("quad"))
         hung = placed.join(found, ["path", "common"]).join(quads.select("quad", "depth"), "quad")
     elif assign == "every":
-        hung, here = None, placed.select("poi", *BOX).withColumn("quad", F.lit(1).cast("long"))
-        for _ in range(top + 1):
-            now = here.join(quads.select("quad", "leaf", "depth"), "quad")
-            leaves = now.where("leaf").drop("leaf")
-            hung = leaves if hung is None else hung.unionByName(leaves)
-            child = quads.select(F.col("quad").alias("_q"), "parent", *[F.col(c).alias(f"q_{c}") for c in BOX])
-            deeper = now.where("NOT leaf").select("poi", *BOX, F.col("quad").alias("_at")).join(child, F.col("_at") == F.col("parent"))
-            here = deeper.where(overlaps([F.col(c) for c in BOX], "q_")).select("poi", *BOX, F.col("_q").alias("quad"))
+        quads = stored(quads.unionByName(_empty_quarters(quads, (x0, y0, x1, y1))), "quads")
+        return RegionTree(quads, _under_every_leaf(whole, quads, (x0, y0, x1, y1), top), top, True)
     else:
         raise ValueError(assign)
     pois = hung.select("poi", "quad", begin.alias("at"), "depth", *BOX)
     return RegionTree(quads, stored(pois.repartitionByRange("at").sortWithinPartitions("at"), "pois"), top)
 
 
+def _empty_quarters(quads: DataFrame, root) -> DataFrame:
+    """Quarters of inner quads that hold no box centre, as leaves: a box may reach into them all the same."""
+    x0, y0, x1, y1 = root
+    side = F.pow(F.lit(2.0), F.col("depth"))
+    # the place of a quad in its row and column of the grid, from its corner: it is a whole number up to rounding
+    place = [F.round((F.col(c) - low) / (high - low) * side / 2).cast("long") if high > low else F.lit(0).cast("long") for c, low, high in (("bl_x", x0, x1), ("bl_y", y0, y1))]
+    inner = quads.where("NOT leaf").select(F.col("quad").alias("parent"), (F.col("depth") + 1).alias("depth"), "bl_x", "bl_y")
+    four = inner.select("parent", "depth", place[0].alias("px"), place[1].alias("py"), F.explode(F.array(*map(F.lit, range(4)))).alias("q"))
+    kx, ky = F.col("px") * 2 + F.col("q") % 2, F.col("py") * 2 + F.shiftright("q", 1)
+    four = four.select(F.shiftleft("parent", 2).bitwiseOR(F.col("q").cast("long")).alias("quad"), "parent", "depth", kx.alias("kx"), ky.alias("ky"))
+    return four.join(quads.select("quad"), "quad", "left_anti").select(
+        "quad",
+        "parent",
+        "depth",
+        F.lit(0).cast("long").alias("n"),
+        F.lit(True).alias("leaf"),
+        (F.lit(x0) + F.col("kx") * (x1 - x0) / side).alias("bl_x"),
+        (F.lit(y0) + F.col("ky") * (y1 - y0) / side).alias("bl_y"),
+        (F.lit(x0) + (F.col("kx") + 1) * (x1 - x0) / side).alias("tr_x"),
+        (F.lit(y0) + (F.col("ky") + 1) * (y1 - y0) / side).alias("tr_y"),
+    )
+
+
+def _under_every_leaf(boxes: DataFrame, quads: DataFrame, root, top: int) -> DataFrame:
+    """POI rows of boxes under every leaf that they touch, without a row for each.
+
+    Only quads with a corner of the box in them are followed down to their leaves. Any other quad that the box touches it crosses whole along an axis; the box
+    hangs there, and stands for the leaves below that its corners meet. So each touched leaf is under one row of the box (`touched_leaves` lists them), and a box
+    has 12 rows a depth at most. What is stored is one row per box and corner; the others are counted up from it by each reader.
+    """
+    x0, y0, x1, y1 = root
+    (i0, i1), (j0, j1) = touched_cells(F.col("bl_x"), F.col("tr_x"), x0, x1, top), touched_cells(F.col("bl_y"), F.col("tr_y"), y0, y1, top)
+    span = boxes.where(overlaps(root)).select("poi", *BOX, i0.alias("i0"), i1.alias("i1"), j0.alias("j0"), j1.alias("j1"))
+    span = span.select("*", *[cell_path(F.col(f"i{k & 1}"), F.col(f"j{k >> 1}")).alias(f"p{k}") for k in range(4)])
+    paths = span.select(F.explode(F.array("p0", "p1", "p2", "p3")).alias("path")).distinct()
+    slots = paths.select("path", F.explode(F.sequence(F.lit(0), F.lit(top))).alias("d"))
+    leaves = slots.join(quads.where("leaf").select("quad"), F.expr(f"shiftleft(1L, 2 * d) | shiftright(path, 2 * ({top} - d))") == F.col("quad")).select("path", F.col("d").alias("leaf_depth"))
+    corner = span.select("*", F.posexplode(F.array("p0", "p1", "p2", "p3")).alias("k", "path")).where("(k < 1 OR p0 <> path) AND (k < 2 OR p1 <> path) AND (k < 3 OR p2 <> path)")
+    corner = stored(corner.join(stored(leaves, "leaves"), "path"), "corners")
+
+    up = f"2 * ({top} - d)"
+    # a quad above several corners is taken from the first of them
+    mine = " AND ".join(f"(k < {k + 1} OR shiftright(p{k}, {up}) <> shiftright(path, {up}))" for k in range(3))
+    down = corner.select("*", F.explode(F.sequence(F.lit(0), F.col("leaf_depth"))).alias("d")).where(mine)
+    down = down.select("*", F.explode(F.when(F.col("d") < F.col("leaf_depth"), F.array(*map(F.lit, range(4)))).otherwise(F.array(F.lit(-1)))).alias("q"))
+    at_leaf = f"shiftleft(1L, 2 * d) | shiftright(path, {up})"
+    quad = F.expr(f"CASE WHEN q < 0 THEN {at_leaf} ELSE shiftleft({at_leaf}, 2) | q END")
+    kx, ky = F.expr(f"shiftright(IF(k % 2 = 0, i0, i1), {top} - d) * 2 + q % 2"), F.expr(f"shiftright(IF(k < 2, j0, j1), {top} - d) * 2 + shiftright(q, 1)")
+    down = down.select("poi", *BOX, "d", "q", "i0", "i1", "j0", "j1", "p0", "p1", "p2", "p3", quad.alias("quad"), kx.alias("kx"), ky.alias("ky"))
+    low = f"({top} - d - 1)"
+    crossed = f"kx BETWEEN shiftright(i0, {low}) AND shiftright(i1, {low}) AND ky BETWEEN shiftright(j0, {low}) AND shiftright(j1, {low})"
+    no_corner = " AND ".join(f"quad <> (shiftleft(1L, 2 * d + 2) | shiftright(p{k}, 2 * {low}))" for k in range(4))
+    depth = F.expr("IF(q < 0, d, d + 1)")
+    begin = F.expr(f"shiftleft(quad, 2 * ({top} - IF(q < 0, d, d + 1)))").bitwiseAND(F.lit((1 << (2 * top)) - 1))
+    return down.where(f"q < 0 OR ({crossed} AND {no_corner})").select("poi", "quad", begin.alias("at"), depth.alias("depth"), *BOX)
+
+
+def touched_leaves(tree: RegionTree) -> DataFrame:
+    """(poi, quad): every leaf that each box of an 'every' tree touches, once."""
+    leaves = tree.quads.where("leaf").select(F.col("quad").alias("leaf_quad"), "depth", *[F.col(c).alias(f"q_{c}") for c in BOX])
+    above = leaves.select("*", F.explode(F.sequence(F.lit(0), F.col("depth"))).alias("u")).withColumn("quad", F.expr("shiftright(leaf_quad, 2 * u)")).drop("depth", "u")
+    met = tree.pois.select("poi", "quad", *BOX).join(above, "quad").where(overlaps([F.col(c) for c in BOX], "q_"))
+    return met.select("poi", F.col("leaf_quad").alias("quad"))
+
+
 def tree_of(quads: DataFrame, sub: DataFrame, pois: DataFrame) -> RegionTree:
     """A hand-made tree: quads (quad, box), sub (parent, quad), pois (poi, quad, box). It has no paths, so no `prefix` method."""
     return RegionTree(quads.join(sub, "quad", "left").select("quad", "parent", *BOX), pois.select("poi", "quad", *BOX), -1)
@@ -157,10 +218,12 @@ def region_query(tree: RegionTree, rect, method: str = "branching") -> DataFrame
     pois = tree.pois
     if method == "scan":
         return pois.where(overlaps(rect)).select("poi", *BOX, one)
+    # many rows meet few quads there: a stored walk has a size, by which Spark may broadcast it instead of shuffling them
+    kept = (lambda walk: stored(walk, "walk")) if tree.spread else (lambda walk: walk)
     if method == "plain":
-        return pois.join(open_quads(tree, rect).select("quad"), "quad").where(overlaps(rect)).select("poi", *BOX, one)
+        return pois.join(kept(open_quads(tree, rect).select("quad")), "quad").where(overlaps(rect)).select("poi", *BOX, one)
     if method == "branching":
-        return pois.join(branch_quads(tree, rect).select("quad", "contained"), "quad").where(F.col("contained") | overlaps(rect)).select("poi", *BOX, one)
+        return pois.join(kept(branch_quads(tree, rect).select("quad", "contained")), "quad").where(F.col("contained") | overlaps(rect)).select("poi", *BOX, one)
     if method == "overlay":
         tested = pois.join(open_quads(tree, rect).select("quad"), "quad").where(overlaps(rect)).select("poi", *BOX, one)
         free = pois.join(contained_quads(tree, rect), "quad").select("poi", *BOX, "weight")

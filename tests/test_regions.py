@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from pathflow.functions.regions import BOX
 from pathflow.operators import baseline
-from pathflow.operators.region_tree import branch_quads, build_region_tree, contained_quads, open_quads, region_query, region_tests
+from pathflow.operators.region_tree import branch_quads, build_region_tree, contained_quads, open_quads, region_query, region_tests, touched_leaves
 from pathflow.operators.value_tree import ValueTree
 from pathflow.plans.lower import run
 from pathflow.plans.traversal import HERE
@@ -132,3 +132,26 @@ def test_flow_graph_of_the_toy(spark):
 
     found = run(region(spark).as_graph(), spark, flow(RECT), [(20 << 56) + 1]).collect()
     assert {r.pos & ((1 << 56) - 1): r.weight for r in found} == {13: 1, 14: 2, 18: 1}
+
+
+def test_boxes_hang_under_every_leaf_they_touch(spark):
+    """Against brute force over leaves: boxes on borders of quads, points, boxes as large as the plane, and leaves without a centre; few rows hold them."""
+    rng = random.Random(8)
+    spot = lambda: (rng.choice([25, 50, 75, 12.5]) if rng.random() < 0.3 else rng.uniform(0, 100))
+    rows = [(min(a, c), min(b, d), max(a, c), max(b, d)) for a, b, c, d in ((spot(), spot(), spot(), spot()) for _ in range(150))]
+    rows += [(x, y, x, y) for x, y in ((spot() / 4, spot() / 4) for _ in range(150))] + [(0, 0, 100, 100), (25, 25, 50, 50), (100, 100, 100, 100), (0, 99, 100, 100)]
+    t = build_region_tree(points(spark, rows), (0, 0, 100, 100), 2, 6, "every")
+    leaves = [(r.quad, r.bl_x, r.bl_y, r.tr_x, r.tr_y) for r in t.quads.where("leaf").collect()]
+    due = sorted((i, q) for i, (a, b, c, d) in enumerate(rows) for q, x, y, u, v in leaves if a <= u and c >= x and b <= v and d >= y)
+    assert sorted((r.poi, r.quad) for r in touched_leaves(t).collect()) == due
+    assert t.pois.count() * 3 < len(due)
+    assert t.pois.groupBy("poi").count().agg(F.max("count")).first()[0] <= 12 * 6
+
+
+@pytest.mark.parametrize("method", ["plain", "branching", "prefix"])
+def test_every_finds_boxes_where_no_centre_lies(spark, method):
+    """A large box reaches into a part of the plane that holds no centre of any."""
+    rows = [(x, x, x + 1, x + 1) for x in range(30)] + [(0, 0, 100, 100)]
+    t = build_region_tree(points(spark, rows), (0, 0, 100, 100), 2, 6, "every")
+    assert set(ids(region_query(t, (90, 0, 95, 5), method))) == {30}
+    assert set(ids(region_query(t, (101, 0, 105, 5), method))) == set()
