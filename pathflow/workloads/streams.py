@@ -69,11 +69,12 @@ def stream_stateful_shares(g: Graphs) -> DataFrame:
 
 @query("SELECT a.user_id AS a, b.user_id AS b, count(*) AS shared FROM events a JOIN events b ON b.event_type = a.event_type AND date_trunc('hour', b.ts) = date_trunc('hour', a.ts) AND a.user_id < b.user_id GROUP BY 1, 2")
 def stream_shared_counts(g: Graphs) -> DataFrame:
-    """People who do the same in the same hour: shared counts of pairs, kept up to date batch by batch and added up in the sink."""
+    """People who do the same in the same hour: changes of shared counts batch by batch, stored as products of lists of people and added up by pair at the end.
+    As the stream makes no pairs, a resource is one block."""
     edges = _stream(g).withColumn("hour", F.date_trunc("hour", "ts"))
     with s.rocksdb(g.spark):
-        changes = s.drain(s.shared_changes(edges, ["event_type", "hour"]))
-    return changes.groupBy("a", "b").agg(F.sum("shared").alias("shared"))
+        changes = s.drain(s.shared_products(edges, ["event_type", "hour"], blocks=1))
+    return s.shared_totals(changes)
 
 
 @query(f"SELECT sum(edges)::BIGINT AS edges, count(*) AS windows FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS edges FROM events GROUP BY 1, 2) WHERE start + INTERVAL 1 HOUR <= {CLOSED}")
