@@ -6,7 +6,7 @@ method only names these aims.
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 from functools import reduce
 
 import numpy as np
@@ -18,6 +18,7 @@ from ..plans.lower import run
 from ..plans.traversal import HERE, Walk
 from ..sources.dictionary import global_rank
 from ..sources.graph import PropertyGraph
+from ..sources.scratch import shuffles_freed, stored
 
 
 def content_neighbors(label: str = "feature", exclude_all: Iterable[int] = ()) -> Walk:
@@ -164,58 +165,139 @@ def _gathered(starts: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.nda
     return np.arange(lengths.sum()) + np.repeat(starts[which] - (np.cumsum(lengths) - lengths), lengths), lengths
 
 
-def _best(table: pa.Table, k: int, piece: int = 1 << 22) -> pa.Table:
-    """The k best resources of each own person of a block, from the likes of all whom the block reaches; sums by one person at a time, `piece` people at most in a step."""
-    lists = table.column("resources").combine_chunks()
-    resources, code = np.unique(lists.flatten().to_numpy(zero_copy_only=False), return_inverse=True)
-    out = np.concatenate(([0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64))))
-    person = np.repeat(np.arange(len(lists)), np.diff(out))[np.argsort(code, kind="stable")]
-    into = np.concatenate(([0], np.cumsum(np.bincount(code, minlength=len(resources)))))
-    known = len(resources) - int(len(resources) and resources[-1] == _NULL)  # null meets nothing, but may be met
+def _block(batches: list[pa.RecordBatch], width: int) -> tuple[np.ndarray, ...]:
+    """The likes of a block's people: resources in order; their codes in rows of `width`, filled up with the number of resources; each person's first row; who likes a code, and the codes' first places there."""
+    degree = np.concatenate([b.column("resources").value_lengths().to_numpy() for b in batches]).astype(np.int64)
+    coded = pa.chunked_array([b.column("resources").flatten() for b in batches]).dictionary_encode().unify_dictionaries()
+    batches.clear()  # the codes take half the room
+    values = coded.chunk(0).dictionary.to_numpy()
+    order = np.argsort(values)
+    place = np.empty(len(values), np.int32)
+    place[order] = np.arange(len(values), dtype=np.int32)
+    counts = np.zeros(len(values), np.int64)
+    for c in coded.chunks:
+        counts += np.bincount(c.indices.to_numpy(), minlength=len(values))
+    into = np.concatenate(([0], np.cumsum(counts[order])))
+    row = np.concatenate(([0], np.cumsum(-(-degree // width))))
+    likes = np.concatenate(([0], np.cumsum(degree)))
+    grid = np.full((row[-1], width), len(values), np.int32)
+    flat, who, free, at = grid.reshape(-1), np.empty(likes[-1], np.int32), into[:-1].copy(), 0
+    for c in coded.chunks:
+        code = place[c.indices.to_numpy()]
+        i = np.arange(at, at + len(code))
+        at += len(code)
+        person = np.searchsorted(likes, i, "right") - 1
+        flat[row[person] * width + i - likes[person]] = code
+        key = np.sort(code.astype(np.int64) << 32 | person)
+        code = key >> 32
+        first = np.flatnonzero(np.diff(code, prepend=-1))
+        lengths = np.diff(first, append=len(code))
+        who[free[code] + np.arange(len(code)) - np.repeat(first, lengths)] = key & 0xFFFFFFFF
+        free[code[first]] += lengths
+    return values[order], grid, row, who, into
+
+
+def _best(batches: Iterable[pa.RecordBatch], k: int, piece: int = 1 << 22, width: int = 8, flush: int = 4096) -> Iterator[pa.RecordBatch]:
+    """The k best resources of each own person of a block, from the likes of all whom the block reaches; sums by one person at a time, in steps of about `piece` likes."""
+    given = [b for b in batches if b.num_rows]
+    if not given:
+        return
+    person = np.concatenate([b.column("person").to_numpy() for b in given])
+    own = np.flatnonzero(np.concatenate([b.column("own").to_numpy(zero_copy_only=False) for b in given]))
+    resources, grid, row, who, into = _block(given, width)
+    size, flat = len(resources), grid.reshape(-1)
+    known = size - int(resources[-1] == _NULL)  # null meets nothing, but may be met
+    weight = np.zeros(size + 1, np.int64)  # the last is of what fills up rows
     found: list[tuple[np.ndarray, ...]] = []
-    for me in np.flatnonzero(table.column("own").to_numpy()):
-        mine = code[out[me] : out[me + 1]]
-        people = person[_gathered(into, mine[mine < known])[0]]
-        people, shared = np.unique(people[people != me], return_counts=True)
-        weight = np.zeros(len(resources))
-        # sums of doubles are exact below 2^53
-        ends = np.cumsum(out[people + 1] - out[people])
-        at = 0
+
+    def batch() -> pa.RecordBatch:
+        me, top, sums, rank = (np.concatenate(x) for x in zip(*found, strict=True))
+        found.clear()
+        pos = pa.array(resources[top], pa.int64(), mask=resources[top] == _NULL)
+        return pa.RecordBatch.from_arrays([pa.array(person[me]), pos, pa.array(sums), pa.array(rank)], ["origin", "pos", "weight", "rank"])
+
+    for me in own:
+        mine = flat[row[me] * width : row[me + 1] * width]
+        people, shared = np.unique(who[_gathered(into, mine[mine < known])[0]], return_counts=True)
+        others = people != me
+        people, shared = people[others], shared[others]
+        if not len(people):
+            continue
+        ends, at = np.cumsum(row[people + 1] - row[people]), 0
         while at < len(people):
-            stop = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + piece, "right")))
-            places, lengths = _gathered(out, people[at:stop])
-            weight += np.bincount(code[places], np.repeat(shared[at:stop], lengths), len(resources))
+            stop = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + piece // width, "right")))
+            met = grid.take(_gathered(row, people[at:stop])[0], axis=0).reshape(-1)
+            np.add.at(weight, met, 1)
+            more = at + np.flatnonzero(shared[at:stop] > 1)
+            if len(more):
+                places, lengths = _gathered(row, people[more])
+                np.add.at(weight, grid.take(places, axis=0).reshape(-1), np.repeat(shared[more] - 1, lengths * width))
+            few = at == 0 and stop == len(people) and 2 * len(met) < size
             at = stop
-        least = max(1.0, np.partition(weight, -k)[-k]) if k < len(weight) else 1.0
-        top = np.flatnonzero(weight >= least)
-        top = top[np.lexsort((top, -weight[top]))[:k]]
-        found.append((np.full(len(top), me), top, weight[top].astype(np.int64), np.arange(1, len(top) + 1, dtype=np.int32)))
-    me, top, weight, rank = (np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.zeros(0, np.int64),) * 4
-    pos = pa.array(resources[top], pa.int64(), mask=resources[top] == _NULL)
-    return pa.table({"origin": table.column("person").take(pa.array(me)), "pos": pos, "weight": pa.array(weight, pa.int64()), "rank": pa.array(rank, pa.int32())})
-
-
-def best_of_each(edges: DataFrame, k: int, paths: int = 1_000_000_000) -> DataFrame:
+        weight[size] = 0
+        # k of one's own resources have at least that weight, so the best have it too
+        liked = np.unique(mine)
+        least = max(1, np.partition(weight[liked], -k)[-k]) if k <= len(liked) else 1
+        top = np.unique(met[weight[met] >= least]) if few else np.flatnonzero(weight >= least)
+        if k < len(top):
+            top = top[weight[top] >= np.partition(weight[top], -k)[-k]]
+        top = top[np.argsort(-weight[top], kind="stable")[:k]]
+        found.append((np.full(len(top), me), top, weight[top], np.arange(1, len(top) + 1, dtype=np.int32)))
+        weight[met if few else slice(None)] = 0
+        if len(found) == flush:
+            yield batch()
+    if found:
+        yield batch()
+
+
+def best_of_each(edges: DataFrame, k: int, paths: int = 1_000_000_000, copies: int | None = None) -> DataFrame:
     """(origin, pos, weight, rank): the walk `collaborative().rank(k)` from every person at once; equal weights by resource, a null one last.
 
     People are dealt to ranges of about `paths` paths each. A task gets the likes of all whom its range reaches, once, and sums one person's paths in
     an array of resources, so neither paths nor (person, resource) pairs cross the network. A task holds those likes; there is no cap.
+    Which ranges reach a person is found by sets of ranges as bits, over resources and back, so no (range, person) pair is shuffled before its likes are. Ranges go in waves that hold
+    `copies` copies of all likes at most (as many as there are cores, where it is not given) or one range; a wave's shuffle goes when its result is stored.
     """
     spark = edges.sparkSession
     e = edges.where("src IS NOT NULL").select("src", "dst")
-    d_in, d_out = e.groupBy("dst").agg(F.count("*").alias("i")), e.groupBy("src").agg(F.count("*").alias("o"))
-    total = e.join(d_in, "dst").join(d_out, "src").agg(F.sum(F.col("i") * F.col("o"))).first()[0] or 0
-    n = max(2 * spark.sparkContext.defaultParallelism, -(-int(total) // paths))
-    bounds = sorted({int(x) for x in e.approxQuantile("src", [i / n for i in range(1, n)], 0.1 / n)}) if total else []
-    below = [F.lit(0), *[(F.lit(b) < F.col("src")).cast("int") for b in bounds]]
-    while len(below) > 1:  # a balanced sum, so that many ranges make no deep expression
-        below = [reduce(Column.__add__, below[i : i + 8]) for i in range(0, len(below), 8)]
-    people = e.groupBy("src").agg(F.collect_list(F.coalesce("dst", F.lit(_NULL))).alias("resources")).withColumn("home", below[0])
-    homes = people.select("src", "home")
-    met = e.join(homes, "src").select(F.col("home").alias("block"), "dst").distinct()
-    reached = met.join(e, "dst").select("block", "src").distinct()
-    given = reached.join(people, "src").select("block", F.col("src").alias("person"), "resources", (F.col("home") == F.col("block")).cast("int").alias("own"))
-    return given.groupBy("block").applyInArrow(lambda t: _best(t, k), "origin long, pos long, weight long, rank int")
+    people = stored(e.groupBy("src").agg(F.collect_list(F.coalesce("dst", F.lit(_NULL))).alias("resources")), "people")
+    parallel = spark.sparkContext.defaultParallelism
+    with shuffles_freed(spark):
+        liked = people.select(F.size("resources").cast("long").alias("o"), F.explode("resources").alias("dst")).where(F.col("dst") != _NULL)
+        total = liked.groupBy("dst").agg(F.count("*").alias("i"), F.sum("o").alias("o")).agg(F.sum(F.col("i") * F.col("o"))).first()[0] or 0
+        n = max(2 * parallel, -(-int(total) // paths))
+        bounds = sorted({int(x) for x in e.approxQuantile("src", [i / n for i in range(1, n)], 0.1 / n)}) if total else []
+        below = [F.lit(0), *[(F.lit(b) < F.col("src")).cast("int") for b in bounds]]
+        while len(below) > 1:  # a balanced sum, so that many ranges make no deep expression
+            below = [reduce(Column.__add__, below[i : i + 8]) for i in range(0, len(below), 8)]
+        people, n = people.withColumn("home", below[0]), len(bounds) + 1
+        words = [f"m{i}" for i in range(-(-n // 64))]
+        met = people.select("src", "home", F.explode("resources").alias("dst")).where(F.col("dst") != _NULL)
+        bits = [F.bit_or(F.expr(f"if(home div 64 = {i}, shiftleft(1L, home % 64), 0L)")).alias(w) for i, w in enumerate(words)]
+        reached = met.select("src", "dst").join(met.groupBy("dst").agg(*bits), "dst").groupBy("src").agg(*[F.bit_or(w).alias(w) for w in words])
+        held = stored(people.join(reached, "src").select("src", "resources", "home", F.array(*words).alias("blocks")), "reached")
+
+        def block(first: int, last: int) -> Column:
+            return F.expr(f"explode(filter(sequence({first}, {last}), b -> getbit(blocks[cast(b div 64 AS INT)], b % 64) = 1))").alias("block")
+
+        sizes = held.select(block(0, n - 1), F.size("resources").cast("long").alias("o")).groupBy("block").agg(F.sum("o")).collect()
+        likes = held.agg(F.sum(F.size("resources").cast("long"))).first()[0] or 0
+    waves, room = [], 0
+    for b, o in sorted(map(tuple, sizes)):
+        if not waves or o > room:
+            waves.append([b, b])
+            room = (copies or parallel) * likes
+        waves[-1][1] = b
+        room -= o
+
+    def best(first: int, last: int) -> DataFrame:
+        given = held.select(block(first, last), F.col("src").alias("person"), "resources", "home").withColumn("own", F.col("home") == F.col("block")).drop("home")
+        dealt = given.repartitionById(last - first + 1, F.col("block") - first)
+        return dealt.mapInArrow(lambda batches: _best(batches, k), "origin long, pos long, weight long, rank int")
+
+    if len(waves) < 2:
+        return best(*(waves[0] if waves else (0, 0)))
+    return reduce(DataFrame.unionByName, [stored(best(*w), "best") for w in waves])
 
 
 def signature_quotient(edges: DataFrame) -> DataFrame:

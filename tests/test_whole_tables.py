@@ -1,13 +1,19 @@
 """Queries that run over whole tables: no id range, filter or cap before the operator."""
 
 import re
+import time
+from collections import Counter
 
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from pathflow.operators import recommend
+from pathflow.operators.recommend import _NULL
 from pathflow.plans.lower import run, run_in_batches
 from pathflow.plans.traversal import HERE
+from pathflow.sources.graph import EdgeLabel, PropertyGraph
+from pathflow.sources.scratch import stored
 from pathflow.workloads.queries import QUERIES
 
 from .toys import graph
@@ -75,6 +81,49 @@ def test_best_of_each_is_the_ranked_walk(spark, paths):
     assert {tuple(r) for r in recommend.best_of_each(odd, 4, paths).collect()} == {(1, 5, 1, 1), (1, None, 1, 2), (2, 5, 1, 1)}
 
 
+def shuffle_files(spark):
+    """Shuffle files on disk, once those on their way out are gone."""
+    files, seen = spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager(), -1
+    for _ in range(20):
+        found = files.getAllFiles()
+        n = sum(found.apply(i).getName().startswith("shuffle_") for i in range(found.size()))
+        if n == seen:
+            return n
+        seen = n
+        time.sleep(1)
+    return seen
+
+
+@pytest.mark.parametrize("copies", [1, None])
+def test_best_of_each_keeps_little_on_disk(spark, copies):
+    """Every range reaches everybody. Ranges in waves give the ranked walk too; shuffles of layouts and waves are gone afterwards."""
+    e = spark.createDataFrame([(p, p * p * r % 23) for p in range(1, 41) for r in range(1, 8)], "src long, dst long").distinct().localCheckpoint()
+    due = run(PropertyGraph.of([], [EdgeLabel("likes", lambda: e.select(F.lit(0).alias("eid"), "src", "dst"))]), spark, recommend.collaborative().rank(4), frame=e.select(F.col("src").alias("pos")).distinct(), per_origin=True)
+    due = {tuple(r) for r in due.select("origin", "pos", "weight", "rank").collect()}
+    before = shuffle_files(spark)
+    found = stored(recommend.best_of_each(e, 4, copies=copies), "found")
+    assert shuffle_files(spark) <= before
+    assert {tuple(r) for r in found.collect()} == due and len({r[0] for r in due}) > 30
+
+
+def test_best_is_the_same_in_small_steps():
+    """A block in many batches, hubs and few others: rows of any width, steps of any size."""
+    likes = [sorted({(p * 7 + r * r) % 31 for r in range(2 + p % 9)}) for p in range(60)] + [list(range(31)), [100], [_NULL, 3]]
+    schema = pa.schema([("person", pa.int64()), ("resources", pa.list_(pa.int64())), ("own", pa.bool_())])
+    rows = [{"person": 1000 + p, "resources": x, "own": p % 2 == 0} for p, x in enumerate(likes)]
+    due = set()
+    for a, x in enumerate(likes):
+        total = Counter()
+        for b, y in enumerate(likes):
+            for r in y if a != b and a % 2 == 0 else ():
+                total[r] += len(set(x) & set(y) - {_NULL})
+        best = sorted(((r, w) for r, w in total.items() if w), key=lambda t: (-t[1], t[0]))[:5]
+        due |= {(1000 + a, None if r == _NULL else r, w, i + 1) for i, (r, w) in enumerate(best)}
+    for piece, width, flush in [(1, 1, 1), (16, 8, 3), (1 << 22, 3, 4096)]:
+        batches = [b for i in range(0, len(rows), 7) for b in pa.Table.from_pylist(rows[i : i + 7], schema).to_batches()]
+        assert {(r["origin"], r["pos"], r["weight"], r["rank"]) for b in recommend._best(batches, 5, piece, width, flush) for r in b.to_pylist()} == due
+
+
 @pytest.mark.parametrize("subsets_of", [0, 1, 2, 8])
 def test_signature_totals_by_subsets_and_by_pairs(spark, subsets_of):
     """Signatures are few or many by size: both ways, and pairs of one with the other, give what all pairs give; members of a signature repeat."""
